@@ -1,10 +1,14 @@
 """Queries and SQL twins of the operators of this subpackage, by name."""
 
-from halograph.llm import bpe, exact_dedup, token_counts
+from halograph.llm import bpe, decontaminate, exact_dedup, quality, token_counts, toxicity, warc
 
 QUERIES = {
     "op1_token_counts": token_counts.op1_token_counts,
+    "op4_toxicity": toxicity.op4_toxicity,
     "op5_bpe_roundtrip": bpe.op5_bpe_roundtrip,
+    "op6_quality_crf": quality.op6_quality_crf,
     "op7_exact_dedup": exact_dedup.op7_exact_dedup,
+    "op8_warc": warc.op8_warc,
+    "op10_decontaminate": decontaminate.op10_decontaminate,
 }
-ORACLE_SQL = {"op7_exact_dedup": exact_dedup.OP7_SQL}
+ORACLE_SQL = {"op7_exact_dedup": exact_dedup.OP7_SQL, "op8_warc": warc.OP8_SQL}
