@@ -1,9 +1,11 @@
 """Queries and SQL twins of the operators of this subpackage, by name."""
 
-from halograph.llm import bpe, decontaminate, exact_dedup, quality, token_counts, toxicity, warc
+from halograph.llm import bpe, decontaminate, exact_dedup, near_dedup, quality, suffix_dedup, token_counts, toxicity, warc
 
 QUERIES = {
     "op1_token_counts": token_counts.op1_token_counts,
+    "op2_near_dedup": near_dedup.op2_near_dedup,
+    "op3_suffix_dedup": suffix_dedup.op3_suffix_dedup,
     "op4_toxicity": toxicity.op4_toxicity,
     "op5_bpe_roundtrip": bpe.op5_bpe_roundtrip,
     "op6_quality_crf": quality.op6_quality_crf,
