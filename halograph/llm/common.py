@@ -30,6 +30,15 @@ class Scratch:
         self.spark, self.root, self.n = spark, f"{base.rstrip('/')}/halograph-{uuid.uuid4().hex}", 0
         _live.append(self)
 
+    @classmethod
+    def beside(cls, spark: SparkSession) -> "Scratch":
+        """A folder that release_scratch leaves alone; it goes at the end of the program."""
+        own = cls(spark)
+        own.lasting = True
+        return own
+
+    lasting = False
+
     def path(self, name: str) -> str:
         self.n += 1
         return f"{self.root}/{self.n:03d}-{name}"
@@ -53,7 +62,7 @@ class Scratch:
 
 def release_scratch() -> None:
     """Removes the scratch tables of all operators called so far; their results can no longer be read."""
-    for s in list(_live):
+    for s in [s for s in _live if not s.lasting]:
         s.drop()
 
 
