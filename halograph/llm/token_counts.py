@@ -1,8 +1,8 @@
 """Token counts without token ids: pieces are counted once for each distinct pre-token.
 
 Documents are packed into chunks of bounded text. A chunk carries its distinct pre-tokens and, for every document,
-the frequencies as positions in that list. The distinct pre-tokens of all chunks are counted once, joined back to the
-chunks by the pre-token itself, and each document's count is the weighted sum of its frequencies.
+the frequencies as positions in that list, packed. The pre-tokens of all chunks meet by their text, each is counted once,
+its count goes back to every chunk that has it, and a document's count is the weighted sum of its frequencies.
 """
 
 from __future__ import annotations
@@ -21,7 +21,7 @@ from halograph.llm.common import Scratch, worker_store
 #: The split that byte-level pre-tokenizers apply (a fixed, public pattern).
 SPLIT = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 CHUNK_BYTES = 32 << 20
-_CHUNK = "chunk long, vocab array<string>, ids array<long>, n_bytes array<long>, special array<int>, starts array<int>, pos array<int>, freq array<int>"
+_CHUNK = "chunk long, vocab array<string>, ids array<long>, n_bytes array<long>, special array<int>, sizes array<int>, freq binary, pos binary"
 
 
 def _chunks(pattern: str, special: list[str], most: int):
@@ -33,18 +33,16 @@ def _chunks(pattern: str, special: list[str], most: int):
         chunk = TaskContext.get().partitionId() << 32
 
         def fresh():
-            return {}, [], [], [], [0], [], []
+            return {}, [], [], [], [], []
 
-        vocab, ids, sizes, extra, starts, pos, freq = fresh()
+        vocab, ids, sizes, extra, pos, freq = fresh()
         held = 0
 
         def out():
-            return pa.RecordBatch.from_arrays(
-                [pa.array([chunk], pa.int64()), pa.array([list(vocab)], pa.list_(pa.string())), pa.array([ids], pa.list_(pa.int64()))]
-                + [pa.array([sizes], pa.list_(pa.int64())), pa.array([extra], pa.list_(pa.int32())), pa.array([starts], pa.list_(pa.int32()))]
-                + [_lists(pos), _lists(freq)],
-                names=["chunk", "vocab", "ids", "n_bytes", "special", "starts", "pos", "freq"],
-            )
+            lists = ([list(vocab)], [ids], [sizes], [extra], [[len(p) for p in pos]])
+            kinds = (pa.string(), pa.int64(), pa.int64(), pa.int32(), pa.int32())
+            packed = [pa.array([_pack(x)], pa.binary()) for x in (freq, pos)]
+            return pa.RecordBatch.from_arrays([pa.array([chunk], pa.int64()), *(pa.array(x, pa.list_(k)) for x, k in zip(lists, kinds)), *packed], names=["chunk", "vocab", "ids", "n_bytes", "special", "sizes", "freq", "pos"])
 
         for batch in batches:
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1)):
@@ -54,7 +52,7 @@ def _chunks(pattern: str, special: list[str], most: int):
                     yield out()
                     chunk += 1
                     held = 0
-                    vocab, ids, sizes, extra, starts, pos, freq = fresh()
+                    vocab, ids, sizes, extra, pos, freq = fresh()
                 held += n
                 found = 0
                 if cut is not None and any(s in text for s in special):
@@ -66,21 +64,31 @@ def _chunks(pattern: str, special: list[str], most: int):
                 else:
                     counts = Counter(find(text))
                 new = vocab.setdefault
-                pos.append(np.fromiter((new(t, len(vocab)) for t in counts), np.int32, len(counts)))
-                freq.append(np.fromiter(counts.values(), np.int32, len(counts)))
+                at = np.fromiter([new(t, len(vocab)) for t in counts], np.int32, len(counts))
+                order = at.argsort()
+                at = at[order]
+                pos.append(np.diff(at, prepend=np.int32(0)))  # steps between rising positions pack well
+                freq.append(np.fromiter(counts.values(), np.int32, len(counts))[order])
                 ids.append(doc)
                 sizes.append(n)
                 extra.append(found)
-                starts.append(starts[-1] + len(counts))
         if ids:
             yield out()
 
     return run
 
 
-def _lists(parts: list[np.ndarray]) -> pa.Array:
-    flat = pa.array(np.concatenate(parts) if parts else np.zeros(0, np.int32), pa.int32())
-    return pa.ListArray.from_arrays(pa.array([0, len(flat)], pa.int32()), flat)
+def _pack(parts: list[np.ndarray]) -> bytes:
+    """Numbers as four planes of bytes, compressed; the high planes are almost all zero."""
+    flat = np.concatenate(parts) if parts else np.zeros(0, np.int32)
+    raw = flat.astype("<i4").view(np.uint8).reshape(-1, 4).T.tobytes()
+    return len(flat).to_bytes(8, "little") + pa.compress(raw, "zstd", asbytes=True)
+
+
+def _unpack(packed: bytes) -> np.ndarray:
+    n = int.from_bytes(packed[:8], "little")
+    raw = pa.decompress(packed[8:], 4 * n, "zstd", asbytes=True) if n else b""
+    return np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(4, n).T).view("<i4").ravel()
 
 
 def _count_pieces(tokenizer_json: str):
@@ -92,31 +100,41 @@ def _count_pieces(tokenizer_json: str):
         if key not in store:
             store[key] = Tokenizer.from_str(tokenizer_json)
             store[key].encode_special_tokens = True
-        encode = store[key].encode_batch
-        for batch in batches:
-            words = batch.column(0).to_pylist()
-            counts = []
-            for i in range(0, len(words), 2000):
-                counts += [len(e.ids) for e in encode(words[i : i + 2000], add_special_tokens=False)]
-            yield pa.RecordBatch.from_arrays([pa.array(words, pa.string()), pa.array(counts, pa.int32())], names=["token", "pieces"])
+        encode, known = store[key].encode_batch, {}
+        for batch in batches:  # all rows of a pre-token come to one task
+            words = batch.column(0).dictionary_encode()
+            new = [w for w in words.dictionary.to_pylist() if w not in known]
+            for i in range(0, len(new), 2000):
+                known.update(zip(new[i : i + 2000], [len(e.ids) for e in encode(new[i : i + 2000], add_special_tokens=False)]))
+            each = np.array([known[w] for w in words.dictionary.to_pylist()], np.int32)
+            yield pa.RecordBatch.from_arrays([batch.column(1), batch.column(2), pa.array(each[words.indices.to_numpy()])], names=["chunk", "at", "pieces"])
 
     return run
 
 
 def _sum(batches):
     for batch in batches:
+        cols = dict(zip(batch.schema.names, batch.columns))
         ids, sizes, totals = [], [], []
-        for row in batch.to_pylist():
-            pieces = np.zeros(len(row["counts"]), np.int64)
-            at = np.array([c["at"] for c in row["counts"]], np.int64)
-            pieces[at] = [c["pieces"] for c in row["counts"]]
-            weighted = np.zeros(len(row["pos"]) + 1, np.int64)
-            np.cumsum(pieces[np.array(row["pos"], np.int64)] * np.array(row["freq"], np.int64), out=weighted[1:])
-            starts = np.array(row["starts"], np.int64)
-            totals += (weighted[starts[1:]] - weighted[starts[:-1]] + np.array(row["special"], np.int64)).tolist()
-            ids += row["ids"]
-            sizes += row["n_bytes"]
-        yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(sizes, pa.int64()), pa.array(totals, pa.int64())], names=["doc_id", "n_bytes", "n_tokens"])
+        for i in range(batch.num_rows):
+            counts = cols["counts"][i].values
+            pieces = np.zeros(len(counts) if counts is not None else 0, np.int64)
+            if len(pieces):
+                pieces[counts.field("at").to_numpy()] = counts.field("pieces").to_numpy()
+            each = np.array(cols["sizes"][i].as_py(), np.int64)
+            ends = np.cumsum(each)
+            steps, freq = _unpack(cols["pos"][i].as_py()).astype(np.int64), _unpack(cols["freq"][i].as_py())
+            at = np.cumsum(steps)
+            begins = (ends - each)[each > 0]
+            base = np.zeros(len(each), np.int64)
+            base[each > 0] = at[begins] - steps[begins]
+            weighted = np.zeros(len(at) + 1, np.int64)
+            np.cumsum(pieces[at - np.repeat(base, each)] * freq, out=weighted[1:])
+            totals.append(weighted[ends] - weighted[ends - each] + np.array(cols["special"][i].as_py(), np.int64))
+            ids += cols["ids"][i].as_py()
+            sizes += cols["n_bytes"][i].as_py()
+        totals = np.concatenate(totals) if totals else np.zeros(0, np.int64)
+        yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(sizes, pa.int64()), pa.array(totals)], names=["doc_id", "n_bytes", "n_tokens"])
 
 
 def token_counts(docs: DataFrame, tokenizer_json: str, *, limit: int = 512, chunk_bytes: int = CHUNK_BYTES, scratch: Scratch | None = None) -> DataFrame:
@@ -131,11 +149,11 @@ def token_counts(docs: DataFrame, tokenizer_json: str, *, limit: int = 512, chun
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     chunks = scratch.keep(source.mapInArrow(_chunks(SPLIT, special, chunk_bytes), _CHUNK), "chunks")
     vocab = chunks.select("chunk", F.posexplode("vocab").alias("at", "token"))
-    pieces = vocab.select("token").distinct().mapInArrow(_count_pieces(tokenizer_json), "token string, pieces int")
-    counts = vocab.join(pieces, "token").groupBy("chunk").agg(F.collect_list(F.struct("at", "pieces")).alias("counts"))
+    counted = vocab.select("token", "chunk", "at").repartition("token").mapInArrow(_count_pieces(tokenizer_json), "chunk long, at int, pieces int")
+    counts = counted.groupBy("chunk").agg(F.collect_list(F.struct("at", "pieces")).alias("counts"))  # at most the pre-tokens of a chunk
     # A chunk whose documents are all empty has no pre-token.
-    whole = chunks.drop("vocab", "n_docs").join(counts, "chunk", "left").withColumn("counts", F.coalesce("counts", F.array().cast("array<struct<at:int,pieces:int>>")))
-    summed = whole.select("ids", "n_bytes", "special", "starts", "pos", "freq", "counts").mapInArrow(_sum, "doc_id long, n_bytes long, n_tokens long")
+    whole = chunks.drop("vocab").join(counts, "chunk", "left").drop("chunk")
+    summed = whole.mapInArrow(_sum, "doc_id long, n_bytes long, n_tokens long")
     return summed.withColumn("over_limit", F.col("n_tokens") > limit)
 
 
