@@ -59,8 +59,9 @@ def padded(system: System, p: int, pad: int, decomposition: str = "slab") -> Dat
     for k, a in enumerate("xyz"):
         out = out.withColumn(f"p{a}", F.explode(_places(a, k, n[k], cell, pad)))
     box = (F.col("px.box") * n[1] + F.col("py.box")) * n[2] + F.col("pz.box")
-    moved = [(F.col(a) + F.col(f"p{a}.image") * cell.lengths[k]).alias(a) for k, a in enumerate("xyz")]
-    image = ((F.col("px.image") + 1000) * 4_000_000 + (F.col("py.image") + 1000) * 2000 + F.col("pz.image") + 1000).cast("long")
+    moved = [(F.col(a) + F.col(f"p{a}.image").cast("long") * cell.lengths[k]).alias(a) for k, a in enumerate("xyz")]
+    far = [F.col(f"p{a}.image").cast("long") + 1000 for a in "xyz"]
+    image = (far[0] * 2000 + far[1]) * 2000 + far[2]
     return out.select(box.cast("int").alias("box"), "atom_id", image.alias("image"), (F.col("px.own") & F.col("py.own") & F.col("pz.own")).alias("own"), "species", *moved)
 
 

@@ -1,3 +1,3 @@
 """Queries by section of the survey."""
 
-from halograph.queries import graphs, models  # noqa: F401
+from halograph.queries import around, graphs, models  # noqa: F401
