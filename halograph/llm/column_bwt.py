@@ -1,8 +1,8 @@
 """Burrows-Wheeler transform and common prefixes of a collection of short byte strings, built column by column.
 
 Each round puts the next symbol (from the right) of every string in front of its suffix. The transform, the common
-prefixes with the row before and the suffix names live in files that a round reads and rewrites from start to end, so
-memory holds a block of rows and a few numbers for each string. Byte 255 marks the front of a string; UTF-8 has none.
+prefixes with the row before and the suffix names are read and rewritten from start to end by each round, in files once
+a collection is large, so memory holds a block of rows and a few numbers for each string. Byte 255 marks the front of a string; UTF-8 has none.
 """
 
 from __future__ import annotations
@@ -15,22 +15,19 @@ import numpy as np
 END = 255
 #: Rows of a file that are held at once.
 BLOCK_ROWS = 1 << 18
+#: Rows (suffixes) up to which a collection stays in memory.
+MEMORY_ROWS = 8 << 20
 #: A suffix is named string * SHIFT + length; strings are shorter than SHIFT.
 SHIFT = 128
 _FILES = (("bwt", np.uint8), ("lcp", np.uint8), ("name", np.uint32))
 
 
-class _Rows:
+class _Files:
     """One generation of the rows, as files that are only appended to and read through."""
 
     def __init__(self, folder: str, generation: int):
         self.paths = [os.path.join(folder, f"{what}-{generation % 2}") for what, _ in _FILES]
-        self.n = 0
-        self.out = []
-
-    def open(self) -> "_Rows":
-        self.out = [open(p, "wb") for p in self.paths]
-        return self
+        self.n, self.out = 0, [open(p, "wb") for p in self.paths]
 
     def put(self, *columns: np.ndarray) -> None:
         for f, c, (_, kind) in zip(self.out, columns, _FILES):
@@ -41,9 +38,37 @@ class _Rows:
         for f in self.out:
             f.close()
 
-    def reader(self, *which: int):
+    def blocks(self, size: int, *which: int):
+        """Reads the columns asked for, so many rows at a time; ``size`` may be sent anew."""
         files = [open(self.paths[k], "rb") for k in which]
-        return lambda rows: [np.fromfile(f, _FILES[k][1], rows) for f, k in zip(files, which)] if rows is not None else [f.close() for f in files]
+        try:
+            while True:
+                size = (yield [np.fromfile(f, _FILES[k][1], size) for f, k in zip(files, which)]) or size
+        finally:
+            for f in files:
+                f.close()
+
+
+class _Memory:
+    """The same for collections that are small enough to stay in memory."""
+
+    def __init__(self, folder: str, generation: int):
+        self.n, self.parts = 0, [[] for _ in _FILES]
+
+    def put(self, *columns: np.ndarray) -> None:
+        for part, c, (_, kind) in zip(self.parts, columns, _FILES):
+            part.append(c.astype(kind, copy=False))
+        self.n += len(columns[0])
+
+    def close(self) -> None:
+        self.parts = [p[0] if len(p) == 1 else np.concatenate(p) for p in self.parts]
+
+    def blocks(self, size: int, *which: int):
+        at = 0
+        while True:
+            rows = [self.parts[k][at : at + size] for k in which]
+            at += size
+            size = (yield rows) or size
 
 
 def _range_minima(values: np.ndarray, start: np.ndarray, stop: np.ndarray) -> np.ndarray:
@@ -57,19 +82,22 @@ def _range_minima(values: np.ndarray, start: np.ndarray, stop: np.ndarray) -> np
     return got
 
 
-def build(data: np.ndarray, starts: np.ndarray, lengths: np.ndarray, folder: str | None = None, block: int = BLOCK_ROWS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(bwt, lcp, names) of all suffixes of data[start:start+length], empty ones first; lcp[i] is with row i - 1."""
+def build(data: np.ndarray, starts: np.ndarray, lengths: np.ndarray, folder: str | None = None, block: int = BLOCK_ROWS, in_memory: int = MEMORY_ROWS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(bwt, lcp, names) of all suffixes of data[start:start+length], empty ones first; lcp[i] is with row i - 1.
+
+    Collections of more than ``in_memory`` rows go through files in ``folder`` (the task's temporary folder).
+    """
+    if len(starts) + int(lengths.sum()) <= in_memory:
+        rows = _construct(data, starts.astype(np.int64), lengths.astype(np.int64), _Memory, "", block)
+        return tuple(next(rows.blocks(rows.n, 0, 1, 2)))
     with tempfile.TemporaryDirectory(dir=folder) as own:
-        rows = _construct(data, starts.astype(np.int64), lengths.astype(np.int64), own, block)
-        take = rows.reader(0, 1, 2)
-        got = take(rows.n)
-        take(None)
-        return tuple(got)
+        rows = _construct(data, starts.astype(np.int64), lengths.astype(np.int64), _Files, own, block)
+        return tuple(next(rows.blocks(rows.n, 0, 1, 2)))
 
 
-def _construct(data, starts, lengths, folder, block) -> _Rows:
+def _construct(data, starts, lengths, kind, folder, block):
     m = len(starts)
-    rows = _Rows(folder, 0).open()
+    rows = kind(folder, 0)
     symbol = lambda i, done: np.where(lengths[i] > done, data[np.minimum(starts[i] + np.maximum(lengths[i] - 1 - done, 0), max(len(data) - 1, 0))] if len(data) else END, END).astype(np.uint8)
     first = symbol(np.arange(m), 0)
     rows.put(first, np.zeros(m, np.uint8), np.arange(m, dtype=np.uint32) * SHIFT)
@@ -84,23 +112,23 @@ def _construct(data, starts, lengths, folder, block) -> _Rows:
         fresh, owner, fresh_lcp = dest[new][order], who[new][order], lcp[new][order]
         mend = np.argsort(dest[~new])
         front = symbol(owner, done)
-        rows = _merge(rows, _Rows(folder, done), fresh, front, fresh_lcp, owner * SHIFT + done, dest[~new][mend], lcp[~new][mend], block)
+        rows = _merge(rows, kind(folder, done), fresh, front, fresh_lcp, owner * SHIFT + done, dest[~new][mend], lcp[~new][mend], block)
         counts += np.bincount(front, minlength=256)
     return rows
 
 
-def _places(rows: _Rows, fresh, owner, base, block) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def _places(rows, fresh, owner, base, block) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Where the extensions of the fresh rows go, with their common prefix, and the older rows whose prefix changes.
 
     Reads the transform once. The rows of a symbol c, in order, are the next generation's rows that begin with c.
     """
-    take = rows.reader(0, 1)
+    take = rows.blocks(block, 0, 1)
     seen = np.zeros(256, np.int64)  # rows of each symbol so far
     least = np.full(256, 255, np.uint8)  # least common prefix since the last row of each symbol
     last_fresh = np.zeros(256, bool)
     out = []
     for a in range(0, rows.n, block):
-        bwt, lcp = take(min(block, rows.n - a))
+        bwt, lcp = next(take)
         lo, hi = np.searchsorted(fresh, [a, a + len(bwt)])
         is_new = np.zeros(len(bwt), bool)
         is_new[fresh[lo:hi] - a] = True
@@ -134,22 +162,26 @@ def _places(rows: _Rows, fresh, owner, base, block) -> tuple[np.ndarray, np.ndar
         least[present] = rest
         last_fresh[present] = is_new[tail]
         seen += size
-    take(None)
+    take.close()
     return tuple(np.concatenate([o[k] for o in out]) if out else np.zeros(0, np.int64) for k in range(3))
 
 
-def _merge(old: _Rows, new: _Rows, at, bwt, lcp, names, mend_at, mend_lcp, block) -> _Rows:
+def _merge(old, new, at, bwt, lcp, names, mend_at, mend_lcp, block):
     """Writes the next generation: old rows in order, new rows at their places, changed prefixes mended."""
-    take = old.reader(0, 1, 2)
-    new.open()
-    total = old.n + len(at)
+    total, take = old.n + len(at), None
     for a in range(0, total, block):
         b = min(a + block, total)
         lo, hi = np.searchsorted(at, [a, b])
         stay = np.ones(b - a, bool)
         stay[at[lo:hi] - a] = False
+        n = b - a - int(hi - lo)
+        if take is None:
+            take = old.blocks(n, 0, 1, 2)
+            held_rows = next(take)
+        else:
+            held_rows = take.send(n) if n else [np.zeros(0, k) for _, k in _FILES]
         columns = []
-        for held, fresh in zip(take(b - a - (hi - lo)), (bwt, lcp, names)):
+        for held, fresh in zip(held_rows, (bwt, lcp, names)):
             col = np.empty(b - a, held.dtype)
             col[stay] = held
             col[~stay] = fresh[lo:hi]
@@ -157,6 +189,7 @@ def _merge(old: _Rows, new: _Rows, at, bwt, lcp, names, mend_at, mend_lcp, block
         lo, hi = np.searchsorted(mend_at, [a, b])
         columns[1][mend_at[lo:hi] - a] = mend_lcp[lo:hi]
         new.put(*columns)
-    take(None)
+    if take is not None:
+        take.close()
     new.close()
     return new

@@ -27,6 +27,7 @@ class Scratch:
 
     def __init__(self, spark: SparkSession):
         base = spark.conf.get("spark.checkpoint.dir", None) or os.path.join(tempfile.gettempdir(), "checkpoints")
+        self.tables: list[str] = []
         self.spark, self.root, self.n = spark, f"{base.rstrip('/')}/halograph-{uuid.uuid4().hex}", 0
         _live.append(self)
 
@@ -49,8 +50,18 @@ class Scratch:
         df.write.options(**options).parquet(path)
         return self.spark.read.schema(df.schema).parquet(path)
 
+    def keep_bucketed(self, df: DataFrame, name: str, key: str) -> DataFrame:
+        """As keep, in buckets of the key: later joins on the key leave this table where it is."""
+        buckets = max(8, int(self.spark.conf.get("spark.sql.shuffle.partitions")))
+        path, table = self.path(name), f"halograph_{uuid.uuid4().hex}"
+        df.write.bucketBy(buckets, key).option("path", path).saveAsTable(table)
+        self.tables.append(table)
+        return self.spark.table(table)
+
     def drop(self) -> None:
         try:
+            for t in self.tables:
+                self.spark.sql(f"DROP TABLE IF EXISTS {t}")
             jvm = self.spark._jvm
             p = jvm.org.apache.hadoop.fs.Path(self.root)
             p.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(p, True)

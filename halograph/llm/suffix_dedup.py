@@ -4,7 +4,8 @@ All windows of LENGTH bytes with the same smallest inner GRAM (their anchor) mee
 split by anchors: runs of neighbouring windows of one anchor are short strings, and the strings of a group of anchors
 form a collection whose transform and common prefixes are built column by column. Windows are equal where the common
 prefix reaches LENGTH; each then has the smallest identifier of the documents that hold it. Only anchors that occur
-more than once, at any two places of the table, are looked at further, and equal strings are sent once from each chunk.
+more than once, at any two places of the table, are looked at further. Where all strings of an anchor are the same, as
+inside long copies, they have one smallest identifier and need no order; others are sent once from each chunk.
 """
 
 from __future__ import annotations
@@ -19,7 +20,7 @@ from pyspark.sql import functions as F
 from halograph.llm.column_bwt import SHIFT, build
 from halograph.llm.common import Scratch, mix, power_table, slices, span_hashes, text_bytes
 
-LENGTH, GRAM = 50, 20
+LENGTH, GRAM = 50, 28
 REACH = LENGTH - GRAM + 1  # windows that can share an anchor in a row
 CHUNK_BYTES = 8 << 20
 SLICE_BYTES = 1 << 20
@@ -142,40 +143,62 @@ def _dicts(batch):
         yield {n: batch.column(k)[i].as_py() for k, n in enumerate(names)}
 
 
+def _strings(chunk: "_Chunk", at: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """Hashes of the strings that runs of windows cover, slice by slice."""
+    out = np.zeros(len(at), np.uint64)
+    for a in range(0, len(at), 1 << 16):
+        b = min(a + (1 << 16), len(at))
+        low, high = at[a:b].min(), (at[a:b] + n[a:b] + LENGTH - 1).max()
+        out[a:b] = span_hashes(chunk.data[low:high], at[a:b] - low, at[a:b] + n[a:b] + LENGTH - 1 - low)
+    return out
+
+
 def _offer(groups: int):
-    """The anchors of each chunk by group, with the number of their runs."""
+    """The anchors of each chunk by group, a check of each distinct string at them, and the number of its runs."""
 
     def run(batches):
         for batch in batches:
             for row in _dicts(batch):
                 chunk = _Chunk(row)
-                h = chunk.runs()[3]
-                h, n = np.unique(h, return_counts=True)
+                at, n, _, h = chunk.runs()
+                check = _strings(chunk, at, n) >> np.uint64(24)
+                order = np.lexsort((check, h))
+                h, check = h[order], check[order]
+                edge = np.ones(len(h), bool)
+                edge[1:] = (h[1:] != h[:-1]) | (check[1:] != check[:-1])
+                head = np.flatnonzero(edge)
+                n, h, check = np.diff(np.append(head, len(h))).astype(np.int32), h[head], check[head]
                 cut = np.searchsorted(h, [(g << 40) // groups for g in range(groups + 1)])
                 for a in range(0, groups, 4096):
                     own = [g for g in range(a, min(a + 4096, groups)) if cut[g] < cut[g + 1]]
-                    packed = [pa.array([_rising(h[cut[g] : cut[g + 1]]) for g in own], pa.binary()), pa.array([_pack(n[cut[g] : cut[g + 1]].astype(np.int32)) for g in own], pa.binary())]
-                    yield pa.RecordBatch.from_arrays([pa.array(own, pa.int32()), pa.array([row["chunk"]] * len(own), pa.int64()), *packed], names=["group", "chunk", "anchors", "runs"])
+                    packed = [pa.array([f(x[cut[g] : cut[g + 1]]) for g in own], pa.binary()) for f, x in ((_rising, h), (_pack, check), (_pack, n))]
+                    yield pa.RecordBatch.from_arrays([pa.array(own, pa.int32()), pa.array([row["chunk"]] * len(own), pa.int64()), *packed], names=["group", "chunk", "anchors", "checks", "runs"])
 
     return run
 
 
 def _shared(heavy: int):
-    """For each chunk the anchors of a group that have more than one run in the whole table."""
+    """For each chunk those of its anchors that have more than one run in the whole table: with one string everywhere
+    (single), with several, and, among these, with very many runs (heavy)."""
 
     def run(table: pa.Table) -> pa.Table:
         chunks = table.column("chunk").to_pylist()
         own = [_risen(b.as_py(), np.uint64) for b in table.column("anchors")]
         n = np.concatenate([_unpack(b.as_py(), np.int32) for b in table.column("runs")]).astype(np.int64)
+        check = np.concatenate([_unpack(b.as_py(), np.uint64) for b in table.column("checks")])
         distinct, at = np.unique(np.concatenate(own), return_inverse=True)
         total = np.bincount(at, n, len(distinct))
+        low, high = np.full(len(distinct), ~np.uint64(0)), np.zeros(len(distinct), np.uint64)
+        np.minimum.at(low, at, check)
+        np.maximum.at(high, at, check)
+        several = (low != high)[at]
         cut = np.cumsum([0] + [len(x) for x in own])
-        shared, many = [], []
+        out = [[], [], []]
         for k, x in enumerate(own):
-            t = total[at[cut[k] : cut[k + 1]]]
-            shared.append(_rising(x[t > 1]))
-            many.append(_rising(x[t > heavy]))
-        return pa.table([pa.array(chunks, pa.int64()), pa.array(shared, pa.binary()), pa.array(many, pa.binary())], names=["chunk", "shared", "heavy"])
+            t, more = total[at[cut[k] : cut[k + 1]]], several[cut[k] : cut[k + 1]]
+            for o, keep in zip(out, ((t > 1) & ~more, (t > 1) & more, (t > heavy) & more)):
+                o.append(_rising(np.unique(x[keep])))
+        return pa.table([pa.array(chunks, pa.int64()), *(pa.array(o, pa.binary()) for o in out)], names=["chunk", "single", "several", "heavy"])
 
     return run
 
@@ -189,57 +212,66 @@ def _member(x: np.ndarray, rising: np.ndarray) -> np.ndarray:
 
 
 def _send(groups: int):
-    """Distinct strings of the shared anchors to their groups (kind 0), and where they stand in the chunk (kind 1)."""
+    """What each chunk asks its groups (kinds of anchors apart), and, in group -1, where the answers belong."""
 
     def run(batches):
         for batch in batches:
             for row in _dicts(batch):
                 chunk = _Chunk(row)
-                lists = row["lists"]
-                shared, heavy = (np.sort(np.concatenate([np.zeros(0, np.uint64)] + [_risen(x[k], np.uint64) for x in lists])) for k in ("shared", "heavy"))
+                single, several, heavy = (np.sort(np.concatenate([np.zeros(0, np.uint64)] + [_risen(x[k], np.uint64) for x in row["lists"]])) for k in ("single", "several", "heavy"))
                 at, n, doc, h = chunk.runs()
-                keep = _member(h, shared)
-                at, n, doc, h = at[keep], n[keep], doc[keep], h[keep]
-                wide = _member(h, heavy)
+                alike, differ = _member(h, single), _member(h, several)
+                # single anchors: the anchor names the string
+                anchor, first1, which1 = np.unique(h[alike], return_index=True, return_inverse=True)
+                least1 = np.full(len(anchor), _LARGEST)
+                np.minimum.at(least1, which1, chunk.ids[doc[alike]])
+                group1 = (mix(anchor) % np.uint64(groups)).astype(np.int64)
+                order1 = np.argsort(group1, kind="stable")
+                rank1 = np.empty(len(order1), np.int64)
+                rank1[order1] = np.arange(len(order1))
+                at2, n2, doc2, h2 = at[differ], n[differ], doc[differ], h[differ]
+                wide = _member(h2, heavy)
                 if wide.any():  # each window on its own, dealt by its bytes
-                    each = np.repeat(at[wide] - np.concatenate([[0], np.cumsum(n[wide])[:-1]]), n[wide]) + np.arange(n[wide].sum())
-                    own = np.repeat(doc[wide], n[wide])
-                    at, doc, n = np.concatenate([at[~wide], each]), np.concatenate([doc[~wide], own]), np.concatenate([n[~wide], np.ones(len(each), np.int64)])
-                    h = np.concatenate([h[~wide], np.zeros(len(each), np.uint64)])
-                spread = np.zeros(len(at), np.uint64)
-                for a in range(0, len(at), 1 << 16):  # hashes slice by slice: a chunk's places may need many bytes
-                    b = min(a + (1 << 16), len(at))
-                    low, high = at[a:b].min(), (at[a:b] + n[a:b] + LENGTH - 1).max()
-                    spread[a:b] = span_hashes(chunk.data[low:high], at[a:b] - low, at[a:b] + n[a:b] + LENGTH - 1 - low)
-                name, first, which = np.unique(spread, return_index=True, return_inverse=True)
-                least = np.full(len(name), _LARGEST)
-                np.minimum.at(least, which, chunk.ids[doc])
-                group = np.where(h[first] > 0, mix(h[first]), spread[first]) % np.uint64(groups)
-                order = np.argsort(group, kind="stable")
-                rank = np.empty(len(order), np.int64)
-                rank[order] = np.arange(len(order))
-                placed = np.lexsort((at, doc))
-                yield _sent([-1], [row["chunk"]], [_pack(rank[which][placed].astype(np.uint32))], [_pack(n[placed].astype(np.uint8))], [_pack(np.diff(at[placed], prepend=0).astype(np.int32))], [_pack(doc[placed].astype(np.uint32))], [b""])
-                cut = np.searchsorted(group[order], np.arange(groups + 1, dtype=np.uint64))
+                    each = np.repeat(at2[wide] - np.concatenate([[0], np.cumsum(n2[wide])[:-1]]), n2[wide]) + np.arange(n2[wide].sum())
+                    own = np.repeat(doc2[wide], n2[wide])
+                    at2, doc2, n2 = np.concatenate([at2[~wide], each]), np.concatenate([doc2[~wide], own]), np.concatenate([n2[~wide], np.ones(len(each), np.int64)])
+                    h2 = np.concatenate([h2[~wide], np.zeros(len(each), np.uint64)])
+                name, first2, which2 = np.unique(_strings(chunk, at2, n2), return_index=True, return_inverse=True)
+                least2 = np.full(len(name), _LARGEST)
+                np.minimum.at(least2, which2, chunk.ids[doc2])
+                group2 = (np.where(h2[first2] > 0, mix(h2[first2]), name) % np.uint64(groups)).astype(np.int64)
+                order2 = np.argsort(group2, kind="stable")
+                rank2 = np.empty(len(order2), np.int64)
+                rank2[order2] = np.arange(len(order2))
+                # where: single ones first, then the others, each by document and place
+                places = []
+                for r, a, m, d in ((rank1[which1], at[alike], n[alike], doc[alike]), (rank2[which2], at2, n2, doc2)):
+                    o = np.lexsort((a, d))
+                    places += [_pack(r[o].astype(np.uint32)), _pack(m[o].astype(np.uint8)), _pack(np.diff(a[o], prepend=0).astype(np.int32)), _pack(d[o].astype(np.uint32))]
+                yield _sent([-1], [row["chunk"]], *[[x] for x in places])
+                cut1 = np.searchsorted(group1[order1], np.arange(groups + 1))
+                cut2 = np.searchsorted(group2[order2], np.arange(groups + 1))
                 for base in range(0, groups, 4096):
-                    own = [g for g in range(base, min(base + 4096, groups)) if cut[g] < cut[g + 1]]
-                    cols = [[] for _ in range(5)]
+                    own = [g for g in range(base, min(base + 4096, groups)) if cut1[g] < cut1[g + 1] or cut2[g] < cut2[g + 1]]
+                    cols = [[] for _ in range(8)]
                     for g in own:
-                        pick = order[cut[g] : cut[g + 1]]
-                        s, size = at[first[pick]], n[first[pick]] + LENGTH - 1
-                        body = chunk.data[np.repeat(s - np.concatenate([[0], np.cumsum(size)[:-1]]), size) + np.arange(size.sum())]
-                        for c, v in zip(cols, (_pack(name[pick]), _pack(size.astype(np.uint8)), _pack(least[pick]), int(cut[g]).to_bytes(8, "little"), pa.compress(body.tobytes(), "zstd", asbytes=True))):
+                        one, pick = order1[cut1[g] : cut1[g + 1]], order2[cut2[g] : cut2[g + 1]]
+                        s, size = at2[first2[pick]], n2[first2[pick]] + LENGTH - 1
+                        body = chunk.data[np.repeat(s - np.concatenate([[0], np.cumsum(size)[:-1]])[: len(s)], size) + np.arange(size.sum())] if len(pick) else np.zeros(0, np.uint8)
+                        bases = int(cut1[g]).to_bytes(8, "little") + int(cut2[g]).to_bytes(8, "little")
+                        parts = (_rising(anchor[one]), _pack(least1[one]), _pack(name[pick]), _pack(size.astype(np.uint8)), _pack(least2[pick]), pa.compress(body.tobytes(), "zstd", asbytes=True) if len(body) else b"", bases, b"")
+                        for c, v in zip(cols, parts):
                             c.append(v)
                     yield _sent(own, [row["chunk"]] * len(own), *cols)
 
     return run
 
 
-_SENT = "group int, chunk long, a binary, b binary, c binary, d binary, e binary"
+_SENT = "group int, chunk long, " + ", ".join(f"{c} binary" for c in "abcdefgh")
 
 
 def _sent(group, chunk, *binaries) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(group, pa.int32()), pa.array(chunk, pa.int64()), *(pa.array(x, pa.binary()) for x in binaries)], names=["group", "chunk", "a", "b", "c", "d", "e"])
+    return pa.RecordBatch.from_arrays([pa.array(group, pa.int32()), pa.array(chunk, pa.int64()), *(pa.array(x, pa.binary()) for x in binaries)], names=["group", "chunk", *"abcdefgh"])
 
 
 def first_holders(data: np.ndarray, sizes: np.ndarray, least: np.ndarray) -> np.ndarray:
@@ -258,29 +290,66 @@ def first_holders(data: np.ndarray, sizes: np.ndarray, least: np.ndarray) -> np.
     return out
 
 
+def _smallest(names: list[np.ndarray], least: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(smallest of each name, first row of each, which name each row has)."""
+    _, first, which = np.unique(np.concatenate(names), return_index=True, return_inverse=True)
+    smallest = np.full(len(first), _LARGEST)
+    np.minimum.at(smallest, which, least)
+    return smallest, first, which
+
+
+def _spread(begin: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """begin[0] .. begin[0] + n[0] - 1, begin[1] .. and so on."""
+    return np.repeat(begin - np.concatenate([[0], np.cumsum(n)[:-1]])[: len(n)], n) + np.arange(n.sum())
+
+
 def _group(table: pa.Table) -> pa.Table:
-    """The smallest identifier for each window of the strings that every chunk sent to this group."""
-    col = {n: table.column(n).to_pylist() for n in ("chunk", "a", "b", "c", "d", "e")}
-    name = [_unpack(x, np.uint64) for x in col["a"]]
-    size = [_unpack(x, np.uint8).astype(np.int64) for x in col["b"]]
-    least = np.concatenate([_unpack(x, np.int64) for x in col["c"]])
-    data = np.concatenate([np.frombuffer(pa.decompress(x, int(s.sum()), "zstd", asbytes=True), np.uint8) for x, s in zip(col["e"], size)])
+    """Answers of a group to every chunk: the smallest identifier for each single anchor, and for each window of a string."""
+    col = {n: table.column(n).to_pylist() for n in ("chunk", *"abcdefg")}
+    anchor = [_risen(x, np.uint64) for x in col["a"]]
+    smallest1, _, which1 = _smallest(anchor, np.concatenate([_unpack(x, np.int64) for x in col["b"]]))
+    name = [_unpack(x, np.uint64) for x in col["c"]]
+    size = [_unpack(x, np.uint8).astype(np.int64) for x in col["d"]]
+    smallest2, first, which2 = _smallest(name, np.concatenate([_unpack(x, np.int64) for x in col["e"]]))
+    data = np.concatenate([np.frombuffer(pa.decompress(x, int(s.sum()), "zstd", asbytes=True), np.uint8) if x else np.zeros(0, np.uint8) for x, s in zip(col["f"], size)])
     sizes = np.concatenate(size)
-    starts = np.concatenate([[0], np.cumsum(sizes)[:-1]])
-    distinct, first, which = np.unique(np.concatenate(name), return_index=True, return_inverse=True)
-    smallest = np.full(len(distinct), _LARGEST)
-    np.minimum.at(smallest, which, least)
+    starts = np.cumsum(sizes) - sizes
     s = sizes[first]
-    body = data[np.repeat(starts[first] - np.concatenate([[0], np.cumsum(s)[:-1]]), s) + np.arange(s.sum())]
-    holders = first_holders(body, s, smallest)
-    at = np.concatenate([[0], np.cumsum(s - LENGTH + 1)])
-    cut = np.cumsum([0] + [len(x) for x in name])
-    out = []
+    holders = first_holders(data[_spread(starts[first], s)], s, smallest2)
+    windows = s - LENGTH + 1
+    at = np.cumsum(windows) - windows
+    cut1, cut2 = np.cumsum([0] + [len(x) for x in anchor]), np.cumsum([0] + [len(x) for x in name])
+    one, many = [], []
     for k in range(len(name)):
-        own = which[cut[k] : cut[k + 1]]
-        n = (s - LENGTH + 1)[own]
-        out.append(_pack(holders[np.repeat(at[own] - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum())]))
-    return pa.table([pa.array(col["chunk"], pa.int64()), pa.array(col["d"], pa.binary()), pa.array(out, pa.binary())], names=["chunk", "base", "holders"])
+        one.append(_pack(smallest1[which1[cut1[k] : cut1[k + 1]]]))
+        own = which2[cut2[k] : cut2[k + 1]]
+        many.append(_pack(holders[_spread(at[own], windows[own])]))
+    return pa.table([pa.array(col["chunk"], pa.int64()), pa.array(col["g"], pa.binary()), pa.array(one, pa.binary()), pa.array(many, pa.binary())], names=["chunk", "base", "one", "many"])
+
+
+def _covered(chunk: "_Chunk", row: dict) -> np.ndarray:
+    gone = np.zeros(len(chunk.data) + 1, np.int32)
+    if row["a"] is not None and row["groups"]:
+        for kind, keys, at8 in (("one", "abcd", 0), ("many", "efgh", 8)):
+            sid, n = _unpack(row[keys[0]], np.uint32).astype(np.int64), _unpack(row[keys[1]], np.uint8).astype(np.int64)
+            at, doc = np.cumsum(_unpack(row[keys[2]], np.int32), dtype=np.int64), _unpack(row[keys[3]], np.uint32)
+            if not len(sid):
+                continue
+            parts = sorted((int.from_bytes(g["base"][at8 : at8 + 8], "little"), k) for k, g in enumerate(row["groups"]))
+            holders = np.concatenate([_unpack(row["groups"][k][kind], np.int64) for _, k in parts])
+            if kind == "one":
+                hit = np.flatnonzero(holders[sid] < chunk.ids[doc])
+                np.add.at(gone, at[hit], 1)  # all windows of a run at once
+                np.add.at(gone, at[hit] + n[hit] + LENGTH - 1, -1)
+            else:
+                width = np.zeros(int(sid.max()) + 1, np.int64)
+                width[sid] = n
+                begin = np.cumsum(width) - width
+                place = _spread(at, n)
+                hit = place[holders[_spread(begin[sid], n)] < np.repeat(chunk.ids[doc], n)]
+                np.add.at(gone, hit, 1)
+                np.add.at(gone, hit + LENGTH, -1)
+    return np.cumsum(gone[:-1]) > 0
 
 
 def _finish(texts: bool):
@@ -288,22 +357,7 @@ def _finish(texts: bool):
         for batch in batches:
             for row in _dicts(batch):
                 chunk = _Chunk(row)
-                gone = np.zeros(len(chunk.data) + 1, np.int32)
-                if row["a"] is not None and row["groups"]:
-                    sid, n = _unpack(row["a"], np.uint32).astype(np.int64), _unpack(row["b"], np.uint8).astype(np.int64)
-                    at, doc = np.cumsum(_unpack(row["c"], np.int32), dtype=np.int64), _unpack(row["d"], np.uint32)
-                    parts = sorted((int.from_bytes(g["base"], "little"), g["holders"]) for g in row["groups"])
-                    holders = np.concatenate([_unpack(h, np.int64) for _, h in parts])
-                    # windows of the strings in the order of their numbers
-                    width = np.zeros(int(sid.max()) + 1 if len(sid) else 0, np.int64)
-                    width[sid] = n
-                    begin = np.concatenate([[0], np.cumsum(width)])
-                    each = np.repeat(begin[sid] - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum())
-                    place = np.repeat(at - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum())
-                    hit = place[holders[each] < np.repeat(chunk.ids[doc], n)]
-                    np.add.at(gone, hit, 1)
-                    np.add.at(gone, hit + LENGTH, -1)
-                covered = np.cumsum(gone[:-1]) > 0
+                covered = _covered(chunk, row)
                 rows = []
                 for k in range(len(chunk.ids)):
                     a, b = chunk.offsets[k], chunk.offsets[k + 1]
@@ -330,15 +384,15 @@ def suffix_dedup(docs: DataFrame, *, texts: bool = True, heavy: int = HEAVY, scr
     """
     scratch = scratch or Scratch(docs.sparkSession)
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").alias("text"))
-    chunks = scratch.keep(source.mapInArrow(_chunks, "chunk long, size long, ids binary, known binary, ends binary, text binary"), "chunks")
+    chunks = scratch.keep_bucketed(source.mapInArrow(_chunks, "chunk long, size long, ids binary, known binary, ends binary, text binary"), "chunks", "chunk")
     groups = int((chunks.agg(F.sum("size")).first()[0] or 0) // GROUP_BYTES) + 1
-    offered = chunks.mapInArrow(_offer(groups), "group int, chunk long, anchors binary, runs binary")
-    shared = offered.groupBy("group").applyInArrow(_shared(heavy), "chunk long, shared binary, heavy binary")
-    lists = shared.groupBy("chunk").agg(F.collect_list(F.struct("shared", "heavy")).alias("lists"))  # at most the anchors of a chunk
+    offered = chunks.mapInArrow(_offer(groups), "group int, chunk long, anchors binary, checks binary, runs binary")
+    shared = offered.groupBy("group").applyInArrow(_shared(heavy), "chunk long, single binary, several binary, heavy binary")
+    lists = shared.groupBy("chunk").agg(F.collect_list(F.struct("single", "several", "heavy")).alias("lists"))  # at most the anchors of a chunk
     sent = scratch.keep(chunks.join(lists, "chunk").mapInArrow(_send(groups), _SENT), "sent")
-    holders = sent.filter("group >= 0").groupBy("group").applyInArrow(_group, "chunk long, base binary, holders binary")
-    per_chunk = holders.groupBy("chunk").agg(F.collect_list(F.struct("base", "holders")).alias("groups"))
-    whole = chunks.join(sent.filter("group < 0").select("chunk", "a", "b", "c", "d"), "chunk", "left").join(per_chunk, "chunk", "left")
+    holders = sent.filter("group >= 0").groupBy("group").applyInArrow(_group, "chunk long, base binary, one binary, many binary")
+    per_chunk = holders.groupBy("chunk").agg(F.collect_list(F.struct("base", "one", "many")).alias("groups"))
+    whole = chunks.join(sent.filter("group < 0").drop("group"), "chunk", "left").join(per_chunk, "chunk", "left")
     return whole.mapInArrow(_finish(texts), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, spans array<struct<start:long,stop:long>>, kept binary")
 
 
