@@ -5,6 +5,11 @@ number: exponentially spaced, cut at both ends, merged by the maximum. Two docum
 their sets overlap, so groups of registers (bands) bring candidates together. Larger, smaller and equal registers of a
 pair, with the set sizes, give the likelihood of its Jaccard similarity; pairs that are far below the threshold are
 left, all others are decided on the full shingle sets. Documents of equal sets are one class throughout.
+
+No pairs of a bucket are listed. The classes of a bucket gather at the least of them, its lead, and a lead's classes
+are searched together, in blocks of bounded size: one class after another that is not yet joined to the lead is held
+against all the rest, and links that join anything new come out. Classes of different blocks that are not of the lead's
+component are then held against the other blocks, so every link between different components of a bucket is found.
 """
 
 from __future__ import annotations
@@ -28,6 +33,8 @@ BASE = 1.001
 LIMIT = 40_000
 #: Pairs whose likeliest similarity is this far below the threshold are left: over six deviations of the estimate.
 MARGIN = 0.18
+#: Classes of one lead that are searched together.
+BLOCK = 1024
 SLICE_BYTES = 1 << 20
 
 _rng = np.random.default_rng(20240607)
@@ -51,10 +58,10 @@ def shingle_sets(data: np.ndarray, offsets: np.ndarray) -> list[np.ndarray]:
         if b - a >= SHINGLE:
             out.append(np.unique(grams[a : b - SHINGLE + 1]))
         elif b > a:
-            whole = np.uint64(b - a)
+            whole = np.array([b - a], np.uint64)
             for w in words[a:b]:
-                whole = mix(np.array([whole * _STEP[0] + w], np.uint64))[0]
-            out.append(np.array([whole], np.uint64))
+                whole = mix(whole * _STEP[0] + w)
+            out.append(whole)
         else:
             out.append(np.zeros(0, np.uint64))
     return out
@@ -111,42 +118,119 @@ def _bands(batches):
         yield pa.RecordBatch.from_arrays([pa.array(band_keys(sketches).ravel().view(np.int64)), pa.array(ids)], names=["key", "id"])
 
 
-def _likely(threshold: float):
-    def run(batches):
-        for batch in batches:
-            if batch.num_rows:
-                col = {n: batch.column(i) for i, n in enumerate(batch.schema.names)}
-                s = [np.frombuffer(b"".join(col[x].to_pylist()), np.uint16).reshape(-1, REGISTERS) for x in ("sketch_a", "sketch_b")]
-                n = [col[x].to_numpy().astype(np.float64) for x in ("n_a", "n_b")]
-                possible = np.minimum(*n) >= threshold * np.maximum(*n)
-                keep = possible & (likeliest_similarity(*s, *n) >= threshold - MARGIN)
-                yield pa.RecordBatch.from_arrays([col["a"], col["b"]], names=["a", "b"]).filter(pa.array(keep))
-
-    return run
-
+def _star(batches):
+    """lead, id for rows sorted by key and id: every class of a band's bucket with the first, across batches too."""
+    key = lead = None
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        k, i = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+        head = np.flatnonzero(np.diff(k, prepend=k[0] - 1))
+        leads = np.repeat(i[head], np.diff(np.append(head, len(k))))
+        if key is not None and k[0] == key:
+            leads[: head[1] if len(head) > 1 else len(k)] = lead
+        key, lead = int(k[-1]), int(leads[-1])
+        other = leads != i
+        pairs = np.unique(np.stack([leads[other], i[other]], 1), axis=0)
+        yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["lead", "id"])
+
+
+class _Block:
+    """Classes that are searched together: their sets as numbered shingles, and their sketches."""
+
+    def __init__(self, ids: list[int], sets: list[np.ndarray], sketches: list[bytes], percent: int):
+        self.ids, self.percent = ids, percent
+        self.size = np.array([len(s) for s in sets], np.int64)
+        self.start = np.cumsum(self.size) - self.size
+        distinct, self.flat = np.unique(np.concatenate(sets), return_inverse=True)
+        self.mark = np.zeros(len(distinct) + 1, bool)
+        self.sketch = np.frombuffer(b"".join(sketches), np.uint16).reshape(-1, REGISTERS)
+
+    def linked(self, x: int, others: np.ndarray) -> np.ndarray:
+        """Those of the others that class x is linked with."""
+        small, large = np.minimum(self.size[others], self.size[x]), np.maximum(self.size[others], self.size[x])
+        others = others[100 * small >= self.percent * large]
+        if not len(others):
+            return others
+        n = self.size[others].astype(np.float64)
+        guess = likeliest_similarity(np.broadcast_to(self.sketch[x], (len(others), REGISTERS)), self.sketch[others], np.full(len(n), float(self.size[x])), n)
+        others = others[guess >= self.percent / 100 - MARGIN]
+        if not len(others):
+            return others
+        own = self.flat[self.start[x] : self.start[x] + self.size[x]]
+        self.mark[own] = True
+        n = self.size[others]
+        at = np.repeat(self.start[others] - (np.cumsum(n) - n), n) + np.arange(n.sum())
+        both = np.add.reduceat(self.mark[self.flat[at]].astype(np.int64), np.cumsum(n) - n)
+        self.mark[own] = False
+        return others[100 * both >= self.percent * (self.size[x] + n - both)]
+
+    def join(self, component: list[int], pivots: list[int] | None = None) -> list[tuple[int, int]]:
+        """Links that join components; without pivots, the first class and whatever is not joined to it are held
+        against all others, else only the pivots are."""
+        parent: dict[int, int] = {}
+
+        def root(c: int) -> int:
+            while parent.get(c, c) != c:
+                c = parent[c]
+            return c
+
+        found = []
+        for x in range(len(self.ids)) if pivots is None else pivots:
+            if pivots is None and x and root(component[x]) == root(component[0]):
+                continue
+            mine = root(component[x])
+            rest = np.array([y for y in range(len(self.ids)) if y != x and root(component[y]) != mine], np.int64)
+            for y in self.linked(x, rest).tolist():
+                a, b = root(component[x]), root(component[y])
+                if a != b:
+                    parent[max(a, b)] = min(a, b)
+                    found.append((self.ids[x], self.ids[y]))
+        return found
+
+
+def _search(percent: int):
+    """Links among the classes of each block (lead, block, id, component, pivot, text, sketch); rows are sorted by block.
+
+    A block is kept until its last row has come; blocks hold at most BLOCK classes and as many pivots.
+    """
 
-def _verify(percent: int):
     def run(batches):
+        now, rows = None, []
+
+        def flush():
+            texts = [r[3] or "" for r in rows]
+            sets, a = [], 0
+            while a < len(texts):
+                b, held = a, 0
+                while b < len(texts) and (b == a or held < SLICE_BYTES):
+                    held += len(texts[b])
+                    b += 1
+                sets += shingle_sets(*text_bytes(pa.array(texts[a:b], pa.large_string())))
+                a = b
+            first = [k for k, r in enumerate(rows) if r[0] == now[0]]
+            order = first + [k for k in range(len(rows)) if k not in set(first)]
+            block = _Block([rows[k][0] for k in order], [sets[k] for k in order], [rows[k][4] for k in order], percent)
+            pivots = [k for k, o in enumerate(order) if rows[o][2]] if now[2] >= 0 else None
+            return block.join([rows[k][1] for k in order], pivots)
+
+        def out(found):
+            return pa.RecordBatch.from_arrays([pa.array([f[k] for f in found], pa.int64()) for k in (0, 1)], names=["a", "b"])
+
         for batch in batches:
-            a, b = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            texts = {}
-            for ids, col in ((a, 2), (b, 3)):
-                for i, t in zip(ids, batch.column(col)):
-                    if i not in texts:
-                        texts[i] = t.as_py() or ""
-            sets = {}
-            ids, held, start = list(texts), 0, 0
-            for k, i in enumerate(ids):
-                held += len(texts[i])
-                if held >= SLICE_BYTES or k + 1 == len(ids):
-                    part = ids[start : k + 1]
-                    sets |= zip(part, shingle_sets(*text_bytes(pa.array([texts[x] for x in part], pa.large_string()))))
-                    held, start = 0, k + 1
-            linked = []
-            for x, y in zip(a, b):
-                both = len(np.intersect1d(sets[x], sets[y], assume_unique=True))
-                linked.append(100 * both >= percent * (len(sets[x]) + len(sets[y]) - both))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["a", "b"]).filter(pa.array(linked, pa.bool_()))
+            found = []
+            cols = [batch.column(k) for k in range(8)]
+            keys = list(zip(*(c.to_pylist() for c in cols[:3])))
+            ids, components, pivot = (c.to_pylist() for c in cols[3:6])
+            for k, key in enumerate(keys):
+                if key != now:
+                    if len(rows) > 1:
+                        found += flush()
+                    now, rows = key, []
+                rows.append((ids[k], components[k], pivot[k], cols[6][k].as_py(), cols[7][k].as_py()))
+            yield out(found)
+        if len(rows) > 1:
+            yield out(flush())
 
     return run
 
@@ -160,36 +244,45 @@ class NearDuplicates:
         self.sets = keep(self.source.mapInArrow(_sketch, "doc_id long, n long, digest binary, sketch binary"), "sketches")
         real = self.sets.filter("n > 0 AND doc_id IS NOT NULL")
         self.classes = keep(real.groupBy("digest").agg(F.min("doc_id").alias("class_id")), "classes")
-        own = real.join(self.classes, "digest").filter("doc_id = class_id")
-        self.models = keep(own.groupBy("class_id", "n", "digest").agg(F.first("sketch").alias("sketch")).select("class_id", "n", "sketch"), "models")
+        self.models = keep(real.join(self.classes, "digest").filter("doc_id = class_id").select("class_id", "sketch"), "models")
 
-    def buckets(self) -> DataFrame:
-        """key, id, lead: bands that several classes share, each class with the least of them."""
+    def stars(self) -> DataFrame:
+        """lead, id: classes that share a band, with the least class of its bucket."""
         bands = self.models.select("class_id", "sketch").mapInArrow(_bands, "key long, id long")
-        shared = bands.groupBy("key").agg(F.min("id").alias("lead"), F.max("id").alias("last")).filter("lead < last").select("key", "lead")
-        return bands.join(shared, "key")
-
-    def confirm(self, pairs: DataFrame) -> DataFrame:
-        """The pairs (a, b) that are linked, decided on full sets."""
-        side = lambda x: self.models.select(F.col("class_id").alias(x), F.col("n").alias(f"n_{x}"), F.col("sketch").alias(f"sketch_{x}"))
-        likely = self.scratch.keep(pairs.join(side("a"), "a").join(side("b"), "b").mapInArrow(_likely(self.percent / 100), "a long, b long"), "likely")
-        wanted = likely.select(F.col("a").alias("doc_id")).union(likely.select("b")).distinct()
-        texts = self.scratch.keep(self.source.join(wanted, "doc_id").groupBy("doc_id").agg(F.first("text").alias("text")), "texts")
-        text = lambda x: texts.select(F.col("doc_id").alias(x), F.col("text").alias(f"text_{x}"))
-        both = likely.join(text("a"), "a").join(text("b"), "b").select("a", "b", "text_a", "text_b")
-        return self.scratch.keep(both.mapInArrow(_verify(self.percent), "a long, b long"), "links")
+        return bands.repartition("key").sortWithinPartitions("key", "id").mapInArrow(_star, "lead long, id long").distinct()
+
+    def search(self, members: DataFrame) -> DataFrame:
+        """Links (a, b) found in blocks of members (lead, block, part, id, component, pivot)."""
+        rows = members.join(self.texts, "id").select("lead", "block", "part", "id", "component", "pivot", "text", "sketch")
+        keys = ("lead", "block", "part")
+        return self.scratch.keep(rows.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(_search(self.percent), "a long, b long"), "links")
 
     def result(self) -> DataFrame:
-        buckets = self.scratch.keep(self.buckets(), "buckets")
-        links = self.confirm(buckets.filter("lead < id").select(F.col("lead").alias("a"), F.col("id").alias("b")).distinct())
-        found = self.scratch.keep(components(links, self.scratch), "components")
-        # Buckets whose classes are not all of one component yet: links across components may still be missing.
-        placed = buckets.join(found, buckets.id == found.node, "left").select("key", "id", "lead", F.coalesce("component", "id").alias("component"))
-        open_keys = placed.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y")).filter("x < y").select("key")
-        left = self.scratch.keep(placed.join(open_keys, "key"), "open")
-        other = left.select("key", F.col("id").alias("b"), F.col("component").alias("other"))
-        across = left.filter("lead < id").join(other, "key").filter("id < b AND component <> other").select(F.col("id").alias("a"), "b").distinct()
-        links = links.union(self.confirm(across))
+        keep = self.scratch.keep
+        star = keep(self.stars(), "stars")
+        wanted = star.select("id").union(star.select("lead")).distinct()
+        sketches = wanted.join(self.models.withColumnRenamed("class_id", "id"), "id")
+        own = self.source.join(sketches, self.source.doc_id == sketches.id)
+        self.texts = keep(own.groupBy("id").agg(F.first("text").alias("text"), F.first("sketch").alias("sketch")), "texts")
+        # Lead and members in blocks; the lead is in every block.
+        blocks = star.groupBy("lead").agg(F.ceil(F.count(F.lit(1)) / BLOCK).alias("blocks"))
+        members = star.join(blocks, "lead").withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")))
+        leads = blocks.select("lead", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("block"), F.col("lead").alias("id"))
+        none, no = F.lit(-1).cast("long"), F.lit(False)
+        first = members.select("lead", "block", "id").unionByName(leads).select("lead", "block", none.alias("part"), "id", F.col("id").alias("component"), no.alias("pivot"))
+        links = self.search(first)
+        # Classes of a lead of several blocks that are not of its component, against the other blocks.
+        found = keep(components(links, self.scratch), "components")
+        many = members.filter("blocks > 1")
+        named = lambda df, c: df.join(found.select(F.col("node").alias(c), F.col("component").alias(f"{c}_component")), c, "left").withColumn(f"{c}_component", F.coalesce(f"{c}_component", c))
+        placed = keep(named(named(many, "id"), "lead"), "placed")
+        strays = placed.filter("id_component <> lead_component")
+        parts = strays.groupBy("lead").agg(F.ceil(F.count(F.lit(1)) / BLOCK).alias("parts"))
+        stray = strays.join(parts, "lead").select("lead", "blocks", F.pmod(F.xxhash64("id", F.lit(5)), F.col("parts")).alias("part"), "id", F.col("block").alias("home"), F.col("id_component").alias("component"))
+        there = placed.join(parts, "lead").select("lead", "block", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("part"), "id", F.col("id_component").alias("component"), no.alias("pivot"))
+        to = stray.withColumn("block", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1))).filter("block <> home")
+        second = there.unionByName(to.select("lead", "block", "part", "id", "component", F.lit(True).alias("pivot")))
+        links = links.union(self.search(second))
         final = components(links, self.scratch)
         part = self.classes.join(final, self.classes.class_id == final.node, "left").select("digest", F.coalesce("component", "class_id").alias("component_id"))
         out = self.sets.select("doc_id", F.col("n").alias("n_shingles"), "digest").join(part, "digest", "left")
