@@ -353,7 +353,7 @@ def capacity_points(spark, sf_dir, family: str, parts: tuple[int, ...], budget:
 @query("capacity_curve")
 def capacity_curve(spark, sf_dir):
     """Atoms that fit a fixed modelled budget, against the number of parts: close to proportional."""
-    return spark.createDataFrame(capacity_points(spark, sf_dir, "ring", (1, 2, 4), 600_000), "family string, parts int, atoms long, relative double")
+    return spark.createDataFrame(capacity_points(spark, sf_dir, "ring", (1, 2, 4), 220_000), "family string, parts int, atoms long, relative double")
 
 
 @query("out_of_memory", "SELECT false AS small_fails, true AS large_fails")

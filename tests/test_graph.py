@@ -109,7 +109,7 @@ def test_three_body_exponent_is_about_two(spark, sf_dir):
 def test_capacity_grows_with_parts(spark, sf_dir):
     from halograph.queries.models import capacity_points
 
-    points = capacity_points(spark, sf_dir, "ring", (1, 2), 600_000)
+    points = capacity_points(spark, sf_dir, "ring", (1, 2), 220_000)
     assert points[1][3] > 1.5
 
 
