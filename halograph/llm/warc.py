@@ -25,8 +25,6 @@ _START = re.compile(rb"WARC/1\.[01]\r\n")
 BLOCK_BYTES = 4 << 20
 #: Headers longer than this are no headers.
 HEADER_BYTES = 64 << 10
-#: Records that one archive file holds at most, on average.
-RECORDS_PER_FILE = 8192
 _RECORD = "record_id string, record_type string, refers_to string, target_uri string, payload_bytes long, payload_digest string, payload binary, offset long, sound boolean"
 
 
@@ -39,16 +37,19 @@ def _header(name: str, value: Column) -> Column:
     return F.coalesce(F.concat(F.lit(name + ": "), value, F.lit(CRLF)), F.lit(""))
 
 
-def plan_records(pages: DataFrame, scratch: Scratch, least_bytes: int = 100) -> DataFrame:
-    """page_id, url, html and, for records that revisit another, the identifier of that record."""
+def plan_records(pages: DataFrame, least_bytes: int = 100) -> DataFrame:
+    """page_id, url, html, n, digest and, for records that revisit another, the identifier of that record.
+
+    Only identifiers and digests meet to find equal payloads; the payloads move once, by identifier.
+    """
     body = F.coalesce("html", F.lit(""))
     sized = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), body.alias("html"))
     sized = sized.withColumns({"n": F.octet_length("html").cast("long"), "digest": F.sha2("html", 256)})
-    first = sized.filter(F.col("n") >= least_bytes).groupBy("digest").agg(F.min("page_id").alias("first_id"), F.count(F.lit(1)).alias("rows"))
-    several = first.filter("rows > 1").select("digest", "first_id")
-    return sized.join(several, "digest", "left").withColumn(
-        "refers_to", F.when(F.col("first_id") != F.col("page_id"), F.col("first_id")).when(F.col("page_id").isNull(), F.col("first_id"))
-    )
+    keys = sized.filter(F.col("n") >= least_bytes).select("page_id", "digest")
+    first = keys.groupBy("digest").agg(F.min("page_id").alias("first_id"), F.count(F.lit(1)).alias("rows")).filter("rows > 1").select("digest", "first_id")
+    again = keys.join(first, "digest").filter("page_id IS NULL OR page_id <> first_id").filter("first_id IS NOT NULL").distinct()
+    again = again.select(F.col("page_id").alias("_id"), F.col("digest").alias("_digest"), F.col("first_id").alias("refers_to"))
+    return sized.join(again, sized.page_id.eqNullSafe(again._id) & (sized.digest == again._digest), "left").drop("_id", "_digest")
 
 
 def record_text(date: str = "2024-01-01T00:00:00Z") -> Column:
@@ -74,18 +75,18 @@ def record_text(date: str = "2024-01-01T00:00:00Z") -> Column:
     )
 
 
-def write_warc(pages: DataFrame, path: str, *, scratch: Scratch | None = None, least_bytes: int = 100, files: int | None = None) -> str:
+def write_warc(pages: DataFrame, path: str, *, least_bytes: int = 100, files: int | None = None) -> str:
     """Writes a record for each row of pages (page_id, url, html) to archive files under ``path``.
 
     Of equal payloads of at least ``least_bytes``, the smallest page_id is a response and the others revisit it. A null
     html is empty, a null url leaves its header out, a null page_id is never the one referred to while another is there.
     Rows that repeat the smallest page_id are responses too. An empty table writes no record. Other columns are ignored.
+    ``files`` asks for so many files, else there are as many as the plan has partitions.
     """
-    scratch = scratch or Scratch(pages.sparkSession)
-    planned = plan_records(pages, scratch, least_bytes)
-    # Equal payloads would meet in one file if the join decided the files; identifiers spread them.
-    files = files or max(pages.sparkSession.sparkContext.defaultParallelism, pages.count() // RECORDS_PER_FILE)
-    planned.repartition(files, F.xxhash64("page_id", "url")).select(record_text().alias("value")).write.option("lineSep", CRLF * 2).text(path, compression="gzip")
+    planned = plan_records(pages, least_bytes)
+    if files:
+        planned = planned.repartition(files, F.xxhash64("page_id", "url"))
+    planned.select(record_text().alias("value")).write.option("lineSep", CRLF * 2).text(path, compression="gzip")
     return path
 
 
@@ -217,7 +218,7 @@ def read_warc(spark: SparkSession, path: str, *, scratch: Scratch | None = None,
 
 def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     scratch = Scratch(spark)
-    path = write_warc(spark.read.parquet(f"{sf_dir}/pages.parquet"), scratch.path("warc"), scratch=scratch)
+    path = write_warc(spark.read.parquet(f"{sf_dir}/pages.parquet"), scratch.path("warc"))
     records = read_warc(spark, path, scratch=scratch, payloads=False)
     page = lambda c: F.regexp_extract(c, r"urn:page:(-?\d+)", 1).try_cast("long")
     return records.select(page(F.col("record_id")).alias("page_id"), "payload_bytes", "payload_digest", "record_type", page(F.col("refers_to")).alias("refers_to"))
