@@ -22,7 +22,7 @@ from halograph.llm.common import Scratch, mix, power_table, slices, span_hashes,
 
 LENGTH, GRAM = 50, 28
 REACH = LENGTH - GRAM + 1  # windows that can share an anchor in a row
-CHUNK_BYTES = 8 << 20
+CHUNK_BYTES = 4 << 20
 SLICE_BYTES = 1 << 20
 #: Bytes of text for each group of anchors.
 GROUP_BYTES = 4 << 20
