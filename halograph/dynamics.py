@@ -95,7 +95,7 @@ class _Run:
         ctes = [("cell", dict(ctes)["cell"]), ("p0", dict(ctes)["atoms"]), ("k0", "SELECT *, 0 AS vx, 0 AS vy, 0 AS vz FROM p0")]
 
         def force(k: int, of: str) -> list:
-            rename = {"atoms": f"a{k}", "pairs": f"pairs{k}", "moved": f"moved{k}", "near": f"near{k}", "edges": f"edges{k}", "s0": f"s0_{k}", "s1": f"s1_{k}", "m1": f"m1_{k}", "r1": f"r1_{k}", "r0": f"r0_{k}", "t1": f"t1_{k}", "o1": f"o1_{k}", "q": f"q_{k}", "pulls": f"pulls{k}", "forces": f"forces{k}"}
+            rename = {"atoms": f"a{k}", "slabs": f"slabs{k}", "around": f"around{k}", "pairs": f"pairs{k}", "moved": f"moved{k}", "near": f"near{k}", "edges": f"edges{k}", "s0": f"s0_{k}", "s1": f"s1_{k}", "m1": f"m1_{k}", "r1": f"r1_{k}", "r0": f"r0_{k}", "t1": f"t1_{k}", "o1": f"o1_{k}", "q": f"q_{k}", "pulls": f"pulls{k}", "forces": f"forces{k}"}
             made = [("atoms", f"SELECT atom_id, species, x, y, z FROM {of}")] + q.edges(cutoff, False) + q.ring(1) + q.ring_forces(1)
             return [(rename[n], _swap(b, rename)) for n, b in made]
 

@@ -6,21 +6,22 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def envelope(d2: pd.Series, cutoff: pd.Series) -> pd.Series:
     """Smooth cutoff of a squared distance, in floating point, over whole batches."""
     x = np.clip(d2 / (cutoff * cutoff), 0, 1)
     return (1 - x) ** 2 * (1 + 2 * x)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def root_mean_square(v: pd.Series) -> float:
     return float(np.sqrt((v.astype(float) ** 2).mean())) if len(v) else 0.0
 
 
-@F.udtf(returnType="ox: int, oy: int, oz: int")
+@F.udtf(returnType=T.StructType([T.StructField(n, T.IntegerType()) for n in ("ox", "oy", "oz")]))
 class NeighborBins:
     """The 27 bins around a bin."""
 

@@ -11,7 +11,9 @@ Ctes = list[tuple[str, str]]
 def select(ctes: Ctes, body: str) -> str:
     seen = dict(ctes)
     recursive = "RECURSIVE " if any(c.startswith("/*recursive*/") for c in seen.values()) else ""
-    return f"WITH {recursive}" + ",\n".join(f"{n} AS ({b})" for n, b in seen.items()) + f"\n{body}"
+    # edges are costly and read often: once is enough
+    once = lambda n: "MATERIALIZED " if n.startswith(("edges", "line", "atoms", "owned", "halo")) else ""
+    return f"WITH {recursive}" + ",\n".join(f"{n} AS {once(n)}({b})" for n, b in seen.items()) + f"\n{body}"
 
 
 def quartz(cells: tuple[int, int, int] | None = None) -> Ctes:
@@ -104,11 +106,17 @@ def sites() -> Ctes:
 
 
 def edges(cutoff: int, periodic: bool = True, weight: str = "ring") -> Ctes:
-    """Every pair compared; the nearest image of each, so boxes must be twice the cutoff wide."""
+    """Every pair whose slabs along x touch; the nearest image of each, so boxes must be twice the cutoff wide, and three
+    slabs of the cutoff long."""
     image = lambda a: f"CASE WHEN 2 * (s.{a} - t.{a}) > l{a} THEN -1 WHEN 2 * (s.{a} - t.{a}) < -l{a} THEN 1 ELSE 0 END" if periodic else "0"
     pairs = ", ".join([f"{image(a)} AS i{a}" for a in "xyz"] + [f"s.{a} - t.{a} AS r{a}" for a in "xyz"])
+    n = f"(lx // {cutoff})"
+    slab = f"least(x * {n} // lx, {n} - 1)" if periodic else f"CAST(floor(x / {cutoff}.0) AS BIGINT)"
+    beside = f"(b + k + {n}) % {n}" if periodic else "b + k"
     return [
-        ("pairs", f"SELECT s.atom_id AS src, t.atom_id AS dst, {pairs}, lx, ly, lz FROM atoms s JOIN atoms t ON s.atom_id <> t.atom_id, cell"),
+        ("slabs", f"SELECT a.*, {slab} AS b FROM atoms a, cell"),
+        ("around", f"SELECT a.*, {beside} AS c FROM slabs a, cell, (VALUES (-1), (0), (1)) t(k)"),
+        ("pairs", f"SELECT s.atom_id AS src, t.atom_id AS dst, {pairs}, lx, ly, lz FROM around s JOIN slabs t ON s.c = t.b AND s.atom_id <> t.atom_id, cell"),
         ("moved", "SELECT src, dst, ix, iy, iz, rx + ix * lx AS dx, ry + iy * ly AS dy, rz + iz * lz AS dz FROM pairs"),
         ("near", f"SELECT *, dx * dx + dy * dy + dz * dz AS d2 FROM moved WHERE abs(dx) <= {cutoff} AND abs(dy) <= {cutoff} AND abs(dz) <= {cutoff} AND dx * dx + dy * dy + dz * dz <= {cutoff * cutoff}"),
         ("edges", f"SELECT *, {weight_of(cutoff, weight)} AS w FROM near"),
