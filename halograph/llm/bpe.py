@@ -19,8 +19,8 @@ from halograph.llm.common import worker_store
 from halograph.llm.token_counts import SPLIT
 
 NONE = 1 << 60
-#: Encodings kept in each worker; beyond it the table starts anew, which costs time and changes no result.
-CACHE_ENTRIES = 400_000
+#: Encodings of a generation; a worker keeps two, and what the older one holds is taken over when it is asked for.
+CACHE_ENTRIES = 300_000
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -48,36 +48,32 @@ def merge_pieces(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
         tree[v] = a if a < b else b
     end = list(range(1, n + 1))  # where the live piece that starts here ends
     before = list(range(-1, n - 1))
-
-    def put(i: int, key: int) -> None:
-        v = size + i
-        tree[v] = key
-        v >>= 1
-        while v:
-            a, b = tree[2 * v], tree[2 * v + 1]
-            least = a if a < b else b
-            if tree[v] == least:
-                break
-            tree[v] = least
-            v >>= 1
-
-    def pair(i: int) -> int:
+    low = size - 1
+    while (key := tree[1]) < NONE:
+        i = key & low
         j = end[i]
-        if j >= n:
-            return NONE
-        r = get(piece[i : end[j]])
-        return NONE if r is None else r * size + i
-
-    while tree[1] < NONE:
-        i = tree[1] % size
-        j = end[i]
-        end[i] = end[j]
-        if end[i] < n:
-            before[end[i]] = i
-        put(j, NONE)
-        put(i, pair(i))
+        k = end[i] = end[j]
+        changed = [(j, NONE)]
+        if k < n:
+            before[k] = i
+            r = get(piece[i : end[k]])
+            changed.append((i, NONE if r is None else r * size + i))
+        else:
+            changed.append((i, NONE))
         if (h := before[i]) >= 0:
-            put(h, pair(h))
+            r = get(piece[h:k])
+            changed.append((h, NONE if r is None else r * size + h))
+        for v, key in changed:
+            v += size
+            tree[v] = key
+            v >>= 1
+            while v:
+                a, b = tree[2 * v], tree[2 * v + 1]
+                least = a if a < b else b
+                if tree[v] == least:
+                    break
+                tree[v] = least
+                v >>= 1
     ids, i = [], 0
     while i < n:
         ids.append(ranks[piece[i : end[i]]])
@@ -85,22 +81,39 @@ def merge_pieces(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
     return ids
 
 
+class _Known(dict):
+    """Encodings by pre-token; one that is not there yet is made by ``fill``."""
+
+    def __init__(self, fill):
+        super().__init__()
+        self.fill = fill
+
+    def __missing__(self, word: str):
+        self.fill(word)
+        return dict.__getitem__(self, word)
+
+
 class ByteBpe:
     """Encoder and decoder over a rank table. ``encode`` gives ids, ``decode`` the bytes again."""
 
     def __init__(self, ranks: dict[bytes, int], pattern: str = SPLIT):
         self.ranks, self.find = ranks, regex.compile(pattern).findall
         self.bytes_of = {i: b for b, i in ranks.items()}
-        self.cache: dict[str, tuple[str, int, bytes]] = {}
-
-    def entry(self, word: str) -> tuple[str, int, bytes]:
-        """The word's ids as text, their number, and the bytes that these ids decode to."""
+        self.ids_text, self.back = _Known(self._fill), _Known(self._fill)
+        self.older: tuple[dict, dict] = ({}, {})
+
+    def _fill(self, word: str) -> None:
+        """The word's ids as text, and the bytes that these ids decode to."""
+        if len(self.ids_text) >= CACHE_ENTRIES:
+            self.older = (dict(self.ids_text), dict(self.back))
+            self.ids_text.clear()
+            self.back.clear()
+        if word in self.older[0]:
+            self.ids_text[word], self.back[word] = self.older[0][word], self.older[1][word]
+            return
         ids = merge_pieces(word.encode(), self.ranks)
-        got = (",".join(map(str, ids)), len(ids), self.decode(ids))
-        if len(self.cache) >= CACHE_ENTRIES:
-            self.cache.clear()
-        self.cache[word] = got
-        return got
+        self.ids_text[word] = ",".join(map(str, ids))
+        self.back[word] = self.decode(ids)
 
     def encode(self, text: str) -> list[int]:
         return [i for w in self.find(text) for i in merge_pieces(w.encode(), self.ranks)]
@@ -110,10 +123,10 @@ class ByteBpe:
 
     def digest(self, text: str) -> tuple[int, str, str]:
         """Number of ids, SHA-256 of the ids joined by commas, SHA-256 of the decoded bytes."""
-        cache, entry = self.cache, self.entry
-        got = [cache.get(w) or entry(w) for w in self.find(text)]
-        ids = hashlib.sha256(",".join([g[0] for g in got]).encode()).hexdigest()
-        return sum([g[1] for g in got]), ids, hashlib.sha256(b"".join([g[2] for g in got])).hexdigest()
+        words = self.find(text)
+        ids = ",".join(map(self.ids_text.__getitem__, words))
+        back = b"".join(map(self.back.__getitem__, words))
+        return ids.count(",") + 1 if words else 0, hashlib.sha256(ids.encode()).hexdigest(), hashlib.sha256(back).hexdigest()
 
 
 def _codec(shared) -> ByteBpe:
