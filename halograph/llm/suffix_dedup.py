@@ -54,8 +54,11 @@ def _risen(b: bytes, kind) -> np.ndarray:
 
 
 def anchors(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(first window, number of windows, document, 40-bit hash of the anchor) of each run of windows of one anchor."""
+    """(first window, number of windows, document, 40-bit hash of the anchor) of each run of windows of one anchor.
+
+    Places share a number with the hash and have its low 24 bits, so data is a slice below that (see _Chunk.parts)."""
     n = len(data)
+    assert n <= 1 << 24
     none = np.zeros(0, np.int64)
     if n < LENGTH:
         return none, none, none, np.zeros(0, np.uint64)
@@ -120,20 +123,27 @@ class _Chunk:
         self.data = np.frombuffer(pa.decompress(row["text"], row["size"], "zstd", asbytes=True), np.uint8) if row["size"] else np.zeros(0, np.uint8)
 
     def parts(self):
-        """(first document, data, offsets) of bounded slices."""
+        """(first document, first byte, data, offsets) of slices of at most SLICE_BYTES windows. A longer text is cut into
+        slices that overlap by LENGTH - 1 bytes, so each of its windows lies in one of them."""
         a, n = 0, len(self.ids)
         while a < n:
             b = max(a + 1, int(np.searchsorted(self.offsets, self.offsets[a] + SLICE_BYTES, "right")) - 1)
-            yield a, self.data[self.offsets[a] : self.offsets[b]], self.offsets[a : b + 1] - self.offsets[a]
+            low, high = int(self.offsets[a]), int(self.offsets[b])
+            if high - low <= SLICE_BYTES:
+                yield a, low, self.data[low:high], self.offsets[a : b + 1] - low
+            else:
+                for at in range(low, high - LENGTH + 1, SLICE_BYTES):
+                    data = self.data[at : min(at + SLICE_BYTES + LENGTH - 1, high)]
+                    yield a, at, data, np.array([0, len(data)])
             a = b
 
     def runs(self):
         """All runs of the chunk's documents with an identifier; places are bytes of the chunk."""
         found = []
-        for a, data, offsets in self.parts():
+        for a, low, data, offsets in self.parts():
             at, n, doc, h = anchors(data, offsets)
             keep = self.known[doc + a]
-            found.append((at[keep] + self.offsets[a], n[keep], doc[keep] + a, h[keep]))
+            found.append((at[keep] + low, n[keep], doc[keep] + a, h[keep]))
         return tuple(np.concatenate([f[k] for f in found]) for k in range(4)) if found else (np.zeros(0, np.int64),) * 3 + (np.zeros(0, np.uint64),)
 
 

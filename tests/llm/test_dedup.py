@@ -155,3 +155,32 @@ def test_repeats(make_docs, sha, heavy):
 def test_repeats_of_nothing(make_docs):
     assert suffix_dedup.suffix_dedup(make_docs([])).count() == 0
     assert suffix_dedup.suffix_dedup(make_docs([(1, None)])).first().n_removed == 0
+
+
+def test_repeats_far_into_a_long_text(make_docs):
+    """Single windows that stand again beyond byte 2**24 of one text, and across the bounds of slices."""
+    rng = random.Random(8)
+    passages = [rng.randbytes(25).hex() for _ in range(40)]
+    near, far = "".join(p + "-" for p in passages[:20]), "".join(p + "-" for p in passages[20:])
+    long = near + rng.randbytes(1 << 23).hex() + "-" + far
+    at = suffix_dedup.SLICE_BYTES - 25
+    long = long[:at] + passages[0] + long[at + 50 :]
+    got = suffix_dedup.suffix_dedup(make_docs([*enumerate(passages, 1), (99, long)]), texts=False).filter("doc_id = 99").first()
+    assert len(far) + (1 << 24) < got.n_bytes and (got.n_removed, got.n_spans) == (41 * 50, 41)
+
+
+def test_slices_hold_every_window_once(monkeypatch):
+    rng = random.Random(2)
+    texts = [bytes(rng.choice(b"abc") for _ in range(n)) for n in (0, 49, 50, 300, 64, 113, 114, 20, 1000)]
+    ends = np.cumsum([len(t) for t in texts])
+    chunk = object.__new__(suffix_dedup._Chunk)
+    chunk.ids, chunk.known = np.arange(len(texts)), np.ones(len(texts), bool)
+    chunk.offsets, chunk.data = np.concatenate([[0], ends]), np.frombuffer(b"".join(texts), np.uint8)
+
+    def windows():
+        return sorted((int(a) + k, int(d), int(h)) for a, n, d, h in zip(*chunk.runs()) for k in range(n))
+
+    whole = windows()
+    assert len(whole) == sum(max(0, len(t) - 49) for t in texts)
+    monkeypatch.setattr(suffix_dedup, "SLICE_BYTES", 64)
+    assert windows() == whole
