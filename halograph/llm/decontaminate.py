@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from halograph.llm.common import slices, worker_store
+from halograph.llm.common import ascii_lower, slices, worker_store
 
 #: Edits allowed for each character of an item.
 RATE = 0.08
@@ -83,11 +83,12 @@ class Matcher:
     HEAD, BITS, GRAM = 8, 20, 4
 
     def __init__(self, items: list[tuple[int, str]], rate: float):
-        self.items = {i: n for i, t in items if (n := normalise(t or ""))}
+        distinct = dict.fromkeys((i, n) for i, t in items if (n := normalise(t or "")))
+        self.ids, self.items = [i for i, _ in distinct], [n for _, n in distinct]  # an item is its row here, not its id
         self.rate, self.masks = rate, {}
         owners: dict[bytes, dict[bytes, list[tuple[int, int]]]] = {}
         self.short: list[tuple[bytes, int, int]] = []
-        for i, n in self.items.items():
+        for i, n in enumerate(self.items):
             for offset, piece in pieces(n, rate):
                 if len(piece) < self.HEAD:
                     self.short.append((piece, i, offset))
@@ -110,7 +111,7 @@ class Matcher:
         return fours[:-4].astype(np.uint64) | fours[4:].astype(np.uint64) << np.uint64(32)
 
     def find_all(self, texts: list[str]) -> list[tuple[int, int, int, int, int]]:
-        """(text number, item, distance, start, stop) of each item's best match, as bytes of the UTF-8 text."""
+        """(text number, item_id, distance, start, stop) of each item's best match, as bytes of the UTF-8 text."""
         docs = [normalise(t) for t in texts]
         joined = b"\n".join(docs)
         starts = np.cumsum([0] + [len(d) + 1 for d in docs])
@@ -138,7 +139,7 @@ class Matcher:
                 distance, stop = best
                 m = len(self.items[item])
                 start = max(0, stop - m - int(m * self.rate))
-                found.append((d, item, distance, *self._span(texts[d].encode(), start, stop)))
+                found.append((d, self.ids[item], distance, *self._span(texts[d].encode(), start, stop)))
         return found
 
     def _verify(self, doc: bytes, item: int, places: list[int]) -> tuple[int, int] | None:
@@ -184,8 +185,8 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, *, rate: float = RATE, b
 
     Letters A-Z match in either case and all white space is alike. ``start`` and ``stop`` bound the match in the UTF-8
     text of the document, to whole words. A null or blank text or item matches nothing; an item_id or doc_id may be null.
-    Repeated documents give repeated rows, repeated items (same id) count once. Empty tables give no rows. The benchmark
-    is a query set: it is read in blocks of at most ``block_bytes`` of text (a longer item is a block of its own), and
+    Repeated documents give repeated rows, repeated items (same id and text) count once; different texts of one id, or
+    without id, are items of their own. Empty tables give no rows. The benchmark is a query set: it is read in blocks of at most ``block_bytes`` of text (a longer item is a block of its own), and
     each block is searched for in all documents.
     """
     spark = docs.sparkSession
@@ -193,9 +194,10 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, *, rate: float = RATE, b
     items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").alias("text"))
     total = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     n_blocks = int(total // block_bytes) + 1
+    alike = F.trim(F.regexp_replace(ascii_lower(F.col("text")), r"[\x20\x09-\x0D]+", " "))  # as normalise: repeats meet in one block
     found = None
     for b in range(n_blocks):
-        rows = items.filter(F.pmod(F.xxhash64("text"), F.lit(n_blocks)) == b).collect() if n_blocks > 1 else items.collect()
+        rows = items.filter(F.pmod(F.xxhash64(alike), F.lit(n_blocks)) == b).collect() if n_blocks > 1 else items.collect()
         shared = spark.sparkContext.broadcast(([(r.item_id, r.text) for r in rows], rate))
         hits = source.mapInArrow(_search(shared), _HIT)
         found = hits if found is None else found.unionByName(hits)

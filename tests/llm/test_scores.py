@@ -138,3 +138,13 @@ def test_decontaminate_keeps_the_rest(spark, make_docs):
     assert sorted(str(r.doc_id) for r in decontaminate.decontaminate(docs, bench).collect()) == ["2", "3", "None"]
     assert decontaminate.contaminated(make_docs([]), bench).count() == 0
     assert decontaminate.contaminated(docs, bench.limit(0)).count() == 0
+
+
+def test_items_that_share_an_id_are_all_searched(spark, make_docs):
+    texts = ["the quick brown fox jumps over the lazy dog", "a second question that has the same number", "an item without any number at all", "one more item without a number"]
+    bench = spark.createDataFrame(list(zip([0, 0, None, None], texts)) + [(0, texts[0].upper() + "  ")], "item_id long, text string")
+    docs = make_docs([(k, f"before {t} after") for k, t in enumerate(texts)] + [(9, "clean")])
+    for block_bytes in (8 << 20, 60):
+        got = decontaminate.contaminated(docs, bench, block_bytes=block_bytes).collect()
+        assert sorted((r.doc_id, str(r.item_id)) for r in got) == [(0, "0"), (1, "0"), (2, "None"), (3, "None")]
+        assert [r.doc_id for r in decontaminate.decontaminate(docs, bench, block_bytes=block_bytes).collect()] == [9]
