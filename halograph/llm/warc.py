@@ -23,8 +23,6 @@ CRLF = "\r\n"
 VERSION = b"WARC/1.1\r\n"
 _START = re.compile(rb"WARC/1\.[01]\r\n")
 BLOCK_BYTES = 4 << 20
-#: Headers longer than this are no headers.
-HEADER_BYTES = 64 << 10
 _RECORD = "record_id string, record_type string, refers_to string, target_uri string, payload_bytes long, payload_digest string, payload binary, offset long, sound boolean"
 
 
@@ -99,17 +97,32 @@ def _headers(raw: bytes) -> dict[str, str]:
     return got
 
 
-def _successor(data: bytes, at: int) -> tuple[int, int, dict[str, str]] | None:
-    """(where the block begins, where the next record begins, headers) if a record header stands at ``at``."""
-    stop = data.find(b"\r\n\r\n", at, at + HEADER_BYTES)
-    if stop < 0:
-        return None
-    head = _headers(data[at:stop])
-    length = head.get("content-length", "")
-    if not length.isdigit():
-        return None
-    begin = stop + 4
-    return begin, begin + int(length) + 4, head
+def _number(digits: str) -> int | None:
+    """The number that ASCII digits write, if it can be a length of bytes."""
+    return int(digits) if digits.isascii() and digits.isdigit() and len(digits) <= 18 else None
+
+
+def _successors(data: bytes) -> dict[int, tuple[int, int]]:
+    """(where the block begins, where the next record begins) for each place at which a record header stands.
+
+    Places before the same blank line share it and the last length above it, so headers of any size take linear time.
+    """
+    found, stop, where, length = {}, -1, -1, None
+    for m in _START.finditer(data):
+        at = m.start()
+        if at > stop:
+            stop, where, length = data.find(b"\r\n\r\n", at), -1, None
+            if stop < 0:
+                break
+            place = at
+            for line in data[at:stop].split(b"\r\n"):
+                name, colon, value = line.partition(b":")
+                if colon and name.strip().lower() == b"content-length":
+                    where, length = place, _number(value.strip().decode("latin-1"))
+                place += len(line) + 2
+        if at < where and length is not None:
+            found[at] = stop + 4, stop + 4 + length + 4
+    return found
 
 
 def _plain(content: bytes) -> bytes:
@@ -124,8 +137,9 @@ def _plain(content: bytes) -> bytes:
     return b"".join(out)
 
 
-def _parse(data: bytes, at: int, got: tuple[int, int, dict[str, str]]) -> tuple:
-    begin, after, head = got
+def _parse(data: bytes, at: int, got: tuple[int, int]) -> tuple:
+    begin, after = got
+    head = _headers(data[at : begin - 4])
     block = data[begin : after - 4]
     http = block.find(b"\r\n\r\n")
     is_http = head.get("content-type", "").startswith("application/http") and http >= 0
@@ -134,7 +148,7 @@ def _parse(data: bytes, at: int, got: tuple[int, int, dict[str, str]]) -> tuple:
     if kind == "revisit":
         payload, sound = None, after - 4 <= len(data)
         n = _headers(block[:http]).get("content-length", "0") if http >= 0 else "0"
-        n = int(n) if n.isdigit() else 0
+        n = _number(n) or 0
     else:
         payload = block[http + 4 :] if is_http else block
         own = hashlib.sha256(payload).hexdigest()
@@ -150,10 +164,7 @@ def _candidates(block_bytes: int, payloads: bool):
         for batch in batches:
             for i in range(batch.num_rows):
                 path, data = batch.column(0)[i].as_py(), _plain(batch.column(1)[i].as_py())
-                found = {}
-                for m in _START.finditer(data):
-                    if got := _successor(data, m.start()):
-                        found[m.start()] = got
+                found = _successors(data)
                 leaves: dict[int, int | None] = {}
                 for at in sorted(found, reverse=True):
                     to = found[at][1]

@@ -32,6 +32,17 @@ def test_members_and_broken_chains(spark, tmp_path):
     assert sorted(bytes(r.payload) for r in got if r.sound) == [b"one", b"three", b"two", b"whole"]
 
 
+def test_long_headers_and_odd_lengths(spark, tmp_path):
+    odd = [f"WARC/1.1\r\nContent-Length: {n}\r\n\r\nabc\r\n\r\n" for n in ("²", "9" * 5000, "-1", "")]
+    rows = [(1, "http://a", "x", None), (2, "data:," + "u" * 100_000, "y", None), (3, "http://b", "".join(odd), None), (4, "http://c", "WARC/1.1\r\n" * 20_000, None), (5, "http://d", "z", None)]
+    path = warc.write_warc(spark.createDataFrame(rows, PAGES).coalesce(1), str(tmp_path / "w"), files=1)
+    for block in (1000, 1 << 20):
+        got = {r.record_id: r for r in warc.read_warc(spark, path, block_bytes=block).collect()}
+        assert len(got) == len(rows) and all(r.sound for r in got.values())
+        for i, url, html, _ in rows:
+            assert (got[f"<urn:page:{i}>"].target_uri, bytes(got[f"<urn:page:{i}>"].payload).decode()) == (url, html)
+
+
 def test_no_pages(spark, tmp_path):
     path = warc.write_warc(spark.createDataFrame([], PAGES), str(tmp_path / "none"))
     assert warc.read_warc(spark, path).count() == 0
