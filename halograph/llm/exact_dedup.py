@@ -1,9 +1,12 @@
 """Exact deduplication by a log-structured merge index over content digests (built-in functions only).
 
-Digest runs play the part of memtables: each holds the digests of some input partitions, is sorted by digest and
-flushed to Parquet with a Bloom filter on the digest column. Compaction merges all runs to one sorted level that
-keeps, for each digest, the identifier that stays and the number of rows. Documents that hit a digest of several
-rows are then compared byte by byte with the text that stays; a digest shared by different texts is split.
+Rows fill memtables of bounded size in the order in which they are read. Each memtable is flushed as a run: one entry for
+a digest, sorted by digest, in Parquet with a Bloom filter on the digest. Tiers of runs are compacted, FAN_IN runs to one,
+until one level is left that keeps, for each digest, the identifier that stays and the number of rows; the filters let
+``seen`` look up digests in a level without reading the row groups that cannot hold them. Verdicts go back to the rows
+by run and digest, so the rows of a digest, however many, lie in as many places as there are runs. Documents that hit a
+digest of several rows are then compared byte by byte with the text that stays; a digest shared by different texts is
+split.
 """
 
 from __future__ import annotations
@@ -13,6 +16,10 @@ from pyspark.sql import functions as F
 
 from halograph.llm.common import Scratch, ascii_lower
 
+#: Rows of a memtable.
+MEMTABLE_ROWS = 1 << 14
+#: Runs of a tier that are compacted to one run of the next.
+FAN_IN = 64
 #: Rows of one group that are compared with one copy of the text that stays.
 ROWS_PER_COPY = 512
 _FILTER = {"parquet.bloom.filter.enabled#digest": "true", "parquet.bloom.filter.expected.ndv#digest": "200000"}
@@ -22,44 +29,69 @@ def sha256_digest(normalised: Column) -> Column:
     return F.sha2(normalised, 256)
 
 
-def flush_runs(keyed: DataFrame, scratch: Scratch, runs: int = 8) -> DataFrame:
-    """Memtables to sorted runs: at most one entry for a digest in each run."""
-    entries = (
-        keyed.groupBy((F.spark_partition_id() % runs).alias("run"), "digest")
-        .agg(F.min("doc_id").alias("least"), F.max("doc_id").alias("most"), F.count(F.lit(1)).alias("n"))
-        .sortWithinPartitions("run", "digest")
-    )
-    return scratch.keep(entries, "runs", **_FILTER)
+def memtables(rows: DataFrame, memtable_rows: int = MEMTABLE_ROWS) -> DataFrame:
+    """The rows with the number of their memtable: so many rows in a row of one input partition."""
+    return rows.withColumn("run", F.call_function("div", F.monotonically_increasing_id(), F.lit(memtable_rows)))
+
+
+def flush(keyed: DataFrame, scratch: Scratch) -> DataFrame:
+    """Memtables to sorted runs: run, digest, least and most identifier, n."""
+    entries = keyed.groupBy("run", "digest").agg(F.min("doc_id").alias("least"), F.max("doc_id").alias("most"), F.count(F.lit(1)).alias("n"))
+    return scratch.keep(entries.sortWithinPartitions("run", "digest"), "runs", **_FILTER)
+
+
+def compact(tier: DataFrame, scratch: Scratch, fan_in: int = FAN_IN) -> DataFrame:
+    """Runs of a tier merged, ``fan_in`` to one, tier after tier until the last merge: the level, sorted by digest.
+
+    Runs are numbered by input partition in the high and by order in the low bits; partitions are merged last.
+    """
+    last = tier.agg(F.countDistinct("run")).first()[0] or 0  # one number
+    while last > fan_in:
+        merged = tier.groupBy(F.pmod(F.xxhash64("run"), F.lit(-(-last // fan_in))).alias("run"), "digest").agg(*_merged())
+        tier = scratch.keep(merged.sortWithinPartitions("run", "digest"), "tier", **_FILTER)
+        last = -(-last // fan_in)
+    return scratch.keep(tier.groupBy("digest").agg(*_merged()).sortWithinPartitions("digest"), "level", **_FILTER)
+
+
+def _merged() -> list[Column]:
+    return [F.min("least").alias("least"), F.max("most").alias("most"), F.sum("n").alias("n")]
+
+
+def build_index(docs: DataFrame, scratch: Scratch, *, digest=sha256_digest, memtable_rows: int = MEMTABLE_ROWS, fan_in: int = FAN_IN) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(rows with run and digest, runs, level) of a table of documents."""
+    text = F.coalesce(F.col("text"), F.lit(""))
+    source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), digest(ascii_lower(text)).alias("digest"))
+    keyed = scratch.keep(memtables(source, memtable_rows), "digests")
+    runs = flush(keyed, scratch)
+    return keyed, runs, compact(runs, scratch, fan_in)
 
 
-def compact(runs: DataFrame, scratch: Scratch, keep: str) -> DataFrame:
-    """All runs merged to one level: digest, keep_id, n."""
-    kept = F.min("least") if keep == "smallest" else F.max("most")
-    level = runs.groupBy("digest").agg(kept.alias("keep_id"), F.sum("n").alias("n")).sortWithinPartitions("digest")
-    return scratch.keep(level, "level", **_FILTER)
+def seen(level: DataFrame, digests: list[str]) -> DataFrame:
+    """The entries of a few digests: the predicate reaches the scan, whose filters pass over most row groups."""
+    return level.filter(F.col("digest").isin(digests))
 
 
-def exact_dedup(docs: DataFrame, *, keep: str = "smallest", digest=sha256_digest, scratch: Scratch | None = None) -> DataFrame:
+def exact_dedup(docs: DataFrame, *, keep: str = "smallest", digest=sha256_digest, memtable_rows: int = MEMTABLE_ROWS, fan_in: int = FAN_IN, scratch: Scratch | None = None) -> DataFrame:
     """One row a document: doc_id, keep_id, group_size, kept, digest.
 
-    Texts are equal when the same after lower-casing A-Z; a null text is empty. ``keep`` says which identifier of
-    equal texts stays. Repeated rows (same identifier and text) each count in group_size and share the verdict. A null
-    doc_id never stays while its group has another; a group of null identifiers only has keep_id null and is not kept.
-    Other columns of ``docs`` are not read. An empty table gives an empty result.
+    Texts are equal when the same after lower-casing A-Z; a null text is empty, texts of any length are compared whole.
+    ``keep`` says which identifier of equal texts stays. Repeated rows (same identifier and text) each count in
+    group_size and share the verdict. A null doc_id never stays while its group has another; a group of null identifiers
+    only has keep_id null and is not kept. Other columns of ``docs`` are not read. An empty table gives an empty result.
     """
     scratch = scratch or Scratch(docs.sparkSession)
-    pick = F.min if keep == "smallest" else F.max
+    pick, stays = (F.min, "least") if keep == "smallest" else (F.max, "most")
     text = F.coalesce(F.col("text"), F.lit(""))
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"))
-    keyed = scratch.keep(source.select("doc_id", digest(ascii_lower(F.col("text"))).alias("digest")), "digests")
-    level = compact(flush_runs(keyed, scratch), scratch, keep)
+    keyed, runs, level = build_index(docs, scratch, digest=digest, memtable_rows=memtable_rows, fan_in=fan_in)
 
-    single = keyed.join(level.filter("n = 1").select("digest"), "digest", "left_semi")
-    alone = single.select("doc_id", F.col("doc_id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), "digest")
+    # The verdict of a digest goes to each run that has it, and from there to the rows of the run.
+    told = runs.select("run", "digest").join(level.select("digest", F.col(stays).alias("stays"), "n"), "digest")
+    judged = scratch.keep(keyed.join(told, ["run", "digest"]), "judged")
+    alone = judged.filter("n = 1").select("doc_id", F.col("doc_id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), "digest")
 
-    hits = keyed.join(level.filter("n > 1"), "digest")
-    # Their texts are fetched by doc_id, which is spread evenly however large a group is.
-    wanted = hits.select("doc_id", "digest", F.col("keep_id").alias("stays"), "n").distinct()
+    # The texts of hits are fetched by doc_id, which is spread evenly however large a group is.
+    wanted = judged.filter("n > 1").select("doc_id", "digest", "stays", "n").distinct()
     fetched = scratch.keep(
         source.join(wanted, source.doc_id.eqNullSafe(wanted.doc_id))
         .select(source.doc_id, ascii_lower(F.col("text")).alias("body"), "digest", "stays", "n")
@@ -67,19 +99,21 @@ def exact_dedup(docs: DataFrame, *, keep: str = "smallest", digest=sha256_digest
         "hits",
     )
     copies = (F.col("n") / ROWS_PER_COPY).cast("long")
+    part = F.pmod(F.xxhash64("doc_id", F.lit(7)), copies + 1)
     model = (
         fetched.filter(F.col("doc_id").eqNullSafe(F.col("stays")))
         .groupBy("digest", "n")
         .agg(F.min("body").alias("model"))
         .select("digest", "model", F.explode(F.sequence(F.lit(0).cast("long"), copies)).alias("part"))
     )
-    dealt = fetched.withColumn("part", F.pmod(F.xxhash64("doc_id", F.lit(7)), copies + 1))
-    compared = dealt.join(model, ["digest", "part"]).select(
-        "doc_id", "digest", F.when(F.col("body") == F.col("model"), F.lit("")).otherwise(F.concat(F.lit("="), "body")).alias("other")
+    compared = fetched.withColumn("part", part).join(model, ["digest", "part"]).select(
+        "doc_id", "digest", "part", F.when(F.col("body") == F.col("model"), F.lit("")).otherwise(F.concat(F.lit("="), "body")).alias("other")
     )
     verified = scratch.keep(compared, "verified")
-    groups = verified.groupBy("digest", "other").agg(pick("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size"))
-    several = verified.join(groups, ["digest", "other"]).select("doc_id", "keep_id", "group_size", "digest")
+    groups = verified.groupBy("digest", "part", "other").agg(pick("doc_id").alias("best"), F.count(F.lit(1)).alias("rows"))
+    whole = groups.groupBy("digest", "other").agg(pick("best").alias("keep_id"), F.sum("rows").alias("group_size"))
+    parts = groups.select("digest", "part", "other").join(whole, ["digest", "other"])
+    several = verified.join(parts, ["digest", "part", "other"]).select("doc_id", "keep_id", "group_size", "digest")
     return alone.unionByName(several).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("keep_id"), F.lit(False)))
 
 
