@@ -1,4 +1,4 @@
-"""Removal of byte strings that already occur in an earlier document, on suffix order of the whole collection.
+"""Removal of byte strings that already occur in an earlier document, on suffix order of the collection.
 
 All windows of LENGTH bytes with the same smallest inner GRAM (their anchor) meet in one place, so the collection is
 split by anchors: runs of neighbouring windows of one anchor are short strings, and the strings of a group of anchors
@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from halograph.llm.column_bwt import SHIFT, build
+from halograph.llm.column_bwt import MEMORY_ROWS, SHIFT, build
 from halograph.llm.common import Scratch, mix, power_table, slices, span_hashes, text_bytes
 
 LENGTH, GRAM = 50, 28
@@ -54,9 +54,10 @@ def _risen(b: bytes, kind) -> np.ndarray:
 
 
 def anchors(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(first window, number of windows, document, 40-bit hash of the anchor) of each run of windows of one anchor.
+    """(first window, number of windows, document, 64-bit hash of the anchor) of each run of windows of one anchor.
 
-    Places share a number with the hash and have its low 24 bits, so data is a slice below that (see _Chunk.parts)."""
+    While the smallest is looked for, places share a number with the hash and have its low 24 bits, so data is a slice
+    below that (see _Chunk.parts)."""
     n = len(data)
     assert n <= 1 << 24
     none = np.zeros(0, np.int64)
@@ -64,8 +65,8 @@ def anchors(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarr
         return none, none, none, np.zeros(0, np.uint64)
     total = np.zeros(n + 1, np.uint64)
     np.cumsum((data.astype(np.uint64) + np.uint64(1)) * power_table(n), out=total[1:])
-    key = mix((total[GRAM:] - total[:-GRAM]) * power_table(n + 1, True)[: n - GRAM + 1])
-    key = (key & np.uint64(0xFFFFFFFFFF000000)) | np.arange(len(key), dtype=np.uint64)  # the leftmost of equals
+    name = mix((total[GRAM:] - total[:-GRAM]) * power_table(n + 1, True)[: n - GRAM + 1])
+    key = (name & np.uint64(0xFFFFFFFFFF000000)) | np.arange(len(name), dtype=np.uint64)  # the leftmost of equals
     width = 1
     while 2 * width <= REACH:
         key = np.minimum(key[:-width], key[width:])
@@ -81,7 +82,7 @@ def anchors(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarr
     edge = np.ones(len(key), bool)
     edge[1:] = (key[1:] != key[:-1]) | (doc[1:] != doc[:-1])
     head = np.flatnonzero(edge)
-    return inner[head], np.diff(np.append(head, len(key))), doc[head], key[head] >> np.uint64(24)
+    return inner[head], np.diff(np.append(head, len(key))), doc[head], name[(key[head] & np.uint64(0xFFFFFF)).astype(np.int64)]
 
 
 def _chunks(batches):
@@ -163,6 +164,14 @@ def _strings(chunk: "_Chunk", at: np.ndarray, n: np.ndarray) -> np.ndarray:
     return out
 
 
+def _split(group: np.ndarray, a: int = 4096):
+    """(group, first, end) of the runs of a rising column, so many at a time: only groups that are there cost anything."""
+    own, first = np.unique(group, return_index=True)
+    ends = np.append(first[1:], len(group))
+    for k in range(0, len(own), a):
+        yield list(zip(own[k : k + a].tolist(), first[k : k + a].tolist(), ends[k : k + a].tolist()))
+
+
 def _offer(groups: int):
     """The anchors of each chunk by group, a check of each distinct string at them, and the number of its runs."""
 
@@ -171,18 +180,19 @@ def _offer(groups: int):
             for row in _dicts(batch):
                 chunk = _Chunk(row)
                 at, n, _, h = chunk.runs()
-                check = _strings(chunk, at, n) >> np.uint64(24)
+                check = _strings(chunk, at, n)
                 order = np.lexsort((check, h))
                 h, check = h[order], check[order]
                 edge = np.ones(len(h), bool)
                 edge[1:] = (h[1:] != h[:-1]) | (check[1:] != check[:-1])
                 head = np.flatnonzero(edge)
                 n, h, check = np.diff(np.append(head, len(h))).astype(np.int32), h[head], check[head]
-                cut = np.searchsorted(h, [(g << 40) // groups for g in range(groups + 1)])
-                for a in range(0, groups, 4096):
-                    own = [g for g in range(a, min(a + 4096, groups)) if cut[g] < cut[g + 1]]
-                    packed = [pa.array([f(x[cut[g] : cut[g + 1]]) for g in own], pa.binary()) for f, x in ((_rising, h), (_pack, check), (_pack, n))]
-                    yield pa.RecordBatch.from_arrays([pa.array(own, pa.int32()), pa.array([row["chunk"]] * len(own), pa.int64()), *packed], names=["group", "chunk", "anchors", "checks", "runs"])
+                group = (h % np.uint64(groups)).astype(np.int64)
+                order = np.argsort(group, kind="stable")  # anchors keep rising inside a group
+                group, n, h, check = group[order], n[order], h[order], check[order]
+                for own in _split(group):
+                    packed = [pa.array([f(x[a:b]) for _, a, b in own], pa.binary()) for f, x in ((_rising, h), (_pack, check), (_pack, n))]
+                    yield pa.RecordBatch.from_arrays([pa.array([g for g, _, _ in own], pa.int32()), pa.array([row["chunk"]] * len(own), pa.int64()), *packed], names=["group", "chunk", "anchors", "checks", "runs"])
 
     return run
 
@@ -213,6 +223,31 @@ def _shared(heavy: int):
     return run
 
 
+def _distinct(chunk: "_Chunk", at: np.ndarray, n: np.ndarray, anchor: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(first run of each distinct string, which string each run covers); strings of one hash are told apart by bytes."""
+    if not len(at):
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    keys = np.stack([anchor, _strings(chunk, at, n)], 1)
+    _, first, which = np.unique(keys.view([("a", np.uint64), ("s", np.uint64)]).ravel(), return_index=True, return_inverse=True)
+    size, model = n + LENGTH - 1, first[which]
+    same = size == size[model]
+    length = np.where(same, size, 0)
+    differ = chunk.data[_spread(at, length)] != chunk.data[_spread(at[model], length)]
+    odd = np.flatnonzero(~same)
+    if differ.any():
+        odd = np.union1d(odd, np.repeat(np.arange(len(at)), length)[differ])
+    for k in odd.tolist():  # of one hash but of other bytes: a string of its own
+        which[k] = len(first)
+        first = np.append(first, k)
+    return first, which
+
+
+def _digests(chunk: "_Chunk", at: np.ndarray, n: np.ndarray) -> bytes:
+    """128-bit digests of strings, one after another: chunks agree on a string by its bytes, not by a short hash."""
+    data = memoryview(np.ascontiguousarray(chunk.data))
+    return b"".join([hashlib.blake2b(data[a : a + m + LENGTH - 1], digest_size=16).digest() for a, m in zip(at.tolist(), n.tolist())])
+
+
 def _member(x: np.ndarray, rising: np.ndarray) -> np.ndarray:
     if not len(rising):
         return np.zeros(len(x), bool)
@@ -231,12 +266,13 @@ def _send(groups: int):
                 single, several, heavy = (np.sort(np.concatenate([np.zeros(0, np.uint64)] + [_risen(x[k], np.uint64) for x in row["lists"]])) for k in ("single", "several", "heavy"))
                 at, n, doc, h = chunk.runs()
                 alike, differ = _member(h, single), _member(h, several)
-                # single anchors: the anchor names the string
-                anchor, first1, which1 = np.unique(h[alike], return_index=True, return_inverse=True)
-                least1 = np.full(len(anchor), _LARGEST)
-                np.minimum.at(least1, which1, chunk.ids[doc[alike]])
+                # single anchors: the anchor and a digest of the bytes name the string
+                at1, n1, doc1, h1 = at[alike], n[alike], doc[alike], h[alike]
+                first1, which1 = _distinct(chunk, at1, n1, h1)
+                anchor, least1 = h1[first1], np.full(len(first1), _LARGEST)
+                np.minimum.at(least1, which1, chunk.ids[doc1])
                 group1 = (mix(anchor) % np.uint64(groups)).astype(np.int64)
-                order1 = np.argsort(group1, kind="stable")
+                order1 = np.lexsort((anchor, group1))
                 rank1 = np.empty(len(order1), np.int64)
                 rank1[order1] = np.arange(len(order1))
                 at2, n2, doc2, h2 = at[differ], n[differ], doc[differ], h[differ]
@@ -246,7 +282,8 @@ def _send(groups: int):
                     own = np.repeat(doc2[wide], n2[wide])
                     at2, doc2, n2 = np.concatenate([at2[~wide], each]), np.concatenate([doc2[~wide], own]), np.concatenate([n2[~wide], np.ones(len(each), np.int64)])
                     h2 = np.concatenate([h2[~wide], np.zeros(len(each), np.uint64)])
-                name, first2, which2 = np.unique(_strings(chunk, at2, n2), return_index=True, return_inverse=True)
+                first2, which2 = _distinct(chunk, at2, n2, h2)
+                name = _strings(chunk, at2[first2], n2[first2])
                 least2 = np.full(len(name), _LARGEST)
                 np.minimum.at(least2, which2, chunk.ids[doc2])
                 group2 = (np.where(h2[first2] > 0, mix(h2[first2]), name) % np.uint64(groups)).astype(np.int64)
@@ -255,21 +292,23 @@ def _send(groups: int):
                 rank2[order2] = np.arange(len(order2))
                 # where: single ones first, then the others, each by document and place
                 places = []
-                for r, a, m, d in ((rank1[which1], at[alike], n[alike], doc[alike]), (rank2[which2], at2, n2, doc2)):
+                for r, a, m, d in ((rank1[which1], at1, n1, doc1), (rank2[which2], at2, n2, doc2)):
                     o = np.lexsort((a, d))
                     places += [_pack(r[o].astype(np.uint32)), _pack(m[o].astype(np.uint8)), _pack(np.diff(a[o], prepend=0).astype(np.int32)), _pack(d[o].astype(np.uint32))]
                 yield _sent([-1], [row["chunk"]], *[[x] for x in places])
-                cut1 = np.searchsorted(group1[order1], np.arange(groups + 1))
-                cut2 = np.searchsorted(group2[order2], np.arange(groups + 1))
-                for base in range(0, groups, 4096):
-                    own = [g for g in range(base, min(base + 4096, groups)) if cut1[g] < cut1[g + 1] or cut2[g] < cut2[g + 1]]
+                bounds = ({g: (a, b) for own in _split(x) for g, a, b in own} for x in (group1[order1], group2[order2]))
+                cut1, cut2 = bounds
+                present = sorted(cut1.keys() | cut2.keys())
+                for base in range(0, len(present), 4096):
+                    own = present[base : base + 4096]
                     cols = [[] for _ in range(8)]
                     for g in own:
-                        one, pick = order1[cut1[g] : cut1[g + 1]], order2[cut2[g] : cut2[g + 1]]
+                        (a1, b1), (a2, b2) = cut1.get(g, (0, 0)), cut2.get(g, (0, 0))
+                        one, pick = order1[a1:b1], order2[a2:b2]
                         s, size = at2[first2[pick]], n2[first2[pick]] + LENGTH - 1
-                        body = chunk.data[np.repeat(s - np.concatenate([[0], np.cumsum(size)[:-1]])[: len(s)], size) + np.arange(size.sum())] if len(pick) else np.zeros(0, np.uint8)
-                        bases = int(cut1[g]).to_bytes(8, "little") + int(cut2[g]).to_bytes(8, "little")
-                        parts = (_rising(anchor[one]), _pack(least1[one]), _pack(name[pick]), _pack(size.astype(np.uint8)), _pack(least2[pick]), pa.compress(body.tobytes(), "zstd", asbytes=True) if len(body) else b"", bases, b"")
+                        body = chunk.data[_spread(s, size)] if len(pick) else np.zeros(0, np.uint8)
+                        bases = a1.to_bytes(8, "little") + a2.to_bytes(8, "little")
+                        parts = (_rising(anchor[one]), _pack(least1[one]), _pack(name[pick]), _pack(size.astype(np.uint8)), _pack(least2[pick]), pa.compress(body.tobytes(), "zstd", asbytes=True) if len(body) else b"", bases, _digests(chunk, at1[first1[one]], n1[first1[one]]))
                         for c, v in zip(cols, parts):
                             c.append(v)
                     yield _sent(own, [row["chunk"]] * len(own), *cols)
@@ -284,11 +323,11 @@ def _sent(group, chunk, *binaries) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(group, pa.int32()), pa.array(chunk, pa.int64()), *(pa.array(x, pa.binary()) for x in binaries)], names=["group", "chunk", *"abcdefgh"])
 
 
-def first_holders(data: np.ndarray, sizes: np.ndarray, least: np.ndarray) -> np.ndarray:
+def first_holders(data: np.ndarray, sizes: np.ndarray, least: np.ndarray, in_memory: int = MEMORY_ROWS) -> np.ndarray:
     """For every window of every string, the smallest identifier of any string that holds the same LENGTH bytes."""
     starts = np.concatenate([[0], np.cumsum(sizes)[:-1]]).astype(np.int64)
     windows = np.concatenate([[0], np.cumsum(sizes - LENGTH + 1)])
-    _, lcp, names = build(data, starts, sizes)
+    _, lcp, names = build(data, starts, sizes, in_memory=in_memory)
     string, size = names // SHIFT, names % SHIFT
     real = np.flatnonzero(size >= LENGTH)
     holder = np.cumsum(lcp < LENGTH)[real]
@@ -308,24 +347,38 @@ def _smallest(names: list[np.ndarray], least: np.ndarray) -> tuple[np.ndarray, n
     return smallest, first, which
 
 
+def _verified(name: np.ndarray, data: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """Numbers of distinct strings: by name, and where bytes under one name differ, each row by itself."""
+    _, first, which = np.unique(name, return_index=True, return_inverse=True)
+    model = first[which]
+    same = sizes == sizes[model]
+    length = np.where(same, sizes, 0)
+    differ = data[_spread(starts, length)] != data[_spread(starts[model], length)]
+    odd = np.union1d(np.flatnonzero(~same), np.repeat(np.arange(len(name)), length)[differ]) if differ.any() else np.flatnonzero(~same)
+    which = which.astype(np.uint64)
+    which[odd] = len(first) + np.arange(len(odd), dtype=np.uint64)
+    return which
+
+
 def _spread(begin: np.ndarray, n: np.ndarray) -> np.ndarray:
     """begin[0] .. begin[0] + n[0] - 1, begin[1] .. and so on."""
     return np.repeat(begin - np.concatenate([[0], np.cumsum(n)[:-1]])[: len(n)], n) + np.arange(n.sum())
 
 
-def _group(table: pa.Table) -> pa.Table:
+def _group(table: pa.Table, in_memory: int = MEMORY_ROWS) -> pa.Table:
     """Answers of a group to every chunk: the smallest identifier for each single anchor, and for each window of a string."""
-    col = {n: table.column(n).to_pylist() for n in ("chunk", *"abcdefg")}
+    col = {n: table.column(n).to_pylist() for n in ("chunk", *"abcdefgh")}
     anchor = [_risen(x, np.uint64) for x in col["a"]]
-    smallest1, _, which1 = _smallest(anchor, np.concatenate([_unpack(x, np.int64) for x in col["b"]]))
+    named = [np.concatenate([x[:, None], np.frombuffer(d, np.uint64).reshape(-1, 2)], 1).view("u8,u8,u8").ravel() for x, d in zip(anchor, col["h"])]
+    smallest1, _, which1 = _smallest(named, np.concatenate([_unpack(x, np.int64) for x in col["b"]]))
     name = [_unpack(x, np.uint64) for x in col["c"]]
     size = [_unpack(x, np.uint8).astype(np.int64) for x in col["d"]]
-    smallest2, first, which2 = _smallest(name, np.concatenate([_unpack(x, np.int64) for x in col["e"]]))
     data = np.concatenate([np.frombuffer(pa.decompress(x, int(s.sum()), "zstd", asbytes=True), np.uint8) if x else np.zeros(0, np.uint8) for x, s in zip(col["f"], size)])
     sizes = np.concatenate(size)
     starts = np.cumsum(sizes) - sizes
+    smallest2, first, which2 = _smallest([_verified(np.concatenate(name), data, starts, sizes)], np.concatenate([_unpack(x, np.int64) for x in col["e"]]))
     s = sizes[first]
-    holders = first_holders(data[_spread(starts[first], s)], s, smallest2)
+    holders = first_holders(data[_spread(starts[first], s)], s, smallest2, in_memory)
     windows = s - LENGTH + 1
     at = np.cumsum(windows) - windows
     cut1, cut2 = np.cumsum([0] + [len(x) for x in anchor]), np.cumsum([0] + [len(x) for x in name])
@@ -384,13 +437,14 @@ def _finish(texts: bool):
     return run
 
 
-def suffix_dedup(docs: DataFrame, *, texts: bool = True, heavy: int = HEAVY, scratch: Scratch | None = None) -> DataFrame:
+def suffix_dedup(docs: DataFrame, *, texts: bool = True, heavy: int = HEAVY, in_memory: int = MEMORY_ROWS, scratch: Scratch | None = None) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256, spans, kept for every row.
 
     A byte goes if it lies in a window of 50 bytes that also starts in a document with a smaller doc_id; all windows are
     judged on the input. ``kept`` (what is left; null without ``texts``) may end inside a letter. A null text is empty,
     texts under 50 bytes are whole. Rows of one doc_id do not remove from each other; a row without doc_id neither
-    removes nor loses anything. Other columns are not read; an empty table gives an empty result.
+    removes nor loses anything. Other columns are not read; an empty table gives an empty result. Collections of a group
+    of anchors over ``in_memory`` suffixes are ordered through files of the task, smaller ones in memory.
     """
     scratch = scratch or Scratch(docs.sparkSession)
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").alias("text"))
@@ -400,7 +454,7 @@ def suffix_dedup(docs: DataFrame, *, texts: bool = True, heavy: int = HEAVY, scr
     shared = offered.groupBy("group").applyInArrow(_shared(heavy), "chunk long, single binary, several binary, heavy binary")
     lists = shared.groupBy("chunk").agg(F.collect_list(F.struct("single", "several", "heavy")).alias("lists"))  # at most the anchors of a chunk
     sent = scratch.keep(chunks.join(lists, "chunk").mapInArrow(_send(groups), _SENT), "sent")
-    holders = sent.filter("group >= 0").groupBy("group").applyInArrow(_group, "chunk long, base binary, one binary, many binary")
+    holders = sent.filter("group >= 0").groupBy("group").applyInArrow(lambda t: _group(t, in_memory), "chunk long, base binary, one binary, many binary")
     per_chunk = holders.groupBy("chunk").agg(F.collect_list(F.struct("base", "one", "many")).alias("groups"))
     whole = chunks.join(sent.filter("group < 0").drop("group"), "chunk", "left").join(per_chunk, "chunk", "left")
     return whole.mapInArrow(_finish(texts), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, spans array<struct<start:long,stop:long>>, kept binary")

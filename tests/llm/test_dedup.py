@@ -138,15 +138,15 @@ def repeat_truth(pairs):
     return out
 
 
-@pytest.mark.parametrize("heavy", [2, 20_000])
-def test_repeats(make_docs, sha, heavy):
+@pytest.mark.parametrize("heavy, in_memory", [(2, 0), (20_000, 0), (20_000, 8 << 20)])
+def test_repeats(make_docs, sha, heavy, in_memory):
     rng = random.Random(4)
     word = lambda: "".join(rng.choice("abcdeé") for _ in range(rng.randint(2, 7)))
     text = lambda n: " ".join(word() for _ in range(n))
     passage, other = text(14), text(20)
     docs = [text(30) + passage + text(10), passage + other, other[3:] + text(5) + passage[5:70], passage[:49], passage[:50], "ab" * 300, "x" + "ab" * 100, None, "", passage + passage, text(60)]
     pairs = list(zip([7, 3, 12, 4, 5, 20, 21, 1, 2, 30, 9], docs)) + [(12, passage), (None, passage)]
-    got = suffix_dedup.suffix_dedup(make_docs(pairs, ["chunk", "group"]), heavy=heavy).collect()
+    got = suffix_dedup.suffix_dedup(make_docs(pairs, ["chunk", "group"]), heavy=heavy, in_memory=in_memory).collect()
     assert sorted(str((r.doc_id, r.n_bytes, r.n_removed, r.n_spans, bytes(r.kept), r.kept_sha256)) for r in got) == sorted(str((*x, sha(x[-1]))) for x in repeat_truth(pairs))
     for r in got:
         assert sum(s.stop - s.start for s in r.spans) == r.n_removed and len(r.spans) == r.n_spans
