@@ -13,16 +13,16 @@ from bisect import bisect_right
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from halograph.llm.common import ascii_lower, slices, worker_store
 
 #: Edits allowed for each character of an item.
 RATE = 0.08
-#: Benchmark text that is looked for at once; a larger benchmark is searched in blocks of this size.
+#: Benchmark text that is looked for at once; a larger benchmark is searched in blocks of about this size.
 BLOCK_BYTES = 8 << 20
-_HIT = "doc_id long, item_id long, distance int, start long, stop long"
+_HIT = "doc_id long, item string, distance int, start long, stop long"
 
 
 def normalise(text: str) -> bytes:
@@ -82,9 +82,8 @@ class Matcher:
 
     HEAD, BITS, GRAM = 8, 20, 4
 
-    def __init__(self, items: list[tuple[int, str]], rate: float):
-        distinct = dict.fromkeys((i, n) for i, t in items if (n := normalise(t or "")))
-        self.ids, self.items = [i for i, _ in distinct], [n for _, n in distinct]  # an item is its row here, not its id
+    def __init__(self, items: list[str], rate: float):
+        self.items = list(dict.fromkeys(n for t in items if (n := normalise(t or ""))))  # an item is its text here, not its id
         self.rate, self.masks = rate, {}
         owners: dict[bytes, dict[bytes, list[tuple[int, int]]]] = {}
         self.short: list[tuple[bytes, int, int]] = []
@@ -111,7 +110,7 @@ class Matcher:
         return fours[:-4].astype(np.uint64) | fours[4:].astype(np.uint64) << np.uint64(32)
 
     def find_all(self, texts: list[str]) -> list[tuple[int, int, int, int, int]]:
-        """(text number, item_id, distance, start, stop) of each item's best match, as bytes of the UTF-8 text."""
+        """(text number, item number, distance, start, stop) of each item's best match, as bytes of the UTF-8 text."""
         docs = [normalise(t) for t in texts]
         joined = b"\n".join(docs)
         starts = np.cumsum([0] + [len(d) + 1 for d in docs])
@@ -139,7 +138,7 @@ class Matcher:
                 distance, stop = best
                 m = len(self.items[item])
                 start = max(0, stop - m - int(m * self.rate))
-                found.append((d, self.ids[item], distance, *self._span(texts[d].encode(), start, stop)))
+                found.append((d, item, distance, *self._span(texts[d].encode(), start, stop)))
         return found
 
     def _verify(self, doc: bytes, item: int, places: list[int]) -> tuple[int, int] | None:
@@ -180,53 +179,86 @@ class Matcher:
         return starts[max(0, bisect_right(heads, a) - 1)], ends[max(0, bisect_right(heads, b - 1) - 1)]
 
 
+def _blocks(benchmark: DataFrame, rate: float, block_bytes: int) -> list:
+    """Broadcasts of the distinct normalised texts of a benchmark, numbered by text: no text is in two blocks, so a
+    block holds about ``block_bytes`` however often an item is repeated."""
+    spark = benchmark.sparkSession
+    texts = benchmark.select(normal_text(F.col("text")).alias("text")).filter("text <> ''").distinct()
+    total = texts.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    n = int(total // block_bytes) + 1
+    for b in range(n):
+        part = texts.filter(F.pmod(F.xxhash64("text"), F.lit(n)) == b) if n > 1 else texts
+        yield spark.sparkContext.broadcast(([r.text for r in part.collect()], rate))
+
+
+def normal_text(text: Column) -> Column:
+    """What ``normalise`` does, as a column: equal items meet by it."""
+    return F.coalesce(F.trim(F.regexp_replace(ascii_lower(text), r"[\x20\x09-\x0D]+", " ")), F.lit(""))
+
+
 def contaminated(docs: DataFrame, benchmark: DataFrame, *, rate: float = RATE, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """doc_id, item_id, distance, start, stop for every document and item within the edit budget of each other.
 
     Letters A-Z match in either case and all white space is alike. ``start`` and ``stop`` bound the match in the UTF-8
-    text of the document, to whole words. A null or blank text or item matches nothing; an item_id or doc_id may be null.
-    Repeated documents give repeated rows, repeated items (same id and text) count once; different texts of one id, or
-    without id, are items of their own. Empty tables give no rows. The benchmark is a query set: it is read in blocks of at most ``block_bytes`` of text (a longer item is a block of its own), and
-    each block is searched for in all documents.
+    text of the document, to whole words; of equal matches the first. A null or blank text or item matches nothing; an
+    item_id or doc_id may be null. Repeated documents give repeated rows, repeated items (same id and text) count once;
+    different texts of one id, or without id, are items of their own. Other columns are not read, empty tables give no
+    rows, texts of any length are searched whole. The benchmark is a query set: its texts are read in blocks of about
+    ``block_bytes`` (a longer item is a block of its own), and each block is searched for in all documents.
     """
-    spark = docs.sparkSession
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").alias("text"))
-    items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").alias("text"))
-    total = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    n_blocks = int(total // block_bytes) + 1
-    alike = F.trim(F.regexp_replace(ascii_lower(F.col("text")), r"[\x20\x09-\x0D]+", " "))  # as normalise: repeats meet in one block
     found = None
-    for b in range(n_blocks):
-        rows = items.filter(F.pmod(F.xxhash64(alike), F.lit(n_blocks)) == b).collect() if n_blocks > 1 else items.collect()
-        shared = spark.sparkContext.broadcast(([(r.item_id, r.text) for r in rows], rate))
+    for shared in _blocks(benchmark, rate, block_bytes):
         hits = source.mapInArrow(_search(shared), _HIT)
         found = hits if found is None else found.unionByName(hits)
-    return found
+    names = benchmark.select(F.col("item_id").cast("long").alias("item_id"), normal_text(F.col("text")).alias("item")).distinct()
+    return found.join(names, "item").select("doc_id", "item_id", "distance", "start", "stop")
+
+
+def _matcher(key: str, shared) -> Matcher:
+    store = worker_store("matcher")
+    if key not in store:
+        if len(store) >= 2:  # blocks are searched one after another
+            store.clear()
+        store[key] = Matcher(*shared.value)
+    return store[key]
 
 
 def _search(shared):
     key = uuid.uuid4().hex
 
     def run(batches):
-        store = worker_store("matcher")
-        if store.get("key") != key:
-            store.update(key=key, matcher=Matcher(*shared.value))
-        find = store["matcher"].find_all
-        kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64())
+        matcher = _matcher(key, shared)
+        kinds = (pa.int64(), pa.string(), pa.int32(), pa.int64(), pa.int64())
         for batch in batches:
             for part in slices(batch, "text", 4 << 20):
                 ids = part.column(0).to_pylist()
-                out = [(ids[d], *hit) for d, *hit in find([t.as_py() or "" for t in part.column(1)])]
-                yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in out], t) for k, t in enumerate(kinds)], names=["doc_id", "item_id", "distance", "start", "stop"])
+                out = [(ids[d], matcher.items[item].decode(), *hit) for d, item, *hit in matcher.find_all([t.as_py() or "" for t in part.column(1)])]
+                yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in out], t) for k, t in enumerate(kinds)], names=["doc_id", "item", "distance", "start", "stop"])
+
+    return run
+
+
+def _clean(shared):
+    key = uuid.uuid4().hex
+
+    def run(batches):
+        matcher = _matcher(key, shared)
+        for batch in batches:
+            for part in slices(batch, "text", 4 << 20):
+                texts = part.column(part.schema.get_field_index("text"))
+                bad = {d for d, *_ in matcher.find_all([t.as_py() or "" for t in texts])}
+                yield part.filter(pa.array([d not in bad for d in range(part.num_rows)], pa.bool_()))
 
     return run
 
 
-def decontaminate(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
-    """The documents, all columns, without those that hold a benchmark item. Rows that share
-    a doc_id share the verdict."""
-    bad = contaminated(docs, benchmark, **options).select(F.col("doc_id").alias("_bad")).distinct()
-    return docs.join(bad, docs.doc_id.eqNullSafe(bad._bad), "left_anti")
+def decontaminate(docs: DataFrame, benchmark: DataFrame, *, rate: float = RATE, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """The rows, all columns, that hold no benchmark item. Each row is judged by its own text where it lies, so rows that
+    share a doc_id, or have none, do not share a verdict, no row is shuffled and column names cannot clash."""
+    for shared in _blocks(benchmark, rate, block_bytes):
+        docs = docs.mapInArrow(_clean(shared), docs.schema)
+    return docs
 
 
 def op10_decontaminate(spark, sf_dir: str) -> DataFrame:
