@@ -132,15 +132,19 @@ class ByteBpe:
 def _codec(shared) -> ByteBpe:
     store = worker_store("bpe")
     if shared.id not in store:
+        if len(store) >= 4:
+            store.clear()
         store[shared.id] = ByteBpe(*shared.value)
     return store[shared.id]
 
 
 class _Shared:
-    """A broadcast rank table (a vocabulary file, of fixed size) with a name under which workers keep the codec."""
+    """A broadcast rank table (a vocabulary file, of fixed size), named by its content and the pattern in the workers."""
 
     def __init__(self, spark, path: str, pattern: str):
-        self.held, self.id = spark.sparkContext.broadcast((read_ranks(path), pattern)), path
+        ranks = read_ranks(path)
+        content = hashlib.sha256(b"".join(b + i.to_bytes(8, "little") for b, i in ranks.items()) + pattern.encode())
+        self.held, self.id = spark.sparkContext.broadcast((ranks, pattern)), content.hexdigest()
 
     @property
     def value(self):

@@ -2,88 +2,18 @@
 
 from __future__ import annotations
 
-import atexit
-import os
+import hashlib
 import sys
-import tempfile
 import types
-import uuid
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-_UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
-_live: list["Scratch"] = []
-
-
-class Scratch:
-    """Tables written once to the shared folder named by spark.checkpoint.dir, which also cuts lineage.
-
-    A table written there survives the loss of any executor. Tables stay until ``drop`` or the end of the
-    program, because results that are still lazy read them.
-    """
-
-    def __init__(self, spark: SparkSession):
-        base = spark.conf.get("spark.checkpoint.dir", None) or os.path.join(tempfile.gettempdir(), "checkpoints")
-        self.tables: list[str] = []
-        self.spark, self.root, self.n = spark, f"{base.rstrip('/')}/halograph-{uuid.uuid4().hex}", 0
-        _live.append(self)
-
-    @classmethod
-    def beside(cls, spark: SparkSession) -> "Scratch":
-        """A folder that release_scratch leaves alone; it goes at the end of the program."""
-        own = cls(spark)
-        own.lasting = True
-        return own
-
-    lasting = False
-
-    def path(self, name: str) -> str:
-        self.n += 1
-        return f"{self.root}/{self.n:03d}-{name}"
+from halograph.graph.scratch import Scratch  # noqa: F401  the operators take it from here
 
-    def keep(self, df: DataFrame, name: str, **options: str) -> DataFrame:
-        """Writes df as Parquet and returns the table that reads it."""
-        path = self.path(name)
-        df.write.options(**options).parquet(path)
-        return self.spark.read.schema(df.schema).parquet(path)
-
-    def keep_bucketed(self, df: DataFrame, name: str, key: str) -> DataFrame:
-        """As keep, in buckets of the key: later joins on the key leave this table where it is."""
-        buckets = max(8, int(self.spark.conf.get("spark.sql.shuffle.partitions")))
-        path, table = self.path(name), f"halograph_{uuid.uuid4().hex}"
-        df.write.bucketBy(buckets, key).option("path", path).saveAsTable(table)
-        self.tables.append(table)
-        return self.spark.table(table)
-
-    def drop(self) -> None:
-        try:
-            for t in self.tables:
-                self.spark.sql(f"DROP TABLE IF EXISTS {t}")
-            jvm = self.spark._jvm
-            p = jvm.org.apache.hadoop.fs.Path(self.root)
-            p.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(p, True)
-        except Exception as e:  # the session may be gone already; a leftover folder is all that remains
-            print(f"scratch folder {self.root} was left: {type(e).__name__}", file=sys.stderr)
-        if self in _live:
-            _live.remove(self)
-
-
-def release_scratch() -> None:
-    """Removes the scratch tables of all operators called so far; their results can no longer be read."""
-    for s in [s for s in _live if not s.lasting]:
-        s.drop()
-
-
-@atexit.register
-def _at_exit() -> None:
-    for s in list(_live):
-        if s.root.startswith(tempfile.gettempdir()):
-            import shutil
-
-            shutil.rmtree(s.root, ignore_errors=True)
+_UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
 def ascii_lower(text: Column) -> Column:
@@ -118,10 +48,13 @@ def text_bytes(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.ndarr
     return whole[offsets[0] : offsets[-1]], offsets - offsets[0]
 
 
-def slices(batch: pa.RecordBatch, text: str, most_bytes: int):
-    """Cuts a batch so that each part holds at most so many bytes of text, or a single row."""
+def slices(batch: pa.RecordBatch, text: str, most_bytes: int, line_bytes: int = 0):
+    """Cuts a batch so that each part holds at most so many bytes of text, or a single row; a line end counts as
+    ``line_bytes`` more where work is done by lines."""
     col = batch.column(batch.schema.get_field_index(text))
-    _, off = text_bytes(col)
+    data, off = text_bytes(col)
+    if line_bytes:
+        off = off + line_bytes * np.searchsorted(np.flatnonzero(data == 10), off)
     start = 0
     while start < batch.num_rows:
         end = int(np.searchsorted(off, off[start] + most_bytes, "right")) - 1
@@ -159,15 +92,19 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
-def span_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """64-bit hashes of data[start:end] by a polynomial over the whole buffer, so long spans cost no more."""
+def span_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, long: int = 0) -> np.ndarray:
+    """64-bit hashes of data[start:end] by a polynomial over the whole buffer; spans over ``long`` by a keyed digest."""
     if not len(starts):
         return np.zeros(0, np.uint64)
     terms = (data.astype(np.uint64) + np.uint64(1)) * power_table(len(data))
     total = np.zeros(len(data) + 1, np.uint64)
     np.cumsum(terms, out=total[1:])
     got = (total[ends] - total[starts]) * power_table(len(data) + 1, True)[starts]
-    return mix(got ^ (ends - starts).astype(np.uint64))
+    got = mix(got ^ (ends - starts).astype(np.uint64))
+    if long:  # a polynomial modulo a power of two is weak on long regular strings
+        for k in np.flatnonzero(ends - starts > long).tolist():
+            got[k] = int.from_bytes(hashlib.blake2b(data[starts[k] : ends[k]].tobytes(), digest_size=8).digest(), "little")
+    return got
 
 
 def runs(mask: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

@@ -59,3 +59,17 @@ def test_merges_by_segment_tree(reference):
         for alphabet in ("ab", "theran ", "é日🙂x"):
             piece = "".join(random.choice(alphabet) for _ in range(n)).encode()
             assert bpe.merge_pieces(piece, ranks) == reference._encode_single_piece(piece)
+
+
+def test_one_vocabulary_with_two_patterns(spark, make_docs, tmp_path):
+    """A worker keeps codecs by what they hold, not by the name of the file."""
+    import base64
+
+    path = tmp_path / "ranks"
+    pieces = [bytes([b]) for b in range(256)] + [b"ab", b"abab"]
+    path.write_text("".join(f"{base64.b64encode(p).decode()} {i}\n" for i, p in enumerate(pieces)))
+    docs = make_docs([(1, "abab ab")])
+    count = lambda pattern: bpe.bpe_digests(docs, str(path), pattern).collect()[0].n_tokens
+    assert (count(r"\S+|\s"), count(r"\S\S|\s")) == (3, 4)
+    path.write_text("".join(f"{base64.b64encode(p).decode()} {i}\n" for i, p in enumerate(pieces[:256])))
+    assert count(r"\S+|\s") == 7
