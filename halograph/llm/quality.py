@@ -20,7 +20,13 @@ from halograph.llm.labelled import held_out, sample
 #: Labelled documents of each class that the model is fitted on, at most.
 PER_CLASS = 800
 THRESHOLD = 0.7
+#: Labelled texts beyond this size teach nothing, so that the driver holds at most 2 * PER_CLASS * TRAIN_BYTES.
+TRAIN_BYTES = 32 << 10
 SLICE_BYTES = 2 << 20
+#: Memory of a line while a slice is scored, so that slices are bounded by lines too.
+LINE_BYTES = 700
+#: Documents of more lines are scored in segments of so many, with the messages of the chain carried between them.
+SEGMENT = 1 << 12
 
 _CLASSES = [b"#$%&*+/<=>@[\\]^_`{}~", b"|", b"!?", b"0123456789", b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz", b" \t", b".,;:'\"-()"]
 _IS = np.zeros((len(_CLASSES) + 1, 256), np.uint8)
@@ -187,11 +193,118 @@ def _mean_marginal(x, size, first, w, t) -> np.ndarray:
     return np.bincount(doc, _sigmoid(forward + backward) * (size + 1), len(first) - 1) / np.bincount(doc, size + 1, len(first) - 1)
 
 
+def _segments(text: np.ndarray, most: int):
+    """(log odds features, sizes) of a text's lines, so many at a time; neighbours across a bound are seen as well."""
+    feeds = np.flatnonzero(text == 10)
+    n = len(feeds) + 1
+    start = lambda j: 0 if j <= 0 else int(feeds[j - 1]) + 1
+    for a in range(0, n, most):
+        b = min(a + most, n)
+        low, high = max(a - 1, 0), min(b + 1, n)
+        part = text[start(low) : len(text) if high == n else int(feeds[high - 1])]
+        x, size, _ = line_features(part, np.array([0, len(part)]))
+        if low > 0:  # the first line of the part is not the first of the text
+            x[0, -1] = 0
+        yield x[a - low : b - low], size[a - low : b - low]
+
+
+def _chained(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Product of matrices of log weights, of one or of stacks of them, shifted to a largest entry of 0."""
+    c = np.logaddexp(a[..., :, 0, None] + b[..., None, 0, :], a[..., :, 1, None] + b[..., None, 1, :])
+    return c - c.max((-2, -1), keepdims=True)
+
+
+def _folded(e: np.ndarray, t: np.ndarray) -> np.ndarray:
+    """Product of the steps of all lines in order, by halving."""
+    m = t + np.stack([np.zeros(len(e)), e], 1)[:, None, :]
+    while len(m) > 1:
+        tail = m[len(m) // 2 * 2 :]
+        m = np.concatenate([_chained(m[0 : len(m) // 2 * 2 : 2], m[1::2]), tail])
+    return m[0]
+
+
+def long_marginal(text: np.ndarray, w: np.ndarray, t: np.ndarray, most: int = SEGMENT) -> float:
+    """What _mean_marginal gives for one text, in memory of a segment of lines.
+
+    Each segment is folded to the matrix that it is to the chain; with the messages that come in from both sides, its own
+    lines are then done as a chain of their own.
+    """
+    folds, heads = [], []
+    for k, (x, _) in enumerate(_segments(text, most)):
+        e = x.astype(np.float64) @ w
+        heads.append(e[0])
+        folds.append(_folded(e[1:] if k == 0 else e, t) if len(e) > (k == 0) else None)
+    into = [None]  # log weights of the line before each segment
+    at = np.array([0.0, heads[0]])
+    for f in folds:
+        if f is not None:
+            at = np.logaddexp(at[0] + f[0], at[1] + f[1])
+            at = at - at.max()
+        into.append(at)
+    back = [np.zeros(2)]
+    for f in folds[:0:-1]:
+        b = np.logaddexp(f[:, 0] + back[-1][0], f[:, 1] + back[-1][1])
+        back.append(b - b.max())
+    back.reverse()
+    good = bulk = 0.0
+    for k, (x, size) in enumerate(_segments(text, most)):
+        e = x.astype(np.float64) @ w
+        if k:  # the message from before is evidence of the first line
+            e[0] += np.logaddexp(into[k][0] + t[0, 1], into[k][1] + t[1, 1]) - np.logaddexp(into[k][0] + t[0, 0], into[k][1] + t[1, 0])
+        tail = back[k][1] - back[k][0]
+        e[-1] += tail  # and the one from behind is evidence of the last
+        forward, backward = _single(e, t)
+        good += float((_sigmoid(forward + backward) * (size + 1)).sum())
+        bulk += float((size + 1).sum())
+    return good / bulk
+
+
+def _single(e: np.ndarray, t: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """messages of one chain: stretches of about the root of its length side by side, entered with what comes before."""
+    n = len(e)
+    width = max(1, int(n**0.5))
+    rows = -(-n // width)
+    padded = np.concatenate([e, np.zeros(rows * width - n)]).reshape(rows, width)
+
+    def run(ev: np.ndarray, t: np.ndarray) -> np.ndarray:
+        m = np.broadcast_to(np.array([[0.0, -np.inf], [-np.inf, 0.0]]), (rows, 2, 2))
+        for j in range(width):
+            m = _chained(m, t + np.stack([np.zeros(rows), ev[:, j]], 1)[:, None, :])
+        at, enter = None, np.zeros((rows, 2))
+        for r in range(rows):
+            enter[r] = 0 if at is None else at
+            if at is None:  # the first line has no line before it
+                f = _folded(ev[0, 1:], t) if width > 1 else None
+                at = np.array([0.0, ev[0, 0]])
+                at = at if f is None else np.logaddexp(at[0] + f[0], at[1] + f[1])
+            else:
+                at = np.logaddexp(at[0] + m[r, 0], at[1] + m[r, 1])
+            at = at - at.max()
+        out = np.zeros((rows, width))
+        a = enter[:, 1] - enter[:, 0]
+        for j in range(width):
+            step = ev[:, j] + np.logaddexp(a + t[1, 1], t[0, 1]) - np.logaddexp(a + t[1, 0], t[0, 0])
+            if j == 0:
+                step[0] = ev[0, 0]
+            out[:, j] = a = step
+        return out
+
+    with np.errstate(invalid="ignore"):
+        forward = run(padded, t).ravel()[:n]
+        mirrored = np.concatenate([e[::-1], np.zeros(rows * width - n)]).reshape(rows, width)
+        backward = run(mirrored, t.T).ravel()[:n][::-1] - e
+    return forward, backward
+
+
 def score(model: dict, data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     if "constant" in model or len(offsets) == 1:
         return np.full(len(offsets) - 1, model.get("constant", 0.5))
-    x, size, first = line_features(data, offsets)
-    m = np.clip(_mean_marginal(x, size, first, model["w"], model["t"]), 1e-6, 1 - 1e-6)
+    if len(offsets) == 2 and np.count_nonzero(data == 10) >= SEGMENT:
+        m = np.array([long_marginal(data, model["w"], model["t"])])
+    else:
+        x, size, first = line_features(data, offsets)
+        m = _mean_marginal(x, size, first, model["w"], model["t"])
+    m = np.clip(m, 1e-6, 1 - 1e-6)
     return _sigmoid(np.log(m / (1 - m)) * model["curve"][0] + model["curve"][1])
 
 
@@ -204,14 +317,15 @@ def line_marginals(model: dict, text: str) -> list[tuple[str, float]]:
 
 
 def train(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> dict:
-    rows = sorted(sample(docs, labels, "quality", per_class).collect(), key=lambda r: (r.doc_id, r.text))
+    short = docs.filter(F.coalesce(F.octet_length("text"), F.lit(0)) <= TRAIN_BYTES)
+    rows = sorted(sample(short, labels, "quality", per_class).collect(), key=lambda r: (r.doc_id, r.text))
     return fit([r.text for r in rows], [int(r.label) for r in rows])
 
 
 def _scores(model: dict, keep: float | None):
     def run(batches):
         for batch in batches:
-            for part in slices(batch, "text", SLICE_BYTES):
+            for part in slices(batch, "text", SLICE_BYTES, LINE_BYTES):
                 got = score(model, *text_bytes(part.column(part.schema.get_field_index("text"))))
                 if keep is None:
                     yield pa.RecordBatch.from_arrays([part.column(0), pa.array(got, pa.float64())], names=["doc_id", "score"])
@@ -223,7 +337,8 @@ def _scores(model: dict, keep: float | None):
 
 def score_documents(docs: DataFrame, model: dict) -> DataFrame:
     """doc_id, score of every row. A null text is empty: one empty line. Repeated rows score alike, a null doc_id stays
-    null, other columns are not read, an empty table gives an empty result, texts are read whole."""
+    null, other columns are not read, an empty table gives an empty result. Texts are read whole: those of very many
+    lines are scored in segments, with the same result."""
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_scores(model, None), "doc_id long, score double")
 
 

@@ -49,6 +49,21 @@ def test_chain_marginals_against_all_labellings():
         assert np.allclose(good / weight, 1 / (1 + np.exp(-(forward + backward)[a:b])))
 
 
+def test_texts_of_many_lines_in_segments(make_docs):
+    rng = np.random.default_rng(4)
+    t, w = rng.normal(size=(2, 2)), rng.normal(size=quality.N_FEATURES) / 3
+    for n in (1, 2, 3, 50, 700):
+        text = "\n".join("".join(rng.choice(list("abc ABC#$ 12.|"), rng.integers(0, 30)).tolist()) for _ in range(n))
+        data, offsets = text_bytes(__import__("pyarrow").array([text], "large_string"))
+        x, size, first = quality.line_features(data, offsets)
+        want = quality._mean_marginal(x, size, first, w, t)[0]
+        for most in (1, 2, 5, 64, 1000):
+            assert abs(quality.long_marginal(data, w, t, most) - want) < 1e-9
+    model = quality.fit(["Clean words in a line here.\nAnd more of them.", "### $$$ ### a$$$ b%%%\nx### y&&&"] * 20, [1, 0] * 20)
+    got = {r.doc_id: r.score for r in quality.score_documents(make_docs([(1, "\n" * 300_000), (2, "a line of words\n" * 60_000), (3, None)]), model).collect()}
+    assert len(got) == 3 and all(0 <= v <= 1 for v in got.values())
+
+
 def test_toxicity(spark):
     got = {r.doc_id: r for r in toxicity.op4_toxicity(spark, "/root/testdata/sf0.1").collect()}
     labels = {r.doc_id: r.toxic for r in spark.read.parquet("/root/testdata/sf0.1/labels.parquet").collect()}
