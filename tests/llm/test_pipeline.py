@@ -57,3 +57,20 @@ def test_empty_and_odd_rows(spark, tmp_path):
         shutil.copy(f"{SF}/{name}.parquet", empty / f"{name}.parquet")
     odd.limit(0).coalesce(1).write.parquet(str(empty / "documents.parquet"))
     assert pipeline.run(spark, str(empty)).count() == 0
+
+
+def test_rows_without_or_with_shared_identifiers(spark, make_docs):
+    """Verdicts hit the judged rows only; columns may have any name, and results of operators called before stay."""
+    from halograph.llm.near_dedup import near_dedup
+
+    words = lambda k: " ".join(f"w{k}x{j}" for j in range(40))
+    docs = make_docs([(None, words(1)), (None, words(1)), (7, words(2)), (7, words(3)), (8, words(2)), (None, words(4)), (None, words(4) + " more"), (9, None), (None, "")], ["_kept", "row", "keep_id"])
+    held = near_dedup(docs)
+    exact = pipeline.exact_stage(spark, docs, SF)
+    got = [(r.doc_id, r.text) for r in exact.collect()]
+    assert sorted(map(str, got)) == sorted(map(str, [(None, words(1)), (7, words(3)), (8, words(2)), (None, words(4)), (None, words(4) + " more"), (9, None)]))
+    near = [(r.doc_id, r.text) for r in pipeline.near_stage(spark, docs, SF).collect()]
+    assert len([t for _, t in near if t and t.startswith(words(4))]) == 1 and len([t for _, t in near if t == words(1)]) == 1
+    assert len([i for i, t in near if t == words(2)]) == 1 and (7, words(3)) in near
+    assert pipeline.benchmark_stage(spark, docs, SF).columns == docs.columns == exact.columns
+    assert held.count() == docs.count()
