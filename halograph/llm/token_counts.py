@@ -20,7 +20,9 @@ from halograph.llm.common import Scratch, worker_store
 
 #: The split that byte-level pre-tokenizers apply (a fixed, public pattern).
 SPLIT = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
-CHUNK_BYTES = 32 << 20
+CHUNK_BYTES = 16 << 20
+#: Counted words that a worker keeps at once, and counts that it holds before they are packed and sent on.
+KNOWN_WORDS, HELD_COUNTS = 300_000, 1 << 20
 _CHUNK = "chunk long, vocab array<string>, ids array<long>, n_bytes array<long>, special array<int>, sizes array<int>, freq binary, pos binary"
 
 
@@ -101,26 +103,47 @@ def _count_pieces(tokenizer_json: str):
             store[key] = Tokenizer.from_str(tokenizer_json)
             store[key].encode_special_tokens = True
         encode, known = store[key].encode_batch, {}
+        held, n = [], 0
         for batch in batches:  # all rows of a pre-token come to one task
             words = batch.column(0).dictionary_encode()
-            new = [w for w in words.dictionary.to_pylist() if w not in known]
+            distinct = words.dictionary.to_pylist()
+            if len(known) > KNOWN_WORDS:
+                known = {}
+            new = [w for w in distinct if w not in known]
             for i in range(0, len(new), 2000):
                 known.update(zip(new[i : i + 2000], [len(e.ids) for e in encode(new[i : i + 2000], add_special_tokens=False)]))
-            each = np.array([known[w] for w in words.dictionary.to_pylist()], np.int32)
-            yield pa.RecordBatch.from_arrays([batch.column(1), batch.column(2), pa.array(each[words.indices.to_numpy()])], names=["chunk", "at", "pieces"])
+            each = np.array([known[w] for w in distinct], np.int32)
+            held.append((batch.column(1).to_numpy(), batch.column(2).to_numpy(), each[words.indices.to_numpy()]))
+            n += batch.num_rows
+            if n >= HELD_COUNTS:
+                yield _by_chunk(held)
+                held, n = [], 0
+        if held:
+            yield _by_chunk(held)
 
     return run
 
 
+def _by_chunk(held: list[tuple]) -> pa.RecordBatch:
+    """chunk and, packed, the places in its list of pre-tokens, as steps, and the pieces of each."""
+    chunk, at, pieces = (np.concatenate(x) for x in zip(*held))
+    order = np.lexsort((at, chunk))
+    chunk, at, pieces = chunk[order], at[order], pieces[order]
+    own, first = np.unique(chunk, return_index=True)
+    cuts = list(zip(first.tolist(), [*first[1:].tolist(), len(chunk)]))
+    packed = [[_pack([np.diff(at[a:b], prepend=np.int32(0))]) for a, b in cuts], [_pack([pieces[a:b]]) for a, b in cuts]]
+    return pa.RecordBatch.from_arrays([pa.array(own, pa.int64()), *(pa.array(x, pa.binary()) for x in packed)], names=["chunk", "at", "pieces"])
+
+
 def _sum(batches):
     for batch in batches:
         cols = dict(zip(batch.schema.names, batch.columns))
         ids, sizes, totals = [], [], []
         for i in range(batch.num_rows):
-            counts = cols["counts"][i].values
-            pieces = np.zeros(len(counts) if counts is not None else 0, np.int64)
-            if len(pieces):
-                pieces[counts.field("at").to_numpy()] = counts.field("pieces").to_numpy()
+            counts = [(np.cumsum(_unpack(c["at"]), dtype=np.int64), _unpack(c["pieces"])) for c in cols["counts"][i].as_py() or ()]
+            pieces = np.zeros(sum(len(a) for a, _ in counts), np.int64)
+            for a, n in counts:
+                pieces[a] = n
             each = np.array(cols["sizes"][i].as_py(), np.int64)
             ends = np.cumsum(each)
             steps, freq = _unpack(cols["pos"][i].as_py()).astype(np.int64), _unpack(cols["freq"][i].as_py())
@@ -149,7 +172,7 @@ def token_counts(docs: DataFrame, tokenizer_json: str, *, limit: int = 512, chun
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     chunks = scratch.keep(source.mapInArrow(_chunks(SPLIT, special, chunk_bytes), _CHUNK), "chunks")
     vocab = chunks.select("chunk", F.posexplode("vocab").alias("at", "token"))
-    counted = vocab.select("token", "chunk", "at").repartition("token").mapInArrow(_count_pieces(tokenizer_json), "chunk long, at int, pieces int")
+    counted = vocab.select("token", "chunk", "at").repartition("token").mapInArrow(_count_pieces(tokenizer_json), "chunk long, at binary, pieces binary")
     counts = counted.groupBy("chunk").agg(F.collect_list(F.struct("at", "pieces")).alias("counts"))  # at most the pre-tokens of a chunk
     # A chunk whose documents are all empty has no pre-token.
     whole = chunks.drop("vocab").join(counts, "chunk", "left").drop("chunk")
