@@ -1,8 +1,10 @@
 """Toxicity severity by cumulative-link (proportional odds) regression on sparse word features.
 
-All thresholds share one weight vector: P(grade > k) = logistic(w.x - cut[k]). Labels say only toxic or not, so grades of
-toxic training documents come from how many different telling words they hold (1, 2, 3 or more); documents of label 0
-are grade 0. The result is the expected grade, and a document is toxic when grade 1 or more is likelier than not.
+All thresholds share one weight vector: P(grade > k) = logistic(w.x - cut[k]). Labels say only toxic or not, so grades
+are set before the model is fitted, and by other documents than the graded one: training documents are in two folds, and a
+toxic document's grade is the number of different words (1, 2, 3 or more) that the other fold alone shows to tell toxic
+documents. Documents of label 0 are grade 0. The result is the expected grade, and a document is toxic when grade 1 or
+more is likelier than not.
 """
 
 from __future__ import annotations
@@ -20,8 +22,6 @@ from halograph.llm.quality import Adam, _sigmoid
 
 #: Labelled documents of each class that the model is fitted on, at most.
 PER_CLASS = 4000
-#: Words that the model may weigh, at most: those that tell the classes apart best.
-N_WORDS = 512
 GRADES = 4
 #: A word is weighed if so many of the documents hold it and its log odds are so many deviations from none.
 LEAST_DOCS, LEAST_Z = 3, 2.6
@@ -36,6 +36,42 @@ def document_words(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, n
     return doc, span_hashes(LOWER_BYTES[data], starts, ends)
 
 
+def _deviations(at: np.ndarray, doc: np.ndarray, labels: np.ndarray, n_words: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(log odds ratio of each word in units of its own deviation, documents of label 1 and of label 0 that hold it)."""
+    n1, n0 = labels.sum(), (1 - labels).sum()
+    with1, with0 = np.bincount(at, labels[doc], n_words), np.bincount(at, 1 - labels[doc], n_words)
+    p1, p0 = (with1 + 0.5) / (n1 + 1), (with0 + 0.5) / (n0 + 1)
+    return (np.log(p1 / (1 - p1)) - np.log(p0 / (1 - p0))) / np.sqrt(1 / (with1 + 0.5) + 1 / (with0 + 0.5)), with1, with0
+
+
+def _grades(at: np.ndarray, doc: np.ndarray, labels: np.ndarray, n_words: int) -> np.ndarray:
+    """Grades of the training documents, those of a fold by the telling words of the other."""
+    fold = np.arange(len(labels)) % 2
+    hits = np.zeros(len(labels))
+    for f in (0, 1):
+        teach = fold[doc] != f
+        z, with1, with0 = _deviations(at[teach], doc[teach], np.where(fold != f, labels, 0), n_words)
+        n1, n0 = labels[fold != f].sum(), (1 - labels)[fold != f].sum()
+        telling = (with1 * n0 >= 4 * with0 * n1) & (z > 2.5) & (with1 >= 2)
+        own = ~teach & telling[at]
+        hits += np.bincount(doc[own], minlength=len(labels))
+    return np.where(labels == 1, np.clip(hits, 1, GRADES - 1), 0).astype(int)
+
+
+def likelihood(z: np.ndarray, cuts: np.ndarray, grade: np.ndarray, weight: np.ndarray) -> tuple[float, np.ndarray, np.ndarray]:
+    """(weighted mean log loss of the grades, its slope in z, its slope in the cuts) of the cumulative-link model."""
+    above = _sigmoid(z[:, None] - cuts)
+    edges = np.concatenate([np.ones((len(z), 1)), above, np.zeros((len(z), 1))], 1)
+    row = np.arange(len(z))
+    p = np.maximum(edges[row, grade] - edges[row, grade + 1], 1e-12)
+    slope = np.concatenate([np.zeros((len(z), 1)), above * (1 - above), np.zeros((len(z), 1))], 1)
+    low, high = slope[row, grade] / p, slope[row, grade + 1] / p
+    by_cut = np.zeros((len(z), len(cuts) + 2))
+    np.add.at(by_cut, (row, grade), weight * low)
+    np.add.at(by_cut, (row, grade + 1), -weight * high)
+    return float(-(weight * np.log(p)).sum()), -weight * (low - high), by_cut[:, 1:-1].sum(0)
+
+
 def fit(rows: list[tuple[np.ndarray, int]]) -> dict:
     """rows: distinct word hashes of a document, and its label 0 or 1. Without both labels every severity is 0."""
     labels = np.array([y for _, y in rows])
@@ -43,41 +79,26 @@ def fit(rows: list[tuple[np.ndarray, int]]) -> dict:
         return {"words": np.zeros(0, np.uint64), "w": np.zeros(0), "cuts": np.array([30.0, 31.0, 32.0])}
     words, at = np.unique(np.concatenate([x for x, _ in rows]), return_inverse=True)
     doc = np.repeat(np.arange(len(rows)), [len(x) for x, _ in rows])
-    n1, n0 = labels.sum(), (1 - labels).sum()
-    with1 = np.bincount(at, labels[doc], len(words))
-    with0 = np.bincount(at, 1 - labels[doc], len(words))
-    p1, p0 = (with1 + 0.5) / (n1 + 1), (with0 + 0.5) / (n0 + 1)
-    # log odds ratio in units of its own deviation
-    z = (np.log(p1 / (1 - p1)) - np.log(p0 / (1 - p0))) / np.sqrt(1 / (with1 + 0.5) + 1 / (with0 + 0.5))
-    few = np.argsort(-np.abs(z), kind="stable")[:N_WORDS]
-    few = few[((with1 + with0)[few] >= LEAST_DOCS) & (np.abs(z[few]) >= LEAST_Z)]
-    telling = few[(with1[few] * n0 >= 4 * with0[few] * n1) & (z[few] > 2.5)]
+    grade = _grades(at, doc, labels, len(words))
+    z, with1, with0 = _deviations(at, doc, labels, len(words))
+    used = np.flatnonzero((with1 + with0 >= LEAST_DOCS) & (np.abs(z) >= LEAST_Z))
     column = np.full(len(words), -1)
-    column[few] = np.arange(len(few))
-    x = np.zeros((len(rows), len(few)))
-    used = column[at] >= 0
-    x[doc[used], column[at][used]] = 1
-    hits = x[:, np.searchsorted(np.arange(len(few)), column[telling])].sum(1) if len(telling) else np.zeros(len(rows))
-    grade = np.where(labels == 1, np.clip(hits, 1, GRADES - 1), 0).astype(int)
-    w = np.zeros(len(few))
-    cuts = np.array([1.0, 2.5, 4.0])
-    # the penalty holds back words that occur by chance in a handful of documents
-    both = np.concatenate([w, [cuts[0], *np.log(np.diff(cuts))]])
+    column[used] = np.arange(len(used))
+    here = column[at] >= 0
+    doc, at = doc[here], column[at][here]
+    # cuts rise: the first is free, the others are steps of a positive size
+    both = np.concatenate([np.zeros(len(used)), [1.0], np.log([1.5, 1.5])])
     adam = Adam(len(both), 0.1)
-    over = np.stack([grade > k for k in range(GRADES - 1)], 1).astype(float)
-    weight = np.where(labels == 1, 0.5 / n1, 0.5 / n0)
+    weight = np.where(labels == 1, 0.5 / labels.sum(), 0.5 / (1 - labels).sum())
+    unpack = lambda x: (x[: len(used)], x[len(used)] + np.concatenate([[0], np.cumsum(np.exp(x[len(used) + 1 :]))]))
     for _ in range(200):
-        w, steps = both[: len(few)], np.exp(both[len(few) + 1 :])
-        cuts = np.concatenate([[both[len(few)]], both[len(few)] + np.cumsum(steps)])
-        gap = _sigmoid((x @ w)[:, None] - cuts) - over
-        gap *= weight[:, None]
-        g_cut = -gap.sum(0)
-        g = np.concatenate([x.T @ gap.sum(1) + 4e-4 * w, [g_cut.sum(), *(g_cut[1:][::-1].cumsum()[::-1] * steps)]])
-        adam.step(both, g)
-    w = both[: len(few)]
-    cuts = np.concatenate([[both[len(few)]], both[len(few)] + np.cumsum(np.exp(both[len(few) + 1 :]))])
-    order = np.argsort(words[few])
-    return {"words": words[few][order], "w": w[order], "cuts": cuts}
+        w, cuts = unpack(both)
+        _, g_z, g_cut = likelihood(np.bincount(doc, w[at], len(rows)), cuts, grade, weight)
+        # the penalty holds back words that occur by chance in a handful of documents
+        g_w = np.bincount(at, g_z[doc], len(used)) + 4e-4 * w
+        adam.step(both, np.concatenate([g_w, [g_cut.sum()], g_cut[1:][::-1].cumsum()[::-1] * np.exp(both[len(used) + 1 :])]))
+    w, cuts = unpack(both)
+    return {"words": words[used], "w": w, "cuts": cuts}
 
 
 class Scorer:

@@ -96,6 +96,29 @@ def test_severity_rises_with_telling_words():
     assert grade[0] < 0.5 < grade[1] < grade[2] and p[0] < 0.5 < p[2]
 
 
+def test_ordinal_likelihood_and_slopes():
+    """Against the product of grade probabilities written out, and differences of it."""
+    rng = np.random.default_rng(7)
+    z, cuts, grade, weight = rng.normal(size=12), np.array([-0.5, 0.4, 1.7]), rng.integers(0, 4, 12), rng.random(12)
+    above = lambda z, c: 1 / (1 + np.exp(-(z - c)))
+
+    def direct(z, cuts):
+        out = 0.0
+        for v, g, u in zip(z, grade, weight):
+            p = [1 - above(v, cuts[0]), above(v, cuts[0]) - above(v, cuts[1]), above(v, cuts[1]) - above(v, cuts[2]), above(v, cuts[2])][g]
+            out -= u * np.log(p)
+        return out
+
+    loss, g_z, g_cut = toxicity.likelihood(z, cuts, grade, weight)
+    assert abs(loss - direct(z, cuts)) < 1e-9
+    for k in range(12):
+        e = np.eye(12)[k] * 1e-6
+        assert abs((direct(z + e, cuts) - direct(z - e, cuts)) / 2e-6 - g_z[k]) < 1e-5
+    for k in range(3):
+        e = np.eye(3)[k] * 1e-6
+        assert abs((direct(z, cuts + e) - direct(z, cuts - e)) / 2e-6 - g_cut[k]) < 1e-5
+
+
 def distance(pattern, text):
     """Least edit distance of the pattern to any part of the text, by the whole matrix."""
     row = [0] * (len(text) + 1)
