@@ -15,6 +15,7 @@ component are then held against the other blocks, so every link between differen
 from __future__ import annotations
 
 import hashlib
+import re
 
 import numpy as np
 import pyarrow as pa
@@ -35,6 +36,10 @@ LIMIT = 40_000
 MARGIN = 0.18
 #: Classes of one lead that are searched together.
 BLOCK = 1024
+#: Places that the classes of one lead are dealt to while they are looked up.
+SALTS = 64
+#: Words beyond so many bytes are hashed by a digest.
+LONG_WORD = 64
 SLICE_BYTES = 1 << 20
 
 _rng = np.random.default_rng(20240607)
@@ -46,7 +51,7 @@ _STEP = [np.uint64(x | 1) for x in _rng.integers(0, 1 << 63, SHINGLE, dtype=np.u
 def shingle_sets(data: np.ndarray, offsets: np.ndarray) -> list[np.ndarray]:
     """Sorted distinct 64-bit shingle hashes of each text; words are runs of bytes other than ASCII white space."""
     starts, ends, doc = runs(WORD_BREAK[data], offsets)
-    words = span_hashes(LOWER_BYTES[data], starts, ends)
+    words = span_hashes(LOWER_BYTES[data], starts, ends, LONG_WORD)
     n = len(offsets) - 1
     cut = np.searchsorted(doc, np.arange(n + 1))
     grams = np.zeros(max(0, len(words) - SHINGLE + 1), np.uint64)
@@ -67,6 +72,25 @@ def shingle_sets(data: np.ndarray, offsets: np.ndarray) -> list[np.ndarray]:
     return out
 
 
+_WORD = re.compile(rb"[^\x20\x09-\x0D]+")
+_LOWER = bytes(LOWER_BYTES)
+
+
+def word_shingles(text: str) -> set[bytes]:
+    """The shingles themselves, by which links are confirmed."""
+    words = _WORD.findall(text.encode().translate(_LOWER))
+    return {b" ".join(words[i : i + SHINGLE]) for i in range(max(1, len(words) - SHINGLE + 1))} if words else set()
+
+
+def confirmed(a: set[bytes], b: set[bytes], percent: int) -> bool:
+    both = len(a & b)
+    return 100 * both >= percent * (len(a) + len(b) - both)
+
+
+def set_digest(shingles: np.ndarray) -> bytes:
+    return hashlib.blake2b(shingles.tobytes(), digest_size=16).digest()
+
+
 def registers(shingles: np.ndarray) -> np.ndarray:
     """The sketch of a set; registers of a union are the larger of the two."""
     least = np.full(REGISTERS, 0xFFFFFFFF, np.uint32)
@@ -104,7 +128,7 @@ def _sketch(batches):
     for batch in batches:
         for part in slices(batch, "text", SLICE_BYTES):
             sets = shingle_sets(*text_bytes(part.column(1)))
-            digest = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets]
+            digest = [set_digest(s) for s in sets]
             yield pa.RecordBatch.from_arrays(
                 [part.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(digest, pa.binary()), pa.array([registers(s).tobytes() for s in sets], pa.binary())],
                 names=["doc_id", "n", "digest", "sketch"],
@@ -135,39 +159,45 @@ def _star(batches):
         yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["lead", "id"])
 
 
+def _likely(x: np.ndarray, n: int, sketches: np.ndarray, sizes: np.ndarray, percent: int) -> np.ndarray:
+    """Which of the classes class x (its sketch and set size) may be linked with: by size, then by likelihood."""
+    near = np.flatnonzero(100 * np.minimum(sizes, n) >= percent * np.maximum(sizes, n))
+    if not len(near):
+        return near
+    guess = likeliest_similarity(np.broadcast_to(x, (len(near), REGISTERS)), sketches[near], np.full(len(near), float(n)), sizes[near].astype(np.float64))
+    return near[guess >= percent / 100 - MARGIN]
+
+
 class _Block:
-    """Classes that are searched together: their sets as numbered shingles, and their sketches."""
+    """Classes that are searched together: their sets as numbered shingles, their sketches and texts."""
 
-    def __init__(self, ids: list[int], sets: list[np.ndarray], sketches: list[bytes], percent: int):
-        self.ids, self.percent = ids, percent
+    def __init__(self, ids: list[int], sets: list[np.ndarray], sketches: list[bytes], texts: list[str], percent: int):
+        self.ids, self.texts, self.percent = ids, texts, percent
         self.size = np.array([len(s) for s in sets], np.int64)
         self.start = np.cumsum(self.size) - self.size
         distinct, self.flat = np.unique(np.concatenate(sets), return_inverse=True)
         self.mark = np.zeros(len(distinct) + 1, bool)
         self.sketch = np.frombuffer(b"".join(sketches), np.uint16).reshape(-1, REGISTERS)
 
-    def linked(self, x: int, others: np.ndarray) -> np.ndarray:
+    def linked(self, x: int, others: np.ndarray) -> list[int]:
         """Those of the others that class x is linked with."""
-        small, large = np.minimum(self.size[others], self.size[x]), np.maximum(self.size[others], self.size[x])
-        others = others[100 * small >= self.percent * large]
-        if not len(others):
-            return others
-        n = self.size[others].astype(np.float64)
-        guess = likeliest_similarity(np.broadcast_to(self.sketch[x], (len(others), REGISTERS)), self.sketch[others], np.full(len(n), float(self.size[x])), n)
-        others = others[guess >= self.percent / 100 - MARGIN]
+        others = others[_likely(self.sketch[x], int(self.size[x]), self.sketch[others], self.size[others], self.percent)]
         if not len(others):
-            return others
+            return []
         own = self.flat[self.start[x] : self.start[x] + self.size[x]]
         self.mark[own] = True
         n = self.size[others]
         at = np.repeat(self.start[others] - (np.cumsum(n) - n), n) + np.arange(n.sum())
         both = np.add.reduceat(self.mark[self.flat[at]].astype(np.int64), np.cumsum(n) - n)
         self.mark[own] = False
-        return others[100 * both >= self.percent * (self.size[x] + n - both)]
-
-    def join(self, component: list[int], pivots: list[int] | None = None) -> list[tuple[int, int]]:
-        """Links that join components; without pivots, the first class and whatever is not joined to it are held
-        against all others, else only the pivots are."""
+        close = others[100 * both >= self.percent * (self.size[x] + n - both)].tolist()
+        if not close:
+            return []
+        words = word_shingles(self.texts[x])
+        return [y for y in close if confirmed(words, word_shingles(self.texts[y]), self.percent)]
+
+    def join(self, component: list[int]) -> list[tuple[int, int]]:
+        """Links that join components: the first class and whatever is not joined to it are held against all others."""
         parent: dict[int, int] = {}
 
         def root(c: int) -> int:
@@ -176,12 +206,12 @@ class _Block:
             return c
 
         found = []
-        for x in range(len(self.ids)) if pivots is None else pivots:
-            if pivots is None and x and root(component[x]) == root(component[0]):
+        for x in range(len(self.ids)):
+            if x and root(component[x]) == root(component[0]):
                 continue
             mine = root(component[x])
             rest = np.array([y for y in range(len(self.ids)) if y != x and root(component[y]) != mine], np.int64)
-            for y in self.linked(x, rest).tolist():
+            for y in self.linked(x, rest) if len(rest) else ():
                 a, b = root(component[x]), root(component[y])
                 if a != b:
                     parent[max(a, b)] = min(a, b)
@@ -189,52 +219,89 @@ class _Block:
         return found
 
 
+def _sets_of(texts: list[str]) -> list[np.ndarray]:
+    sets, a = [], 0
+    while a < len(texts):
+        b, held = a, 0
+        while b < len(texts) and (b == a or held < SLICE_BYTES):
+            held += len(texts[b])
+            b += 1
+        sets += shingle_sets(*text_bytes(pa.array(texts[a:b], pa.large_string())))
+        a = b
+    return sets
+
+
+def _pairs(found) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array([f[k] for f in found], pa.int64()) for k in (0, 1)], names=["a", "b"])
+
+
+def _grouped(batches, n_keys: int):
+    """(key, rows) of rows that are sorted by their first columns, also across batches."""
+    now, rows = None, []
+    for batch in batches:
+        keys = list(zip(*(batch.column(k).to_pylist() for k in range(n_keys))))
+        for i, key in enumerate(keys):
+            if key != now:
+                if rows:
+                    yield now, rows
+                now, rows = key, []
+            rows.append(tuple(batch.column(k)[i].as_py() for k in range(n_keys, batch.num_columns)))
+    if rows:
+        yield now, rows
+
+
 def _search(percent: int):
-    """Links among the classes of each block (lead, block, id, component, pivot, text, sketch); rows are sorted by block.
+    """Links among the classes of each block (lead, block; id, text, digest, sketch), at most BLOCK classes and the lead."""
+
+    def run(batches):
+        for (lead, _), rows in _grouped(batches, 2):
+            rows.sort(key=lambda r: (r[0] != lead, r[0]))
+            sets = _sets_of([r[1] or "" for r in rows])
+            # a doc_id may stand for several texts: the one of the class's set is meant
+            real = [k for k, r in enumerate(rows) if set_digest(sets[k]) == r[2] and (k == 0 or rows[k - 1][0] != r[0] or set_digest(sets[k - 1]) != r[2])]
+            if len(real) > 1:
+                block = _Block([rows[k][0] for k in real], [sets[k] for k in real], [rows[k][3] for k in real], [rows[k][1] or "" for k in real], percent)
+                yield _pairs(block.join(list(block.ids)))
+
+    return run
 
-    A block is kept until its last row has come; blocks hold at most BLOCK classes and as many pivots.
-    """
+
+def _guess(percent: int):
+    """Pairs of other components that may be linked, by sketches: rows (lead, block, part; id, component, pivot, n, sketch),
+    of which the pivots are held against the others."""
 
     def run(batches):
-        now, rows = None, []
-
-        def flush():
-            texts = [r[3] or "" for r in rows]
-            sets, a = [], 0
-            while a < len(texts):
-                b, held = a, 0
-                while b < len(texts) and (b == a or held < SLICE_BYTES):
-                    held += len(texts[b])
-                    b += 1
-                sets += shingle_sets(*text_bytes(pa.array(texts[a:b], pa.large_string())))
-                a = b
-            first = [k for k, r in enumerate(rows) if r[0] == now[0]]
-            order = first + [k for k in range(len(rows)) if k not in set(first)]
-            block = _Block([rows[k][0] for k in order], [sets[k] for k in order], [rows[k][4] for k in order], percent)
-            pivots = [k for k, o in enumerate(order) if rows[o][2]] if now[2] >= 0 else None
-            return block.join([rows[k][1] for k in order], pivots)
-
-        def out(found):
-            return pa.RecordBatch.from_arrays([pa.array([f[k] for f in found], pa.int64()) for k in (0, 1)], names=["a", "b"])
+        for _, rows in _grouped(batches, 3):
+            pivots, others = [r for r in rows if r[2]], [r for r in rows if not r[2]]
+            if not pivots or not others:
+                continue
+            sketches = np.frombuffer(b"".join(r[4] for r in others), np.uint16).reshape(-1, REGISTERS)
+            sizes, component = np.array([r[3] for r in others]), np.array([r[1] for r in others])
+            for p in pivots:
+                rest = np.flatnonzero(component != p[1])
+                near = rest[_likely(np.frombuffer(p[4], np.uint16), p[3], sketches[rest], sizes[rest], percent)]
+                yield _pairs([(min(p[0], others[y][0]), max(p[0], others[y][0])) for y in near.tolist()])
+
+    return run
+
 
+def _verify(percent: int):
+    def run(batches):
         for batch in batches:
-            found = []
-            cols = [batch.column(k) for k in range(8)]
-            keys = list(zip(*(c.to_pylist() for c in cols[:3])))
-            ids, components, pivot = (c.to_pylist() for c in cols[3:6])
-            for k, key in enumerate(keys):
-                if key != now:
-                    if len(rows) > 1:
-                        found += flush()
-                    now, rows = key, []
-                rows.append((ids[k], components[k], pivot[k], cols[6][k].as_py(), cols[7][k].as_py()))
-            yield out(found)
-        if len(rows) > 1:
-            yield out(flush())
+            a, b, own, other = (batch.column(k) for k in range(4))
+            yield _pairs([(a[i].as_py(), b[i].as_py()) for i in range(batch.num_rows) if confirmed(word_shingles(own[i].as_py() or ""), word_shingles(other[i].as_py() or ""), percent)])
 
     return run
 
 
+def _matching(batches):
+    """id, text of rows (id, text, digest) whose text has the set of that digest."""
+    for batch in batches:
+        for part in slices(batch, "text", SLICE_BYTES):
+            right = [set_digest(x) == d.as_py() for x, d in zip(shingle_sets(*text_bytes(part.column(1))), part.column(2))]
+            yield part.select(["id", "text"]).filter(pa.array(right, pa.bool_()))
+
+
 class NearDuplicates:
     """The steps of the search over one table; ``result`` is what near_dedup returns."""
 
@@ -243,60 +310,81 @@ class NearDuplicates:
         self.source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").alias("text"))
         self.sets = keep(self.source.mapInArrow(_sketch, "doc_id long, n long, digest binary, sketch binary"), "sketches")
         real = self.sets.filter("n > 0 AND doc_id IS NOT NULL")
-        self.classes = keep(real.groupBy("digest").agg(F.min("doc_id").alias("class_id")), "classes")
-        self.models = keep(real.join(self.classes, "digest").filter("doc_id = class_id").select("class_id", "sketch"), "models")
+        # A class has a number of its own: documents that share a doc_id may be of different classes.
+        numbered = real.groupBy("digest").agg(F.min("doc_id").alias("least")).withColumn("id", F.monotonically_increasing_id())
+        self.classes = keep(numbered, "classes")
+        owner = self.classes.withColumnRenamed("least", "doc_id")
+        self.models = keep(real.join(owner, ["digest", "doc_id"]).groupBy("id").agg(F.first("doc_id").alias("doc_id"), F.first("n").alias("n"), F.first("digest").alias("digest"), F.first("sketch").alias("sketch")), "models")
 
     def stars(self) -> DataFrame:
         """lead, id: classes that share a band, with the least class of its bucket."""
-        bands = self.models.select("class_id", "sketch").mapInArrow(_bands, "key long, id long")
+        bands = self.models.select("id", "sketch").mapInArrow(_bands, "key long, id long")
         return bands.repartition("key").sortWithinPartitions("key", "id").mapInArrow(_star, "lead long, id long").distinct()
 
-    def search(self, members: DataFrame) -> DataFrame:
-        """Links (a, b) found in blocks of members (lead, block, part, id, component, pivot)."""
-        rows = members.join(self.texts, "id").select("lead", "block", "part", "id", "component", "pivot", "text", "sketch")
+    def texts(self, ids: DataFrame) -> DataFrame:
+        """id, text, digest of classes; where a doc_id stands for several texts, all of them."""
+        wanted = ids.join(self.models.select("id", F.col("doc_id").alias("_doc"), "digest"), "id")
+        return self.source.join(wanted, self.source.doc_id == wanted["_doc"]).select("id", "text", "digest")
+
+    def second_look(self, members: DataFrame, links: DataFrame) -> DataFrame:
+        """Links between blocks of one lead, for classes that are not of the lead's component."""
+        keep, percent = self.scratch.keep, self.percent
+        found = keep(components(links, self.scratch), "components")
+        named = lambda df, c: df.join(found.select(F.col("node").alias(c), F.col("component").alias(f"{c}_component")), c, "left").withColumn(f"{c}_component", F.coalesce(f"{c}_component", c))
+        many = members.filter("blocks > 1")
+        leads = named(many.select("lead").distinct(), "lead")
+        placed = keep(named(_by_lead(many, leads), "id"), "placed")
+        strays = placed.filter("id_component <> lead_component")
+        parts = strays.groupBy("lead").agg(F.ceil(F.count(F.lit(1)) / BLOCK).alias("parts"))
+        stray = _by_lead(strays, parts).select("lead", "blocks", F.pmod(F.xxhash64("id", F.lit(5)), F.col("parts")).alias("part"), "id", F.col("block").alias("home"), F.col("id_component").alias("component"))
+        every = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), F.col(n) - 1))
+        there = _by_lead(placed, parts).select("lead", "block", every("parts").alias("part"), "id", F.col("id_component").alias("component"), F.lit(False).alias("pivot"))
+        to = stray.withColumn("block", every("blocks")).filter("block <> home")
+        rows = there.unionByName(to.select("lead", "block", "part", "id", "component", F.lit(True).alias("pivot"))).join(self.models.select("id", "n", "sketch"), "id")
         keys = ("lead", "block", "part")
-        return self.scratch.keep(rows.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(_search(self.percent), "a long, b long"), "links")
+        rows = rows.select(*keys, "id", "component", "pivot", "n", "sketch").repartition(*keys).sortWithinPartitions(*keys)
+        pairs = keep(rows.mapInArrow(_guess(percent), "a long, b long").distinct(), "pairs")
+        ids = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct()
+        texts = keep(self.texts(ids).mapInArrow(_matching, "id long, text string").dropDuplicates(["id"]), "pair texts")
+        both = pairs.join(texts.select(F.col("id").alias("a"), F.col("text").alias("own")), "a").join(texts.select(F.col("id").alias("b"), F.col("text").alias("other")), "b")
+        return keep(both.select("a", "b", "own", "other").mapInArrow(_verify(percent), "a long, b long"), "late links")
 
     def result(self) -> DataFrame:
         keep = self.scratch.keep
         star = keep(self.stars(), "stars")
-        wanted = star.select("id").union(star.select("lead")).distinct()
-        sketches = wanted.join(self.models.withColumnRenamed("class_id", "id"), "id")
-        own = self.source.join(sketches, self.source.doc_id == sketches.id)
-        self.texts = keep(own.groupBy("id").agg(F.first("text").alias("text"), F.first("sketch").alias("sketch")), "texts")
+        texts = keep(self.texts(star.select("id").union(star.select("lead")).distinct()), "texts")
         # Lead and members in blocks; the lead is in every block.
         blocks = star.groupBy("lead").agg(F.ceil(F.count(F.lit(1)) / BLOCK).alias("blocks"))
-        members = star.join(blocks, "lead").withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")))
+        members = _by_lead(star, blocks.filter("blocks > 1"), "left").withColumn("blocks", F.coalesce("blocks", F.lit(1).cast("long"))).withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")))
         leads = blocks.select("lead", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("block"), F.col("lead").alias("id"))
-        none, no = F.lit(-1).cast("long"), F.lit(False)
-        first = members.select("lead", "block", "id").unionByName(leads).select("lead", "block", none.alias("part"), "id", F.col("id").alias("component"), no.alias("pivot"))
-        links = self.search(first)
-        # Classes of a lead of several blocks that are not of its component, against the other blocks.
-        found = keep(components(links, self.scratch), "components")
-        many = members.filter("blocks > 1")
-        named = lambda df, c: df.join(found.select(F.col("node").alias(c), F.col("component").alias(f"{c}_component")), c, "left").withColumn(f"{c}_component", F.coalesce(f"{c}_component", c))
-        placed = keep(named(named(many, "id"), "lead"), "placed")
-        strays = placed.filter("id_component <> lead_component")
-        parts = strays.groupBy("lead").agg(F.ceil(F.count(F.lit(1)) / BLOCK).alias("parts"))
-        stray = strays.join(parts, "lead").select("lead", "blocks", F.pmod(F.xxhash64("id", F.lit(5)), F.col("parts")).alias("part"), "id", F.col("block").alias("home"), F.col("id_component").alias("component"))
-        there = placed.join(parts, "lead").select("lead", "block", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("part"), "id", F.col("id_component").alias("component"), no.alias("pivot"))
-        to = stray.withColumn("block", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1))).filter("block <> home")
-        second = there.unionByName(to.select("lead", "block", "part", "id", "component", F.lit(True).alias("pivot")))
-        links = links.union(self.search(second))
+        rows = members.select("lead", "block", "id").unionByName(leads).join(texts, "id").join(self.models.select("id", "sketch"), "id").select("lead", "block", "id", "text", "digest", "sketch")
+        links = keep(rows.repartition("lead", "block").sortWithinPartitions("lead", "block").mapInArrow(_search(self.percent), "a long, b long"), "links")
+        if not blocks.filter("blocks > 1").isEmpty():
+            links = links.union(self.second_look(members, links))
         final = components(links, self.scratch)
-        part = self.classes.join(final, self.classes.class_id == final.node, "left").select("digest", F.coalesce("component", "class_id").alias("component_id"))
-        out = self.sets.select("doc_id", F.col("n").alias("n_shingles"), "digest").join(part, "digest", "left")
+        part = self.classes.join(final, self.classes.id == final.node, "left").select("digest", "least", F.coalesce("component", "id").alias("component"))
+        named = part.groupBy("component").agg(F.min("least").alias("component_id"))
+        verdict = part.join(named, "component").select("digest", "component_id")
+        out = self.sets.select("doc_id", F.col("n").alias("n_shingles"), "digest").join(verdict, "digest", "left")
         alone = (F.col("n_shingles") == 0) | F.col("doc_id").isNull()
         component = F.when(alone, F.col("doc_id")).otherwise(F.col("component_id"))
         return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
 
 
+def _by_lead(rows: DataFrame, per_lead: DataFrame, how: str = "inner") -> DataFrame:
+    """rows (lead, id) with what is known of their lead. The rows of a lead are dealt to SALTS places, each of which has
+    a copy of that, so a lead of very many classes is not in one task."""
+    copied = per_lead.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+    return rows.withColumn("salt", F.pmod(F.xxhash64("id", F.lit(3)), F.lit(SALTS))).join(copied, ["lead", "salt"], how).drop("salt")
+
+
 def near_dedup(docs: DataFrame, *, percent: int = 75, scratch: Scratch | None = None) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for every row; documents are linked from ``percent`` similarity on.
 
-    Texts are lower-cased in A-Z; a shingle is five words, or all words of a shorter text. A null or blank text has no
-    shingle, is linked with nothing and is kept. A null doc_id is linked with nothing, has no component and is kept.
-    Rows of one doc_id share sets and verdicts by text. Other columns are not read, an empty table gives an empty result.
+    Texts are lower-cased in A-Z; a shingle is five words, or all words of a shorter text; texts of any length are compared
+    whole. A null or blank text has no shingle, is linked with nothing and is kept. A null doc_id is linked with nothing,
+    has no component and is kept. Rows of one doc_id with different texts are judged each by its own text. Of documents
+    that tie, the smallest doc_id names the component. Other columns are not read, an empty table gives an empty result.
     """
     return NearDuplicates(docs, percent, scratch or Scratch(docs.sparkSession)).result()
 

@@ -94,6 +94,40 @@ def test_near_edges(make_docs):
     assert near_dedup.near_dedup(make_docs([])).count() == 0
 
 
+def test_near_repeated_identifiers(make_docs):
+    """Texts that share a doc_id are classes of their own, each with its own links."""
+    a, b = variants(2, 0.03, 5)[0], variants(2, 0.03, 6)[0]
+    near = lambda t: t + " end"
+    got = near_dedup.near_dedup(make_docs([(4, a), (4, b), (7, near(a)), (8, near(b)), (3, "far off")])).collect()
+    assert sorted((r.doc_id, r.component_id, r.kept) for r in got) == [(3, 3, True), (4, 4, True), (4, 4, True), (7, 4, False), (8, 4, False)]
+
+
+def test_near_a_bucket_of_unlinked_classes(make_docs, monkeypatch):
+    """Classes that share a third of their shingles with each other, few of them linked: blocks pass sketches, not texts."""
+    monkeypatch.setattr(near_dedup, "BLOCK", 16)
+    rng = random.Random(12)
+    common = " ".join(f"c{k}" for k in range(45))
+    texts = [f"{common} " + " ".join(f"v{rng.randrange(10**6)}" for _ in range(22)) for _ in range(150)]
+    texts += [t + " tail" for t in texts[100:120]]
+    pairs = list(enumerate(texts))
+    got = {r.doc_id: r.component_id for r in near_dedup.near_dedup(make_docs(pairs)).collect()}
+    assert got == {i: c for i, (_, c) in near_truth(pairs).items()}
+
+
+def test_likelihood_passes_pairs_at_the_threshold():
+    """Recall of estimate and bands over pairs of similarity 0.75 to 0.8 and sets of many sizes."""
+    rng, passed, met, total = np.random.default_rng(6), 0, 0, 0
+    for size in (4, 8, 30, 100, 1000):
+        for _ in range(40):
+            share = int(np.ceil(1.5 * size / 1.75))
+            u = rng.integers(0, 1 << 63, 2 * size - share, dtype=np.uint64)
+            a, b = near_dedup.registers(u[:size]), near_dedup.registers(u[size - share :])
+            passed += len(near_dedup._likely(a, size, b[None], np.array([size]), 75))
+            met += bool((near_dedup.band_keys(a[None]) == near_dedup.band_keys(b[None])).any())
+            total += 1
+    assert passed == met == total
+
+
 def test_registers_merge_and_estimate():
     rng = np.random.default_rng(1)
     u = rng.integers(0, 1 << 63, 3000, dtype=np.uint64)
