@@ -1,29 +1,32 @@
-"""WARC archives written by Spark's text sink and read back along verified record boundaries.
+"""WARC archives written by Spark's text sink and read back by byte ranges along verified record boundaries.
 
 Writing is declarative: one string a record, ended by the sink's line separator, so the sink's commit protocol covers
-lost executors. Reading cuts each archive into blocks. A task lists the places of a block that look like a record
-header, with the offset at which the next record would begin; records inside a payload look the same. Only the chain
-from the start of the file is real: pointer jumping over the exits of the blocks finds where it enters each block, and
-records are taken from those entries on.
+lost executors. Reading splits plain archives at any byte: the text source cuts them at blank lines, which end every
+header and every record, so a header is one piece. Each task lists the places of its block at which a header stands and
+the offset at which the next record would begin; headers inside payloads look the same. Only the chain from the start of
+the file is real: pointer jumping over the exits of the blocks finds where it enters each block. Records of a block are
+put together on the way, from its first header on; blocks that the chain enters elsewhere are read once more, and records
+that cross blocks are joined from their parts.
 """
 
 from __future__ import annotations
 
 import hashlib
 import re
-import zlib
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from halograph.llm.common import Scratch
 
 CRLF = "\r\n"
+BLANK = b"\r\n\r\n"
 VERSION = b"WARC/1.1\r\n"
-_START = re.compile(rb"WARC/1\.[01]\r\n")
-BLOCK_BYTES = 4 << 20
-_RECORD = "record_id string, record_type string, refers_to string, target_uri string, payload_bytes long, payload_digest string, payload binary, offset long, sound boolean"
+_START = re.compile(rb"(?:\r\n)?(?=WARC/1\.[01]\r\n)")
+#: Bytes of records that a task holds before it sends them on.
+HELD_BYTES = 8 << 20
+_RECORD = "record_id string, record_type string, refers_to string, target_uri string, payload_bytes long, payload_digest string, payload binary, sound boolean"
 
 
 def _clean(value: Column) -> Column:
@@ -35,7 +38,7 @@ def _header(name: str, value: Column) -> Column:
     return F.coalesce(F.concat(F.lit(name + ": "), value, F.lit(CRLF)), F.lit(""))
 
 
-def plan_records(pages: DataFrame, least_bytes: int = 100) -> DataFrame:
+def plan_records(pages: DataFrame, least_bytes: int, scratch: Scratch) -> DataFrame:
     """page_id, url, html, n, digest and, for records that revisit another, the identifier of that record.
 
     Only identifiers and digests meet to find equal payloads; the payloads move once, by identifier.
@@ -46,7 +49,8 @@ def plan_records(pages: DataFrame, least_bytes: int = 100) -> DataFrame:
     keys = sized.filter(F.col("n") >= least_bytes).select("page_id", "digest")
     first = keys.groupBy("digest").agg(F.min("page_id").alias("first_id"), F.count(F.lit(1)).alias("rows")).filter("rows > 1").select("digest", "first_id")
     again = keys.join(first, "digest").filter("page_id IS NULL OR page_id <> first_id").filter("first_id IS NOT NULL").distinct()
-    again = again.select(F.col("page_id").alias("_id"), F.col("digest").alias("_digest"), F.col("first_id").alias("refers_to"))
+    # Written, so that its size is known: where it is small, payloads need not move at all.
+    again = scratch.keep(again.select(F.col("page_id").alias("_id"), F.col("digest").alias("_digest"), F.col("first_id").alias("refers_to")), "revisits")
     return sized.join(again, sized.page_id.eqNullSafe(again._id) & (sized.digest == again._digest), "left").drop("_id", "_digest")
 
 
@@ -73,18 +77,19 @@ def record_text(date: str = "2024-01-01T00:00:00Z") -> Column:
     )
 
 
-def write_warc(pages: DataFrame, path: str, *, least_bytes: int = 100, files: int | None = None) -> str:
+def write_warc(pages: DataFrame, path: str, *, least_bytes: int = 100, files: int | None = None, codec: str = "none", scratch: Scratch | None = None) -> str:
     """Writes a record for each row of pages (page_id, url, html) to archive files under ``path``.
 
     Of equal payloads of at least ``least_bytes``, the smallest page_id is a response and the others revisit it. A null
     html is empty, a null url leaves its header out, a null page_id is never the one referred to while another is there.
     Rows that repeat the smallest page_id are responses too. An empty table writes no record. Other columns are ignored.
-    ``files`` asks for so many files, else there are as many as the plan has partitions.
+    Headers and payloads may be of any length up to that of a string. ``files`` asks for so many files, else there are as
+    many as the plan has partitions. Archives are plain, so that they can be read in parts, unless a codec is named.
     """
-    planned = plan_records(pages, least_bytes)
+    planned = plan_records(pages, least_bytes, scratch or Scratch(pages.sparkSession))
     if files:
         planned = planned.repartition(files, F.xxhash64("page_id", "url"))
-    planned.select(record_text().alias("value")).write.option("lineSep", CRLF * 2).text(path, compression="gzip")
+    planned.select(record_text().alias("value")).write.option("lineSep", CRLF * 2).text(path, compression=codec)
     return path
 
 
@@ -102,106 +107,163 @@ def _number(digits: str) -> int | None:
     return int(digits) if digits.isascii() and digits.isdigit() and len(digits) <= 18 else None
 
 
-def _successors(data: bytes) -> dict[int, tuple[int, int]]:
-    """(where the block begins, where the next record begins) for each place at which a record header stands.
-
-    Places before the same blank line share it and the last length above it, so headers of any size take linear time.
-    """
-    found, stop, where, length = {}, -1, -1, None
-    for m in _START.finditer(data):
-        at = m.start()
-        if at > stop:
-            stop, where, length = data.find(b"\r\n\r\n", at), -1, None
-            if stop < 0:
-                break
-            place = at
-            for line in data[at:stop].split(b"\r\n"):
-                name, colon, value = line.partition(b":")
-                if colon and name.strip().lower() == b"content-length":
-                    where, length = place, _number(value.strip().decode("latin-1"))
-                place += len(line) + 2
-        if at < where and length is not None:
-            found[at] = stop + 4, stop + 4 + length + 4
+def _length(header: bytes) -> int | None:
+    """The content length that a header states last, if it is one."""
+    found = None
+    for line in header.split(b"\r\n")[1:]:
+        name, colon, value = line.partition(b":")
+        if colon and name.strip().lower() == b"content-length":
+            found = _number(value.strip().decode("latin-1"))
     return found
 
 
-def _plain(content: bytes) -> bytes:
-    """The archive without gzip, whether the whole file or each record is a gzip member."""
-    if content[:2] != b"\x1f\x8b":
-        return content
-    out = []
-    while content[:2] == b"\x1f\x8b":
-        member = zlib.decompressobj(31)
-        out.append(member.decompress(content))
-        content = member.unused_data
-    return b"".join(out)
-
-
-def _parse(data: bytes, at: int, got: tuple[int, int]) -> tuple:
-    begin, after = got
-    head = _headers(data[at : begin - 4])
-    block = data[begin : after - 4]
-    http = block.find(b"\r\n\r\n")
+def _parse(header: bytes, block: bytes, complete: bool, payloads: bool) -> dict:
+    head = _headers(header)
+    http = block.find(BLANK)
     is_http = head.get("content-type", "").startswith("application/http") and http >= 0
     kind = head.get("warc-type", "")
     digest = head.get("warc-payload-digest", "").rpartition(":")[2] or None
     if kind == "revisit":
-        payload, sound = None, after - 4 <= len(data)
-        n = _headers(block[:http]).get("content-length", "0") if http >= 0 else "0"
-        n = _number(n) or 0
+        payload, sound = None, complete
+        n = _number(_headers(block[:http]).get("content-length", "0") if http >= 0 else "0") or 0
     else:
         payload = block[http + 4 :] if is_http else block
         own = hashlib.sha256(payload).hexdigest()
-        n, sound, digest = len(payload), digest in (None, own) and after - 4 <= len(data), own
-    return head.get("warc-record-id"), kind, head.get("warc-refers-to"), head.get("warc-target-uri"), n, digest, payload, at, sound
+        n, sound, digest = len(payload), digest in (None, own) and complete, own
+    return dict(zip([x.split()[0] for x in _RECORD.split(", ")], (head.get("warc-record-id"), kind, head.get("warc-refers-to"), head.get("warc-target-uri"), n, digest, payload if payloads else None, sound)))
+
+
+_KINDS = {"path": pa.string(), "block": pa.int64(), "kind": pa.string(), "at": pa.int64(), "to": pa.int64(), "header": pa.binary(), "bytes": pa.binary()}
+_RECORD_TYPE = pa.struct([(x.split()[0], {"string": pa.string(), "long": pa.int64(), "binary": pa.binary(), "boolean": pa.bool_()}[x.split()[1]]) for x in _RECORD.split(", ")])
+_FOUND = "path string, block long, kind string, at long, to long, header binary, bytes binary, record struct<" + _RECORD.replace(" ", ":").replace(",:", ",") + ">"
+
 
+class _Block:
+    """One block of a file as its pieces come in; all places are counted from its first piece.
 
-def _candidates(block_bytes: int, payloads: bool):
-    """Rows of two kinds. A step: a place where a block may be entered, and where the chain from there leaves the block
-    (null at its end). A record: what stands at one place of the chain from such an entry."""
+    Rows: ``total`` (to: bytes of the block), ``entry`` (at: the first record taken), ``step`` (a header at ``at``; to: where its
+    chain leaves the block or ends), ``record``, ``open`` (a record that goes on beyond the block: to: its end, header and the bytes
+    so far) and ``lead`` (the bytes before the entry).
+    """
+
+    def __init__(self, path: str, block: int, entry: int | None, payloads: bool):
+        self.path, self.block, self.payloads = path, block, payloads
+        self.entry = entry if entry is not None else 0 if block == 0 else None
+        self.next, self.pos, self.header = self.entry, 0, None
+        self.steps: dict[int, int] = {}
+        self.lead: list[bytes] = []
+        self.rows: list[tuple] = []
+        self.held = 0
+
+    def put(self, kind: str, at=None, to=None, header=None, data=None, record=None) -> None:
+        self.held += 200 + len(header or b"") + len(data or b"") + len((record or {}).get("payload") or b"")
+        self.rows.append((self.path, self.block, kind, at, to, header, data, record))
+
+    def feed(self, value: bytes) -> None:
+        rel, n = self.pos, len(value)
+        m = _START.match(value)
+        length = _length(value[m.end() :]) if m else None
+        at = rel + m.end() if length is not None else None
+        if at is not None:
+            self.steps[at] = rel + n + 4 + length + 4
+            if self.entry is None:
+                self.entry = self.next = at
+        if self.entry is None or rel < self.entry:
+            whole = value + BLANK
+            self.lead.append(whole if self.entry is None else whole[: self.entry - rel])
+        self.pos = rel + n + 4
+        if self.header is not None:
+            if rel < self.end:
+                self.content.append((value + BLANK)[: self.end - rel] if self.pos > self.end else value + BLANK)
+            if self.end + 4 <= (self.pos if at is None else at):
+                self.close()
+        if self.header is None and at is not None and at == self.next:
+            self.at, self.header, self.content = at, value[m.end() :], []
+            self.end = self.pos + length
+
+    def close(self) -> None:
+        self.put("record", self.at, self.end + 4, record=_parse(self.header, b"".join(self.content), True, self.payloads))
+        self.next, self.header = self.end + 4, None
+
+    def finish(self) -> None:
+        if self.header is not None and self.end + 4 <= self.pos:
+            self.close()
+        if self.header is not None:
+            self.put("open", self.at, self.end + 4, self.header, b"".join(self.content))
+        if self.lead and self.block:
+            self.put("lead", data=b"".join(self.lead))
+        self.put("total", to=self.pos)
+        if self.entry is not None:
+            self.put("entry", self.entry)
+        leaves: dict[int, int] = {}
+        for at in sorted(self.steps, reverse=True):
+            leaves[at] = leaves.get(self.steps[at], self.steps[at])
+            self.put("step", at, leaves[at])
+
+    def taken(self) -> pa.RecordBatch:
+        cols = [pa.array([r[k] for r in self.rows], t) for k, t in enumerate(_KINDS.values())]
+        out = pa.RecordBatch.from_arrays([*cols, pa.array([r[7] for r in self.rows], _RECORD_TYPE)], names=[*_KINDS, "record"])
+        self.rows, self.held = [], 0
+        return out
+
+
+def _scan(payloads: bool):
+    """Rows of all blocks from pieces (path, block, value and, on the second reading, entry) in the order of the file."""
 
     def run(batches):
+        now = None
         for batch in batches:
-            for i in range(batch.num_rows):
-                path, data = batch.column(0)[i].as_py(), _plain(batch.column(1)[i].as_py())
-                found = _successors(data)
-                leaves: dict[int, int | None] = {}
-                for at in sorted(found, reverse=True):
-                    to = found[at][1]
-                    if to not in found:
-                        leaves[at] = None
-                    else:
-                        leaves[at] = leaves[to] if to // block_bytes == at // block_bytes else to
-                rows, held = [], 0
-                for entry in sorted({0} & found.keys() | {to for to in leaves.values() if to is not None}):
-                    rows.append((path, entry, leaves[entry], None))
-                    at = entry
-                    while at in found and at // block_bytes == entry // block_bytes:
-                        record = _parse(data, at, found[at])
-                        held += 400 + len(record[6] or b"") * payloads
-                        rows.append((path, entry, None, record if payloads else (*record[:6], None, *record[7:])))
-                        at = found[at][1]
-                        if held > 8 << 20:
-                            yield _rows(rows)
-                            rows, held = [], 0
-                yield _rows(rows)
+            path, block, value = (batch.column(k) for k in range(3))
+            entry = batch.column(3) if batch.num_columns > 3 else None
+            for i, key in enumerate(zip(path.to_pylist(), block.to_pylist())):
+                if now is None or key != (now.path, now.block):
+                    if now is not None:
+                        now.finish()
+                        yield now.taken()
+                    now = _Block(*key, entry[i].as_py() if entry is not None else None, payloads)
+                now.feed(value[i].as_py())
+                if now.held > HELD_BYTES:
+                    yield now.taken()
+        if now is not None:
+            now.finish()
+            yield now.taken()
 
     return run
 
 
-def _rows(rows: list[tuple]) -> pa.RecordBatch:
-    names = [x.split()[0] for x in _RECORD.split(", ")]
-    kinds = [pa.string(), pa.string(), pa.string(), pa.string(), pa.int64(), pa.string(), pa.binary(), pa.int64(), pa.bool_()]
-    fields = [pa.array([r[3] and r[3][k] for r in rows], t) for k, t in enumerate(kinds)]
-    record = pa.StructArray.from_arrays(fields, names=names, mask=pa.array([r[3] is None for r in rows], pa.bool_()))
-    return pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], t) for k, t in enumerate((pa.string(), pa.int64(), pa.int64()))] + [record], names=["path", "entry", "leaves", "record"])
+def _numbered(batches):
+    """path, block, n, value: pieces of a block, numbered."""
+    now, n = None, 0
+    for batch in batches:
+        keys = list(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()))
+        numbers = []
+        for key in keys:
+            n = n + 1 if key == now else 0
+            now = key
+            numbers.append(n)
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(numbers, pa.int64()), batch.column(2)], names=["path", "block", "n", "value"])
+
+
+def _whole(payloads: bool):
+    """A record that crosses blocks, from its open part and the leads of the blocks that follow."""
+
+    def run(table: pa.Table) -> pa.Table:
+        rows = sorted(table.to_pylist(), key=lambda r: r["base"])
+        first = rows[0]
+        length = _length(first["header"])
+        body = b"".join([first["bytes"], *(r["lead"] or b"" for r in rows)])
+        # what the last piece of a file lacks of its closing line ends was counted with the block
+        record = _parse(first["header"], body[:length], len(body) >= length and bool(first["closed"]), payloads)
+        return pa.table([pa.array([first["path"]]), pa.array([first["offset"]], pa.int64()), pa.array([record], _RECORD_TYPE)], names=["path", "offset", "record"])
+
+    return run
 
 
 def reachable_entries(steps: DataFrame, scratch: Scratch) -> DataFrame:
-    """path, entry: where the chain from offset 0 enters blocks, by pointer jumping."""
+    """path, entry: where the chain from offset 0 enters blocks, by pointer jumping over steps (path, entry, leaves)."""
     longest = steps.groupBy("path").count().agg(F.max("count")).first()[0] or 0
     reached = steps.filter("entry = 0").select("path", "entry")
-    jump = steps.filter("leaves IS NOT NULL").select("path", "entry", "leaves")
+    jump = steps.select("path", "entry", "leaves")
     known = 1
     while known < longest:  # after each round the chain is known twice as many blocks far
         further = reached.join(jump, ["path", "entry"]).select("path", F.col("leaves").alias("entry"))
@@ -210,26 +272,62 @@ def reachable_entries(steps: DataFrame, scratch: Scratch) -> DataFrame:
         known *= 2
         if known < longest:
             jump = scratch.keep(jump.join(onward, ["path", "leaves"]).select("path", "entry", F.col("next").alias("leaves")), "jump")
-    return reached
+    return reached.join(steps.select("path", "entry"), ["path", "entry"], "left_semi")
 
 
-def read_warc(spark: SparkSession, path: str, *, scratch: Scratch | None = None, block_bytes: int = BLOCK_BYTES, payloads: bool = True) -> DataFrame:
-    """All records reachable from the start of each archive file under ``path``; gzip or plain.
+def read_warc(spark: SparkSession, path: str, *, scratch: Scratch | None = None, payloads: bool = True) -> DataFrame:
+    """path, offset and the fields of all records reachable from the start of each archive file under ``path``.
 
-    Text inside a payload that looks like a record is never one. A chain that breaks (a file cut short, a bad length)
-    ends there; ``sound`` is false where a payload differs from its recorded digest or is cut short. An empty folder gives
-    no rows. A file is held by one task, so files should stay well below an executor's memory, as write_warc's do.
+    Plain files are read in parts of spark.sql.files.maxPartitionBytes by as many tasks; a file named .gz, of one or many
+    members, streams through one task. Text inside a payload that looks like a record is never one. ``sound`` is false where
+    a payload differs from its recorded digest or is cut short. Where a chain breaks before the end of its file (no
+    record stands where the last one says), a row without record_id tells the place, with sound = false. An empty folder
+    gives no rows. A record, also one that crosses parts, is held by one task and may have up to 2 GB.
     """
     scratch = scratch or Scratch(spark)
-    archives = spark.read.format("binaryFile").load(path).filter("length > 0").select("path", "content")
-    found = scratch.keep(archives.mapInArrow(_candidates(block_bytes, payloads), f"path string, entry long, leaves long, record struct<{_RECORD.replace(' ', ':').replace(',:', ',')}>"), "candidates")
-    steps = found.filter("record IS NULL").select("path", "entry", "leaves")
-    return found.filter("record IS NOT NULL").select("path", "entry", "record").join(reachable_entries(steps, scratch), ["path", "entry"]).select("path", "record.*")
+    text = spark.read.option("lineSep", CRLF * 2).text(path)
+    pieces = text.select(F.col("_metadata.file_path").alias("path"), F.col("_metadata.file_block_start").alias("block"), F.col("value").cast("binary").alias("value"))
+    found = scratch.keep(pieces.mapInArrow(_scan(payloads), _FOUND), "found")
+    before = F.sum("to").over(Window.partitionBy("path").orderBy("block").rowsBetween(Window.unboundedPreceding, -1))
+    blocks = scratch.keep(found.filter("kind = 'total'").select("path", "block", F.coalesce(before, F.lit(0)).alias("base"), F.col("to").alias("total")), "blocks")
+    at = lambda df: df.join(blocks, ["path", "block"])
+    headers = at(found.filter("kind = 'step'").select("path", "block", "at", "to")).select("path", "block", (F.col("base") + F.col("at")).alias("entry"), (F.col("base") + F.col("to")).alias("leaves"), "base")
+    starts = blocks.groupBy("path").agg(F.sum("total").alias("size"))
+    targets = headers.select("path", F.col("leaves").alias("entry")).union(starts.select("path", F.lit(0).cast("long"))).distinct()
+    steps = scratch.keep(headers.join(targets, ["path", "entry"]), "steps")
+    reached = scratch.keep(reachable_entries(steps, scratch), "entries")
+    real = steps.join(reached, ["path", "entry"], "left_semi")
+    # Blocks that the chain enters elsewhere than at their first header, or not at all.
+    wrong = (
+        blocks.join(found.filter("kind = 'entry'").select("path", "block", F.col("at").alias("taken")), ["path", "block"], "left")
+        .join(real.select("path", "block", (F.col("entry") - F.col("base")).alias("met")), ["path", "block"], "left")
+        .filter("NOT taken <=> met AND taken IS NOT NULL")
+        .select("path", "block", F.coalesce("met", F.lit(1 << 62)).alias("entry"))
+    )
+    wrong = scratch.keep(wrong, "wrong")
+    if not wrong.isEmpty():
+        again = pieces.mapInArrow(_numbered, "path string, block long, n long, value binary").join(wrong, ["path", "block"])
+        again = again.repartition("path", "block").sortWithinPartitions("path", "block", "n").select("path", "block", "value", "entry")
+        right = found.join(wrong, ["path", "block"], "left_anti").select(found.columns)
+        found = scratch.keep(right.unionByName(again.mapInArrow(_scan(payloads), _FOUND)), "found again")
+    offset = (F.col("base") + F.col("at")).alias("offset")
+    inside = at(found.filter("kind = 'record'").select("path", "block", "at", "record")).select("path", offset, "record")
+    opened = at(found.filter("kind = 'open'").select("path", "block", "at", "to", "header", "bytes")).join(starts, "path")
+    opened = opened.select("path", offset, (F.col("base") + F.col("to")).alias("until"), "header", "bytes", (F.col("base") + F.col("to") <= F.col("size")).alias("closed"))
+    leads = at(found.filter("kind = 'lead'").select("path", "block", F.col("bytes").alias("lead"))).select(F.col("path").alias("_path"), "base", "lead")
+    parts = opened.join(leads, (F.col("path") == F.col("_path")) & (F.col("base") > F.col("offset")) & (F.col("base") < F.col("until")), "left")
+    crossing = parts.drop("_path").groupBy("path", "offset").applyInArrow(_whole(payloads), "path string, offset long, record struct<" + _RECORD.replace(" ", ":").replace(",:", ",") + ">")
+    # Where the chain should go on but no header stands.
+    ends = real.select("path", F.col("leaves").alias("entry")).union(starts.select("path", F.lit(0).cast("long")))
+    lost = ends.join(headers.select("path", "entry"), ["path", "entry"], "left_anti").join(starts, "path").filter("entry < size")
+    nothing = [F.lit(None).cast(kind).alias(name) for name, kind in (x.split() for x in _RECORD.split(", ")) if name != "sound"]
+    broken = lost.select("path", F.col("entry").alias("offset"), F.struct(*nothing, F.lit(False).alias("sound")).alias("record"))
+    return inside.unionByName(crossing).unionByName(broken).select("path", "offset", "record.*")
 
 
 def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     scratch = Scratch(spark)
-    path = write_warc(spark.read.parquet(f"{sf_dir}/pages.parquet"), scratch.path("warc"))
+    path = write_warc(spark.read.parquet(f"{sf_dir}/pages.parquet"), scratch.path("warc"), scratch=scratch)
     records = read_warc(spark, path, scratch=scratch, payloads=False)
     page = lambda c: F.regexp_extract(c, r"urn:page:(-?\d+)", 1).try_cast("long")
     return records.select(page(F.col("record_id")).alias("page_id"), "payload_bytes", "payload_digest", "record_type", page(F.col("refers_to")).alias("refers_to"))

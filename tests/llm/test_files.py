@@ -1,4 +1,7 @@
 import gzip
+import random
+
+import pytest
 
 from halograph.llm import chat, warc
 from halograph.llm.common import Scratch
@@ -8,13 +11,29 @@ SF = "/root/testdata/sf0.001"
 PAGES = "page_id long, url string, html string, digest string"
 
 
-def test_round_trip_with_magic_inside_payloads(spark, tmp_path):
+@pytest.fixture
+def parts_of(spark):
+    """Makes the file sources cut files into parts of so many bytes."""
+    names = ("spark.sql.files.maxPartitionBytes", "spark.sql.files.openCostInBytes")
+    before = [spark.conf.get(n) for n in names]
+
+    def cut(size):
+        spark.conf.set(names[0], str(size))
+        spark.conf.set(names[1], "0")
+
+    yield cut
+    for n, v in zip(names, before):
+        spark.conf.set(n, v)
+
+
+def test_round_trip_with_magic_inside_payloads(spark, tmp_path, parts_of):
     trap = "WARC/1.1\r\nWARC-Type: response\r\nContent-Length: 10\r\n\r\n0123456789\r\n\r\n" * 3 + "y" * 80
     big = "z" * 120
     rows = [(5, "http://a", big, "x"), (2, "http://b", big, None), (9, None, big, None), (1, "http://c\r\nX: y", trap, None), (3, "u", None, None), (4, "u", "", None), (6, "u", "short", None), (7, "u", "short", None), (8, "u", "é" * 60, None), (2, "http://b", big, None), (None, "n", big, None)]
     path = warc.write_warc(spark.createDataFrame(rows, PAGES), str(tmp_path / "w"), files=2)
-    for block in (64, 1000, 1 << 20):
-        got = warc.read_warc(spark, path, block_bytes=block).collect()
+    for size in (400, 3000, 1 << 20):
+        parts_of(size)
+        got = warc.read_warc(spark, path).collect()
         assert len(got) == len(rows) and all(r.sound for r in got)
         kinds = sorted((r.record_id, r.record_type, r.refers_to) for r in got)
         assert ("<urn:page:2>", "response", None) in kinds and ("<urn:page:5>", "revisit", "<urn:page:2>") in kinds and ("<urn:page:none>", "revisit", "<urn:page:2>") in kinds
@@ -28,16 +47,36 @@ def test_members_and_broken_chains(spark, tmp_path):
     (tmp_path / "a.warc.gz").write_bytes(gzip.compress(record(b"one")) + gzip.compress(record(b"two")))
     (tmp_path / "b.warc").write_bytes(record(b"three") + b"garbage" + record(b"lost"))
     (tmp_path / "c.warc").write_bytes(record(b"whole") + record(b"cut short")[:-8])
+    (tmp_path / "d.warc").write_bytes(b"no record\r\n\r\n" + record(b"never"))
     got = warc.read_warc(spark, str(tmp_path)).collect()
     assert sorted(bytes(r.payload) for r in got if r.sound) == [b"one", b"three", b"two", b"whole"]
-
-
-def test_long_headers_and_odd_lengths(spark, tmp_path):
+    broken = {r.path.rsplit("/", 1)[-1]: (r.offset, r.record_id) for r in got if not r.sound}
+    assert broken == {"b.warc": (len(record(b"three")), None), "c.warc": (len(record(b"whole")), "<urn:page:1>"), "d.warc": (0, None)}
+
+
+def test_records_that_cross_parts_and_fakes_at_their_heads(spark, tmp_path, parts_of):
+    """Payloads that end in line ends, hold whole records, or are longer than a part."""
+    fake = "WARC/1.1\r\nWARC-Type: response\r\nWARC-Record-ID: <urn:page:666>\r\nContent-Length: 4\r\n\r\nfake\r\n\r\n"
+    rng = random.Random(3)
+    rows = []
+    for k in range(60):
+        body = "".join(rng.choice([fake, "\r\n", "\r\n\r\n", "\r", "text " * 20, "WARC/1.1\r\n", fake[:60]]) for _ in range(rng.randint(0, 12)))
+        rows.append((k, f"http://h/{k}", f"{k}:" + body, None))
+    rows.append((60, "u", fake * 300, None))
+    path = warc.write_warc(spark.createDataFrame(rows, PAGES), str(tmp_path / "w"), files=1)
+    for size in (900, 5000):
+        parts_of(size)
+        got = warc.read_warc(spark, path).collect()
+        assert sorted((r.record_id, bytes(r.payload).decode()) for r in got) == sorted((f"<urn:page:{i}>", h) for i, _, h, _ in rows) and all(r.sound for r in got)
+
+
+def test_long_headers_and_odd_lengths(spark, tmp_path, parts_of):
     odd = [f"WARC/1.1\r\nContent-Length: {n}\r\n\r\nabc\r\n\r\n" for n in ("²", "9" * 5000, "-1", "")]
     rows = [(1, "http://a", "x", None), (2, "data:," + "u" * 100_000, "y", None), (3, "http://b", "".join(odd), None), (4, "http://c", "WARC/1.1\r\n" * 20_000, None), (5, "http://d", "z", None)]
     path = warc.write_warc(spark.createDataFrame(rows, PAGES).coalesce(1), str(tmp_path / "w"), files=1)
-    for block in (1000, 1 << 20):
-        got = {r.record_id: r for r in warc.read_warc(spark, path, block_bytes=block).collect()}
+    for size in (60_000, 1 << 20):
+        parts_of(size)
+        got = {r.record_id: r for r in warc.read_warc(spark, path).collect()}
         assert len(got) == len(rows) and all(r.sound for r in got.values())
         for i, url, html, _ in rows:
             assert (got[f"<urn:page:{i}>"].target_uri, bytes(got[f"<urn:page:{i}>"].payload).decode()) == (url, html)
