@@ -62,15 +62,26 @@ def links(messages: DataFrame, scratch: Scratch) -> DataFrame:
     events = said.select("conv_id", "key", "turn", F.col("turn").alias("said"), none.cast("int").alias("level"), none.cast("int").alias("whole"), none.cast("int").alias("size")).unionByName(
         quoted.select("conv_id", "key", "turn", none.cast("long").alias("said"), "level", "whole", "size")
     )
-    past = Window.partitionBy("conv_id", "key").orderBy("turn").rangeBetween(Window.unboundedPreceding, -1)
-    found = events.withColumn("quoted", F.max("said").over(past)).filter("level IS NOT NULL AND quoted IS NOT NULL")
+    # Spans of turns are ordered by themselves, and the latest saying before a span is carried into it.
+    events = events.withColumn("span", _span("turn"))
+    spans = events.groupBy("conv_id", "key", "span").agg(F.max("said").alias("last"))
+    before = Window.partitionBy("conv_id", "key").orderBy("span").rowsBetween(Window.unboundedPreceding, -1)
+    carried = spans.select("conv_id", "key", "span", F.max("last").over(before).alias("carried"))
+    past = Window.partitionBy("conv_id", "key", "span").orderBy("turn").rangeBetween(Window.unboundedPreceding, -1)
+    inner = events.withColumn("inner", F.max("said").over(past)).filter("level IS NOT NULL").join(carried, ["conv_id", "key", "span"])
+    found = inner.withColumn("quoted", F.coalesce("inner", "carried")).filter("quoted IS NOT NULL")
     rank = F.struct(F.col("level"), F.col("whole"), -F.col("size"), -F.col("quoted"))
     return found.groupBy("conv_id", "turn").agg(F.min_by("quoted", rank).alias("quoted"))
 
 
+def _span(column: str) -> Column:
+    """Number of the span of SPAN turns that a turn is in."""
+    return F.expr(f"{column} div {SPAN} - IF({column} % {SPAN} < 0, 1, 0)")
+
+
 def _previous(messages: DataFrame) -> DataFrame:
     """conv_id, turn, previous: the turn before, by spans of turns."""
-    turns = messages.filter("turn IS NOT NULL").select("conv_id", "turn", F.expr(f"turn div {SPAN} - IF(turn % {SPAN} < 0, 1, 0)").alias("span")).distinct()
+    turns = messages.filter("turn IS NOT NULL").select("conv_id", "turn", _span("turn").alias("span")).distinct()
     spans = turns.groupBy("conv_id", "span").agg(F.max("turn").alias("last"))
     before = spans.select("conv_id", "span", F.lag("last").over(Window.partitionBy("conv_id").orderBy("span")).alias("carried"))
     inner = F.lag("turn").over(Window.partitionBy("conv_id", "span").orderBy("turn"))
@@ -88,13 +99,35 @@ def _heads(linked: DataFrame, scratch: Scratch) -> DataFrame:
         head = scratch.keep(longer.select("conv_id", "turn", F.coalesce("above", "head").alias("head")), "heads")
 
 
+def _positions(told: DataFrame) -> DataFrame:
+    """The rows with their position in the conversation, by head, turn and content; counts of spans of heads, and of
+    turns under one head, are summed up first, so no conversation is put in order by one task."""
+    keyed = told.withColumns({"far": _span("head"), "near": _span("turn")})
+    sizes = keyed.filter("head IS NOT NULL").groupBy("conv_id", "far", "head", "near").agg(F.count(F.lit(1)).alias("n"))
+    coarse = sizes.groupBy("conv_id", "far").agg(F.sum("n").alias("n"))
+    up_to = lambda *keys: F.coalesce(F.sum("n").over(Window.partitionBy(*keys[:-1]).orderBy(*keys[-1]).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    coarse = coarse.select("conv_id", "far", up_to("conv_id", ["far"]).alias("earlier"))
+    fine = sizes.select("conv_id", "far", "head", "near", up_to("conv_id", "far", ["head", "near"]).alias("before"))
+    offsets = fine.join(coarse, ["conv_id", "far"]).select("conv_id", "head", "near", (F.col("earlier") + F.col("before")).alias("offset"))
+    own = F.row_number().over(Window.partitionBy("conv_id", "head", "near").orderBy("turn", "role", "content"))
+    return keyed.withColumn("own", own).join(offsets, ["conv_id", "head", "near"], "left").withColumn("position", F.col("offset") + F.col("own") - 1)
+
+
+def transcripts(chat: DataFrame, messages: int = 1024) -> DataFrame:
+    """conv_id, block, text: conversations in reply order, quotations left out, in blocks of so many messages."""
+    placed = chat.filter("position IS NOT NULL").select("conv_id", F.call_function("div", "position", F.lit(messages)).alias("block"), "position", "rendered")
+    rows = F.array_sort(F.collect_list(F.struct("position", "rendered")))  # at most so many messages
+    return placed.groupBy("conv_id", "block").agg(F.array_join(F.transform(rows, lambda r: r["rendered"]), "").alias("text"))
+
+
 def format_chat(messages: DataFrame, *, scratch: Scratch | None = None) -> DataFrame:
-    """conv_id, turn, role, reply_to, quotes, head, content, rendered for every message; order by conv_id, head, turn.
+    """conv_id, turn, role, reply_to, quotes, head, position, content, rendered for every message.
 
-    ``quotes`` tells whether a quotation was found in an earlier turn, ``content`` is the text without quoted lines and
-    ``rendered`` the message in chat markup. A null text is empty, a null role is "unknown". A message without turn or
-    conversation has no reply and no head; messages of one turn share reply and head; repeated rows stay. Other columns
-    are not read, an empty table gives an empty result.
+    ``quotes`` tells whether a quotation was found in an earlier turn, ``position`` is the place in the conversation put in
+    reply order (see transcripts), ``content`` the text without quoted lines and ``rendered`` the message in chat markup.
+    A null text is empty, a null role is "unknown"; texts of any length are read whole. A message without turn or
+    conversation has no reply, head or position; messages of one turn share reply and head, and are ordered by role and
+    content; repeated rows stay. Other columns are not read, an empty table gives an empty result.
     """
     scratch = scratch or Scratch(messages.sparkSession)
     base = messages.select(
@@ -106,10 +139,11 @@ def format_chat(messages: DataFrame, *, scratch: Scratch | None = None) -> DataF
     content = unquoted(F.col("text"))
     rendered = F.concat(F.lit("<|"), "role", F.lit("|>\n"), content, F.lit("\n<|end|>\n"))
     placed_row = F.col("conv_id").isNotNull() & F.col("turn").isNotNull()
-    return told.select(
+    rows = told.select(
         "conv_id", "turn", "role", F.coalesce("quoted", "previous").alias("reply_to"), F.col("quoted").isNotNull().alias("quotes"),
         F.when(placed_row, F.coalesce("head", "turn")).alias("head"), content.alias("content"), rendered.alias("rendered"),
     )
+    return _positions(rows).select("conv_id", "turn", "role", "reply_to", "quotes", "head", "position", "content", "rendered")
 
 
 def op9_chat_format(spark, sf_dir: str) -> DataFrame:
@@ -149,7 +183,8 @@ climb AS (
 heads AS (SELECT conv_id, turn, min(head) AS head FROM climb GROUP BY ALL),
 previous AS (
   SELECT conv_id, turn, lag(turn) OVER (PARTITION BY conv_id ORDER BY turn) AS previous FROM (SELECT DISTINCT conv_id, turn FROM base))
-SELECT o.conv_id, o.turn, o.role, coalesce(l.quoted, p.previous) AS reply_to, l.quoted IS NOT NULL AS quotes, coalesce(h.head, o.turn) AS head, o.content,
+SELECT o.conv_id, o.turn, o.role, coalesce(l.quoted, p.previous) AS reply_to, l.quoted IS NOT NULL AS quotes, coalesce(h.head, o.turn) AS head,
+  row_number() OVER (PARTITION BY o.conv_id ORDER BY coalesce(h.head, o.turn), o.turn, o.role, o.content) - 1 AS position, o.content,
   '<|' || o.role || '|>' || chr(10) || o.content || chr(10) || '<|end|>' || chr(10) AS rendered
 FROM own o LEFT JOIN linked l USING (conv_id, turn) LEFT JOIN heads h USING (conv_id, turn) LEFT JOIN previous p USING (conv_id, turn)
 """

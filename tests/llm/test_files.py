@@ -130,6 +130,14 @@ def test_chat_threads(spark):
     assert (got[6].reply_to, got[6].head) == (3, 1)  # quotes a reply: the same chain
 
 
+def test_transcripts_in_reply_order(spark, monkeypatch):
+    monkeypatch.setattr(chat, "SPAN", 2)
+    out = chat.format_chat(spark.createDataFrame([(*m, "x") for m in MESSAGES if m[0] == 1], SCHEMA + ", position string"))
+    assert [r.turn for r in out.orderBy("position").collect()] == [0, 5, 1, 3, 6, 2, 4] and sorted(r.position for r in out.collect()) == list(range(7))
+    blocks = {r.block: r.text for r in chat.transcripts(out, 4).collect()}
+    assert sorted(blocks) == [0, 1] and blocks[0].startswith("<|user|>\nHello there\nhow are you?\n<|end|>\n<|user|>\nSame") and ">" not in blocks[1].replace("|>", "")
+
+
 def test_scratch_is_removed(spark):
     import os
 
