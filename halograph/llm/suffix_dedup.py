@@ -25,7 +25,7 @@ REACH = LENGTH - GRAM + 1  # windows that can share an anchor in a row
 CHUNK_BYTES = 4 << 20
 SLICE_BYTES = 1 << 20
 #: Bytes of text for each group of anchors.
-GROUP_BYTES = 4 << 20
+GROUP_BYTES = 8 << 20
 #: An anchor of more occurrences is dealt out by its windows instead, so that no group grows with one passage.
 HEAVY = 20_000
 _LARGEST = np.iinfo(np.int64).max
@@ -54,7 +54,7 @@ def _risen(b: bytes, kind) -> np.ndarray:
 
 
 def anchors(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(first window, number of windows, document, 64-bit hash of the anchor) of each run of windows of one anchor.
+    """(first window, number of windows, document, 48-bit hash of the anchor) of each run of windows of one anchor.
 
     While the smallest is looked for, places share a number with the hash and have its low 24 bits, so data is a slice
     below that (see _Chunk.parts)."""
@@ -82,7 +82,7 @@ def anchors(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarr
     edge = np.ones(len(key), bool)
     edge[1:] = (key[1:] != key[:-1]) | (doc[1:] != doc[:-1])
     head = np.flatnonzero(edge)
-    return inner[head], np.diff(np.append(head, len(key))), doc[head], name[(key[head] & np.uint64(0xFFFFFF)).astype(np.int64)]
+    return inner[head], np.diff(np.append(head, len(key))), doc[head], name[(key[head] & np.uint64(0xFFFFFF)).astype(np.int64)] >> np.uint64(16)
 
 
 def _chunks(batches):
@@ -180,7 +180,7 @@ def _offer(groups: int):
             for row in _dicts(batch):
                 chunk = _Chunk(row)
                 at, n, _, h = chunk.runs()
-                check = _strings(chunk, at, n)
+                check = _strings(chunk, at, n) >> np.uint64(24)
                 order = np.lexsort((check, h))
                 h, check = h[order], check[order]
                 edge = np.ones(len(h), bool)
@@ -216,36 +216,46 @@ def _shared(heavy: int):
         out = [[], [], []]
         for k, x in enumerate(own):
             t, more = total[at[cut[k] : cut[k + 1]]], several[cut[k] : cut[k + 1]]
-            for o, keep in zip(out, ((t > 1) & ~more, (t > 1) & more, (t > heavy) & more)):
-                o.append(_rising(np.unique(x[keep])))
+            once = np.ones(len(x), bool)
+            once[1:] = x[1:] != x[:-1]  # a chunk's anchors rise
+            once &= t > 1
+            for o, keep in zip(out, (once & ~more, once & more, once & (t > heavy) & more)):
+                o.append(_rising(x[keep]))
         return pa.table([pa.array(chunks, pa.int64()), *(pa.array(o, pa.binary()) for o in out)], names=["chunk", "single", "several", "heavy"])
 
     return run
 
 
-def _distinct(chunk: "_Chunk", at: np.ndarray, n: np.ndarray, anchor: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(first run of each distinct string, which string each run covers); strings of one hash are told apart by bytes."""
-    if not len(at):
-        return np.zeros(0, np.int64), np.zeros(0, np.int64)
-    keys = np.stack([anchor, _strings(chunk, at, n)], 1)
-    _, first, which = np.unique(keys.view([("a", np.uint64), ("s", np.uint64)]).ravel(), return_index=True, return_inverse=True)
-    size, model = n + LENGTH - 1, first[which]
-    same = size == size[model]
-    length = np.where(same, size, 0)
-    differ = chunk.data[_spread(at, length)] != chunk.data[_spread(at[model], length)]
-    odd = np.flatnonzero(~same)
+def _apart(data: np.ndarray, starts: np.ndarray, sizes: np.ndarray, first: np.ndarray, which: np.ndarray) -> np.ndarray:
+    """Rows whose bytes are not those of the first row of their hash; firsts themselves need no look."""
+    again = np.flatnonzero(first[which] != np.arange(len(which)))
+    model = first[which[again]]
+    same = sizes[again] == sizes[model]
+    length = np.where(same, sizes[again], 0)
+    differ = data[_spread(starts[again], length)] != data[_spread(starts[model], length)]
+    odd = ~same
     if differ.any():
-        odd = np.union1d(odd, np.repeat(np.arange(len(at)), length)[differ])
-    for k in odd.tolist():  # of one hash but of other bytes: a string of its own
+        odd[np.repeat(np.arange(len(again)), length)[differ]] = True
+    return again[odd]
+
+
+def _distinct(chunk: "_Chunk", at: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(first run of each distinct string, which string each run covers, hash of each string); strings of one hash are told
+    apart by their bytes. A string has one anchor, so equal strings meet."""
+    if not len(at):
+        return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint64)
+    hashes = _strings(chunk, at, n)
+    _, first, which = np.unique(hashes, return_index=True, return_inverse=True)
+    for k in _apart(chunk.data, at, n + LENGTH - 1, first, which).tolist():  # of one hash but of other bytes
         which[k] = len(first)
         first = np.append(first, k)
-    return first, which
+    return first, which, hashes[first]
 
 
 def _digests(chunk: "_Chunk", at: np.ndarray, n: np.ndarray) -> bytes:
-    """128-bit digests of strings, one after another: chunks agree on a string by its bytes, not by a short hash."""
+    """64-bit keyed digests of strings, one after another: with the 48 bits of the anchor, chunks agree on a string by these."""
     data = memoryview(np.ascontiguousarray(chunk.data))
-    return b"".join([hashlib.blake2b(data[a : a + m + LENGTH - 1], digest_size=16).digest() for a, m in zip(at.tolist(), n.tolist())])
+    return b"".join([hashlib.blake2b(data[a : a + m + LENGTH - 1], digest_size=8).digest() for a, m in zip(at.tolist(), n.tolist())])
 
 
 def _member(x: np.ndarray, rising: np.ndarray) -> np.ndarray:
@@ -268,7 +278,7 @@ def _send(groups: int):
                 alike, differ = _member(h, single), _member(h, several)
                 # single anchors: the anchor and a digest of the bytes name the string
                 at1, n1, doc1, h1 = at[alike], n[alike], doc[alike], h[alike]
-                first1, which1 = _distinct(chunk, at1, n1, h1)
+                first1, which1, _ = _distinct(chunk, at1, n1)
                 anchor, least1 = h1[first1], np.full(len(first1), _LARGEST)
                 np.minimum.at(least1, which1, chunk.ids[doc1])
                 group1 = (mix(anchor) % np.uint64(groups)).astype(np.int64)
@@ -282,8 +292,7 @@ def _send(groups: int):
                     own = np.repeat(doc2[wide], n2[wide])
                     at2, doc2, n2 = np.concatenate([at2[~wide], each]), np.concatenate([doc2[~wide], own]), np.concatenate([n2[~wide], np.ones(len(each), np.int64)])
                     h2 = np.concatenate([h2[~wide], np.zeros(len(each), np.uint64)])
-                first2, which2 = _distinct(chunk, at2, n2, h2)
-                name = _strings(chunk, at2[first2], n2[first2])
+                first2, which2, name = _distinct(chunk, at2, n2)
                 least2 = np.full(len(name), _LARGEST)
                 np.minimum.at(least2, which2, chunk.ids[doc2])
                 group2 = (np.where(h2[first2] > 0, mix(h2[first2]), name) % np.uint64(groups)).astype(np.int64)
@@ -347,16 +356,22 @@ def _smallest(names: list[np.ndarray], least: np.ndarray) -> tuple[np.ndarray, n
     return smallest, first, which
 
 
+def _smallest_of_pairs(a: np.ndarray, b: np.ndarray, least: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(smallest of each distinct pair, which pair each row has)."""
+    order = np.lexsort((b, a))
+    edge = np.ones(len(a), bool)
+    edge[1:] = (a[order][1:] != a[order][:-1]) | (b[order][1:] != b[order][:-1])
+    which = np.empty(len(a), np.int64)
+    which[order] = np.cumsum(edge) - 1
+    head = np.flatnonzero(edge)
+    return np.minimum.reduceat(least[order], head) if len(head) else np.zeros(0, np.int64), which
+
+
 def _verified(name: np.ndarray, data: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
     """Numbers of distinct strings: by name, and where bytes under one name differ, each row by itself."""
     _, first, which = np.unique(name, return_index=True, return_inverse=True)
-    model = first[which]
-    same = sizes == sizes[model]
-    length = np.where(same, sizes, 0)
-    differ = data[_spread(starts, length)] != data[_spread(starts[model], length)]
-    odd = np.union1d(np.flatnonzero(~same), np.repeat(np.arange(len(name)), length)[differ]) if differ.any() else np.flatnonzero(~same)
-    which = which.astype(np.uint64)
-    which[odd] = len(first) + np.arange(len(odd), dtype=np.uint64)
+    odd = _apart(data, starts, sizes, first, which)
+    which[odd] = len(first) + np.arange(len(odd))
     return which
 
 
@@ -369,8 +384,8 @@ def _group(table: pa.Table, in_memory: int = MEMORY_ROWS) -> pa.Table:
     """Answers of a group to every chunk: the smallest identifier for each single anchor, and for each window of a string."""
     col = {n: table.column(n).to_pylist() for n in ("chunk", *"abcdefgh")}
     anchor = [_risen(x, np.uint64) for x in col["a"]]
-    named = [np.concatenate([x[:, None], np.frombuffer(d, np.uint64).reshape(-1, 2)], 1).view("u8,u8,u8").ravel() for x, d in zip(anchor, col["h"])]
-    smallest1, _, which1 = _smallest(named, np.concatenate([_unpack(x, np.int64) for x in col["b"]]))
+    digest = np.concatenate([np.frombuffer(d, np.uint64) for d in col["h"]])
+    smallest1, which1 = _smallest_of_pairs(np.concatenate(anchor), digest, np.concatenate([_unpack(x, np.int64) for x in col["b"]]))
     name = [_unpack(x, np.uint64) for x in col["c"]]
     size = [_unpack(x, np.uint8).astype(np.int64) for x in col["d"]]
     data = np.concatenate([np.frombuffer(pa.decompress(x, int(s.sum()), "zstd", asbytes=True), np.uint8) if x else np.zeros(0, np.uint8) for x, s in zip(col["f"], size)])
