@@ -362,20 +362,21 @@ class NearDuplicates:
         if not blocks.filter("blocks > 1").isEmpty():
             links = links.union(self.second_look(members, links))
         final = components(links, self.scratch)
-        part = self.classes.join(final, self.classes.id == final.node, "left").select("digest", "least", F.coalesce("component", "id").alias("component"))
-        named = part.groupBy("component").agg(F.min("least").alias("component_id"))
-        verdict = part.join(named, "component").select("digest", "component_id")
+        part = self.classes.join(final, self.classes.id == final.node, "left").select("id", "digest", "least", F.coalesce("component", "id").alias("component"))
+        named = part.groupBy("component").agg(F.min("least").alias("component_id"), F.count(F.lit(1)).alias("classes"))
+        # A component of one class needs no look-up; the others are few, and their classes are dealt out.
+        verdict = _by_lead(part, named.filter("classes > 1").drop("classes"), "left", "component").select("digest", F.coalesce("component_id", "least").alias("component_id"))
         out = self.sets.select("doc_id", F.col("n").alias("n_shingles"), "digest").join(verdict, "digest", "left")
         alone = (F.col("n_shingles") == 0) | F.col("doc_id").isNull()
         component = F.when(alone, F.col("doc_id")).otherwise(F.col("component_id"))
         return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
 
 
-def _by_lead(rows: DataFrame, per_lead: DataFrame, how: str = "inner") -> DataFrame:
+def _by_lead(rows: DataFrame, per_lead: DataFrame, how: str = "inner", lead: str = "lead") -> DataFrame:
     """rows (lead, id) with what is known of their lead. The rows of a lead are dealt to SALTS places, each of which has
     a copy of that, so a lead of very many classes is not in one task."""
     copied = per_lead.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
-    return rows.withColumn("salt", F.pmod(F.xxhash64("id", F.lit(3)), F.lit(SALTS))).join(copied, ["lead", "salt"], how).drop("salt")
+    return rows.withColumn("salt", F.pmod(F.xxhash64("id", F.lit(3)), F.lit(SALTS))).join(copied, [lead, "salt"], how).drop("salt")
 
 
 def near_dedup(docs: DataFrame, *, percent: int = 75, scratch: Scratch | None = None) -> DataFrame:
