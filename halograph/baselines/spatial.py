@@ -9,7 +9,9 @@ from pyspark.sql import functions as F
 from halograph.functions.ring import whole
 from halograph.graph.halo import k_hop_halo
 from halograph.graph.neighbors import neighbor_list
-from halograph.graph.runtime import _sums, system_edges, weighted
+from halograph.graph.lanes import Lanes
+from halograph.graph.runtime import conv_layer, initial_state, renewed, system_edges, weighted
+from halograph.graph.scratch import Scratch
 from halograph.potentials import PotentialSpec, potential
 from halograph.sources.systems import Cell, System
 
@@ -71,36 +73,46 @@ def ghost_count(system: System, p: int, reach: int, decomposition: str = "slab")
     return all_.select("copies", (F.col("copies") - F.col("n")).alias("ghosts"))
 
 
-def run_spatial(system: System, spec: PotentialSpec, p: int, *, decomposition: str = "slab", pad: int | None = None) -> DataFrame:
+def _layers(nodes: DataFrame, edges: DataFrame, spec: PotentialSpec, lanes: Lanes) -> DataFrame:
+    """All layers of every box in its lane, with no exchange at all: lane, part_id, atom_id and features of all copies."""
+    model = potential(spec)
+    state = lanes.keep(lanes.dealt(initial_state(nodes, model)), "first")
+    edges = lanes.keep(lanes.dealt(edges), "edges")
+    for _ in range(spec.layers):
+        state = lanes.keep(renewed(conv_layer(state, None, edges, model, ["lane"]), model), "state")
+    return state
+
+
+def run_spatial(system: System, spec: PotentialSpec, p: int, *, decomposition: str = "slab", pad: int | None = None, scratch: Scratch | None = None) -> DataFrame:
     """part_id, atom_id and features of the owned atoms after all layers, without any exchange between boxes.
 
-    ``pad`` is layers * cutoff unless given; less makes the result wrong for more than one layer. Atom-graph models.
+    ``pad`` is layers * cutoff unless given; less makes the result wrong for more than one layer. Atom-graph models whose
+    setup is local.
     """
     model = potential(spec)
+    lanes = Lanes(p, scratch or Scratch(system.atoms.sparkSession))
     copies = padded(system, p, spec.interaction_range if pad is None else pad, decomposition)
-    # Boxes become one open system: each is moved far from all others, so one neighbour list serves them.
+    # Boxes become one open system: each is moved far from all others, so one neighbour list serves them. A copy of an
+    # atom has a number of its own.
     stride = 4 * (max(system.cell.lengths) + 2 * spec.interaction_range + spec.cutoff)
-    one = copies.withColumn("atom", F.struct("box", "atom_id", "image"))
-    apart = one.select(F.col("atom").alias("atom_id"), "species", (F.col("x") + F.col("box").cast("long") * stride).alias("x"), "y", "z", "own", "box")
-    edges = weighted(neighbor_list(apart, Cell(system.cell.lengths, (False,) * 3), spec.cutoff), model).withColumn("part_id", F.col("dst.box"))
-    nodes = apart.select(F.col("box").alias("part_id"), "atom_id", "species")
-    state = nodes.select("part_id", "atom_id", *[c.alias(n) for n, c in model.init_node().items()])
-    for _ in range(spec.layers):
-        summed = state.join(_sums(edges, state, model), ["part_id", "atom_id"], "left").withColumns({f"sum_{n}": F.coalesce(f"sum_{n}", F.lit(0).cast("long")) for n in model.message()})
-        state = summed.select("part_id", "atom_id", *[c.alias(n) for n, c in model.update().items()]).select("part_id", "atom_id", *model.state)
-    mine = apart.filter("own").select(F.col("box").alias("part_id"), "atom_id")
-    return state.join(mine, ["part_id", "atom_id"], "left_semi").select("part_id", F.col("atom_id.atom_id").alias("atom_id"), *model.state)
+    copies = lanes.scratch.keep(copies.withColumnRenamed("atom_id", "atom").withColumn("atom_id", F.monotonically_increasing_id()), "copies")
+    apart = copies.select("atom_id", "species", (F.col("x") + F.col("box").cast("long") * stride).alias("x"), "y", "z", F.col("box").alias("part_id"))
+    edges = neighbor_list(apart, Cell(system.cell.lengths, (False,) * 3), spec.cutoff, carry=("part_id",)).withColumnRenamed("dst_part_id", "part_id").drop("src_part_id")
+    edges = weighted(edges, model).withColumn("lane", lanes.lane(F.col("part_id")))
+    nodes = apart.select(lanes.lane(F.col("part_id")).alias("lane"), "part_id", "atom_id", "species")
+    state = _layers(nodes, edges, spec, lanes)
+    mine = copies.filter("own").select("atom_id", "atom")
+    return state.join(mine, "atom_id").select("part_id", F.col("atom").alias("atom_id"), *model.state)
 
 
-def run_spatial_hops(system: System, spec: PotentialSpec, assign: DataFrame) -> DataFrame:
+def run_spatial_hops(system: System, spec: PotentialSpec, assign: DataFrame, p: int, scratch: Scratch | None = None) -> DataFrame:
     """The same with padding by hops: each part holds all nodes within as many hops as there are layers."""
     model = potential(spec)
-    edges = weighted(system_edges(system, spec), model)
+    lanes = Lanes(p, scratch or Scratch(system.atoms.sparkSession))
+    edges = lanes.scratch.keep(weighted(system_edges(system, spec), model), "edges")
     halo = k_hop_halo(edges, assign, spec.layers)
-    inside = assign.select("part_id", "atom_id").union(halo.select("part_id", "atom_id"))
-    local = edges.join(inside.withColumnRenamed("atom_id", "dst"), "dst")
-    state = inside.join(system.atoms.select("atom_id", "species"), "atom_id").select("part_id", "atom_id", *[c.alias(n) for n, c in model.init_node().items()])
-    for _ in range(spec.layers):
-        summed = state.join(_sums(local, state, model), ["part_id", "atom_id"], "left").withColumns({f"sum_{n}": F.coalesce(f"sum_{n}", F.lit(0).cast("long")) for n in model.message()})
-        state = summed.select("part_id", "atom_id", *[c.alias(n) for n, c in model.update().items()]).select("part_id", "atom_id", *model.state)
-    return state.join(assign, ["part_id", "atom_id"], "left_semi")
+    inside = lanes.scratch.keep(assign.select("part_id", "atom_id").union(halo.select("part_id", "atom_id")), "inside")
+    lane = lanes.lane(F.col("part_id"))
+    local = edges.join(inside.withColumnRenamed("atom_id", "dst"), "dst").withColumn("lane", lane)
+    state = _layers(inside.join(system.atoms.select("atom_id", "species"), "atom_id").withColumn("lane", lane), local, spec, lanes)
+    return state.join(assign, ["part_id", "atom_id"], "left_semi").drop("lane")

@@ -42,3 +42,33 @@ def smooth_weight(d2: Column, cutoff: int) -> Column:
     """Value and slope vanish at the cutoff."""
     gap = whole(F.lit(cutoff * cutoff).cast("long") - d2, 1000)
     return mul(mod(gap), mod(gap))
+
+
+class Ring:
+    """Exact arithmetic modulo PRIME."""
+
+    zero, one = staticmethod(lambda: F.lit(0).cast("long")), staticmethod(lambda: F.lit(1).cast("long"))
+    mod, mul, powers = staticmethod(mod), staticmethod(mul), staticmethod(powers)
+    kind = "long"
+
+
+class Real:
+    """The same formulas in doubles: nothing is reduced."""
+
+    zero, one = staticmethod(lambda: F.lit(0.0)), staticmethod(lambda: F.lit(1.0))
+    kind = "double"
+
+    @staticmethod
+    def mod(c: Column) -> Column:
+        return c
+
+    @staticmethod
+    def mul(*factors: Column) -> Column:
+        return reduce(lambda a, b: a * b, factors)
+
+    @staticmethod
+    def powers(c: Column, n: int) -> Column:
+        return reduce(lambda a, _: (a + 1) * c, range(n - 1), c)
+
+
+ARITHMETIC = {"ring": Ring, "real": Real}

@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from halograph.graph.halo import border_edges, border_nodes, owned_edges
+from halograph.graph.lanes import Lanes, within_lanes
 from halograph.graph.neighbors import EDGE_KEY
 
 
@@ -70,3 +73,39 @@ def check_bond_cover(bonds: DataFrame, assign: DataFrame) -> DataFrame:
     parts, whole = bond_graph(bonds, assign).select(keys), line_graph(bonds).select(keys)
     signed = parts.withColumn("n", F.lit(1)).union(whole.withColumn("n", F.lit(-1)))
     return signed.groupBy(keys).agg(F.sum("n").alias("n")).filter("n <> 0").agg(F.count(F.lit(1)).alias("violations"))
+
+
+@dataclass
+class BondTables:
+    """The bond graph of all parts in their lanes; a bond has one number, bid, wherever it is."""
+
+    owned: DataFrame  # lane, bid, part_id, p_src, edge columns, w
+    before: DataFrame  # lane, bid, part_id, p_src, edge columns: owned bonds and, in the lanes that need them, border bonds
+    outbox: DataFrame  # lane, to_lane, bid
+    links: DataFrame  # lane, f_bid, e_bid, dot
+
+    def refreshed(self, owned: DataFrame, before: DataFrame, lanes: Lanes) -> "BondTables":
+        """The same bonds with new displacements; links whose bonds are no longer there rest."""
+        end = lambda df, s: df.select("lane", F.col("bid").alias(f"{s}_bid"), *[F.col(f"d{a}").alias(f"{s}{a}") for a in "xyz"]).hint("shuffle_hash")
+        joined = self.links.drop("dot").join(end(before, "f"), ["lane", "f_bid"]).join(end(owned, "e"), ["lane", "e_bid"])
+        links = joined.select("lane", "f_bid", "e_bid", sum((F.col(f"f{a}") * F.col(f"e{a}") for a in "yz"), F.col("fx") * F.col("ex")).alias("dot"))
+        return BondTables(owned, before, self.outbox, lanes.keep(links, "links"))
+
+
+def build_bonds(short: DataFrame, lanes: Lanes) -> BondTables:
+    """Bond tables from owned bonds in their lanes. Bonds are numbered once; border bonds go to the lanes whose links
+    begin with them, and links are made and kept inside lanes."""
+    owned = lanes.keep(short.withColumn("bid", F.monotonically_increasing_id()), "bonds")
+    # Whoever owns a bond that starts here needs the bonds that end here: the border nodes of the bonds alone.
+    with within_lanes(short.sparkSession):
+        wanted = owned.filter("p_src <> part_id").select("lane", F.col("part_id").alias("to"), F.col("src").alias("dst"), F.col("p_src").alias("owner")).distinct()
+        wanted = lanes.keep(lanes.dealt(wanted.select(lanes.lane(F.col("owner")).alias("lane"), F.col("lane").alias("to_lane"), "to", "dst")), "wanted")
+    sent = lanes.keep(owned.join(wanted.hint("shuffle_hash"), ["lane", "dst"]).drop("part_id"), "sent")
+    border = sent.select(F.col("to_lane").alias("lane"), "bid", F.col("to").alias("part_id"), *[c for c in owned.columns if c not in ("lane", "bid", "part_id")])
+    before = lanes.keep(lanes.dealt(owned.unionByName(border)), "before")
+    first = before.select("lane", F.col("bid").alias("f_bid"), F.col("dst").alias("center"), F.col("src").alias("f_src"), *[F.col(c).alias(f"f_{c}") for c in ("ix", "iy", "iz", "dx", "dy", "dz")])
+    second = owned.select("lane", F.col("bid").alias("e_bid"), F.col("src").alias("center"), F.col("dst").alias("e_dst"), *[F.col(c).alias(f"e_{c}") for c in ("ix", "iy", "iz", "dx", "dy", "dz")])
+    pairs = first.join(second.hint("shuffle_hash"), ["lane", "center"]).filter(~_backtracks())
+    dot = sum((F.col(f"f_d{a}") * F.col(f"e_d{a}") for a in "yz"), F.col("f_dx") * F.col("e_dx"))
+    links = lanes.keep(pairs.select("lane", "f_bid", "e_bid", dot.alias("dot")), "links")
+    return BondTables(owned, before, sent.select("lane", "to_lane", "bid"), links)

@@ -77,12 +77,21 @@ def block_partition(atoms: DataFrame, cell: Cell, blocks: tuple[int, int, int])
     return atoms.select("atom_id", ((at[0] * blocks[1] + at[1]) * blocks[2] + at[2]).cast("int").alias("part_id"))
 
 
-def bisection_partition(atoms: DataFrame, cell: Cell, p: int) -> DataFrame:
-    """Recursive halving at the median along x, y, z in turn; p is a power of two."""
-    out = atoms.withColumn("part_id", F.lit(0))
+def bisection_partition(atoms: DataFrame, cell: Cell, p: int, scratch: Scratch | None = None) -> DataFrame:
+    """Recursive halving at the median along x, y, z in turn; p is a power of two. Halves are cut by rank among all atoms of
+    a part, from ranges of atoms, so no part is sorted by one task."""
+    scratch = scratch or Scratch(atoms.sparkSession)
+    out = atoms.select("atom_id", "x", "y", "z", F.lit(0).alias("part_id"))
     for level in range(p.bit_length() - 1):
-        half = F.ntile(2).over(Window.partitionBy("part_id").orderBy("xyz"[level % 3], "atom_id")) - 1
-        out = out.withColumn("part_id", F.col("part_id") * 2 + half)
+        axis = "xyz"[level % 3]
+        keys = ("part_id", axis, "atom_id")
+        dealt = scratch.keep(out.repartitionByRange(*keys).withColumn("_p", F.spark_partition_id()), "ranged")
+        sizes = dealt.groupBy("part_id", "_p").agg(F.count(F.lit(1)).alias("n"))  # about a row for each range and part
+        part = Window.partitionBy("part_id")
+        begins = sizes.select("part_id", "_p", F.coalesce(F.sum("n").over(part.orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("begin"), F.sum("n").over(part).alias("all"))
+        rank = F.col("begin") + F.row_number().over(Window.partitionBy("part_id", "_p").orderBy(axis, "atom_id")) - 1
+        upper = (rank >= F.ceil(F.col("all") / 2)).cast("int")
+        out = dealt.join(F.broadcast(begins), ["part_id", "_p"]).select("atom_id", "x", "y", "z", (F.col("part_id") * 2 + upper).alias("part_id"))
     return out.select("atom_id", "part_id")
 
 
@@ -127,6 +136,20 @@ def growth_partition(atoms: DataFrame, edges: DataFrame, p: int, scratch) -> Dat
     return atoms.select("atom_id").join(reached, "atom_id", "left").select("atom_id", F.coalesce("part_id", F.pmod("atom_id", F.lit(p))).cast("int").alias("part_id"))
 
 
+#: Shards in which a part admits nodes, each a share of its room.
+SHARDS = 64
+
+
+def _admitted(wish: DataFrame, size: DataFrame, room: int, *order) -> DataFrame:
+    """atom_id, to of the wishes that parts have room for. Room is shared out over shards of nodes, so the wishes for a part
+    are not put in order by one task."""
+    shard = F.pmod(F.xxhash64("atom_id"), F.lit(SHARDS))
+    turn = F.row_number().over(Window.partitionBy("to", "shard").orderBy(*order, "atom_id"))
+    free = F.lit(room) - F.col("count")
+    share = F.floor(free / SHARDS) + F.when(F.col("shard") < F.pmod(free, F.lit(SHARDS)), 1).otherwise(0)
+    return wish.withColumn("shard", shard).withColumn("turn", turn).join(F.broadcast(size), "to").filter((free > 0) & (F.col("turn") <= share)).select("atom_id", "to")  # a row for each part
+
+
 def label_partition(atoms: DataFrame, edges: DataFrame, p: int, scratch, rounds: int = 5, slack: float = 1.2) -> DataFrame:
     """Label propagation from a hash start: nodes move to the part most of their neighbours have, while it has room."""
     n = atoms.count()
@@ -138,17 +161,19 @@ def label_partition(atoms: DataFrame, edges: DataFrame, p: int, scratch, rounds:
         best = votes.groupBy("atom_id").agg(F.max_by("part_id", F.struct("count", -F.col("part_id"))).alias("to"))
         wish = now.join(best, "atom_id").filter((F.col("to") != F.col("part_id")) & (F.pmod(F.col("atom_id") + k, F.lit(2)) == 0))
         size = now.groupBy(F.col("part_id").alias("to")).count()
-        # each part admits what it has room for, the lowest identifiers first
-        admitted = wish.withColumn("turn", F.row_number().over(Window.partitionBy("to").orderBy("atom_id"))).join(F.broadcast(size), "to").filter(F.col("turn") + F.col("count") <= room)
-        now = scratch.keep(now.join(admitted.select("atom_id", "to"), "atom_id", "left").select("atom_id", F.coalesce("to", "part_id").alias("part_id")), "labels")
+        now = scratch.keep(now.join(_admitted(wish, size, room), "atom_id", "left").select("atom_id", F.coalesce("to", "part_id").alias("part_id")), "labels")
     return now
 
 
-def greedy_partition(atoms: DataFrame, edges: DataFrame, p: int, shards: int = 8) -> DataFrame:
+#: Nodes of a shard of the greedy pass, about.
+GREEDY_NODES = 100_000
+
+
+def greedy_partition(atoms: DataFrame, edges: DataFrame, p: int, shard_nodes: int = GREEDY_NODES) -> DataFrame:
     """One pass over each shard of nodes in identifier order: the part with most neighbours placed so far, less a
     penalty for its size. Shards are ranges of identifiers, so each is a bounded stream of its own."""
-    low, high = atoms.agg(F.min("atom_id"), F.max("atom_id")).first()
-    low, high = low or 0, high or 0
+    low, high, n = atoms.agg(F.min("atom_id"), F.max("atom_id"), F.count(F.lit(1))).first()
+    low, high, shards = low or 0, high or 0, -(-n // shard_nodes) or 1
     shard = whole((F.col("atom_id") - low) * shards, high - low + 1)
     near = _undirected(edges).groupBy(F.col("dst").alias("atom_id")).agg(F.sort_array(F.collect_list("src")).alias("near"))
     rows = atoms.select("atom_id").join(near, "atom_id", "left").withColumn("shard", shard)
@@ -201,8 +226,7 @@ def _refine(now: DataFrame, edges: DataFrame, p: int, scratch, rounds: int) -> D
         gain = joined.groupBy("atom_id", "part_id").agg(F.max_by("there", F.struct("count", -F.col("there"))).alias("to"), F.max("count").alias("most"), F.sum(F.when(F.col("there") == F.col("part_id"), F.col("count")).otherwise(0)).alias("own"))
         wish = gain.filter((F.col("most") > F.col("own")) & (F.pmod(F.col("atom_id") + k, F.lit(2)) == 0))
         size = now.groupBy(F.col("part_id").alias("to")).count()
-        turn = F.row_number().over(Window.partitionBy("to").orderBy((F.col("own") - F.col("most")), "atom_id"))
-        moved = wish.withColumn("turn", turn).join(F.broadcast(size), "to").filter(F.col("turn") + F.col("count") <= room).select("atom_id", "to")
+        moved = _admitted(wish, size, room, F.col("own") - F.col("most"))
         now = scratch.keep(now.join(moved, "atom_id", "left").select("atom_id", F.coalesce("to", "part_id").alias("part_id")), "refined")
     return now
 
@@ -227,7 +251,7 @@ def partition(atoms: DataFrame, edges: DataFrame, cell: Cell | None, p: int, met
     blocks = {1: (1, 1, 1), 2: (2, 1, 1), 4: (2, 2, 1), 8: (2, 2, 2), 16: (4, 2, 2)}
     rules = {
         "wall": lambda: wall_partition(atoms, cell, p, axis="longest" if cell else "id"), "hash": lambda: hash_partition(atoms, p), "random": lambda: random_partition(atoms, p),
-        "blocks": lambda: block_partition(atoms, cell, blocks[p]), "rcb": lambda: bisection_partition(atoms, cell, p), "morton": lambda: morton_partition(atoms, cell, p),
+        "blocks": lambda: block_partition(atoms, cell, blocks[p]), "rcb": lambda: bisection_partition(atoms, cell, p, scratch), "morton": lambda: morton_partition(atoms, cell, p),
         "bfs": lambda: growth_partition(atoms, edges, p, scratch), "labelprop": lambda: label_partition(atoms, edges, p, scratch), "greedy": lambda: greedy_partition(atoms, edges, p),
         "multilevel": lambda: multilevel_partition(atoms, edges, p, scratch), "spectral": lambda: spectral_partition(atoms, edges, p, scratch),
     }

@@ -6,8 +6,10 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from halograph.graph.halo import with_owners
-from halograph.graph.runtime import PartitionedGraph
-from halograph.potentials import PotentialSpec
+from halograph.graph.partition import wall_partition
+from halograph.graph.runtime import PartitionedGraph, owned_system_edges
+from halograph.potentials import PotentialSpec, potential
+from halograph.sources.systems import System
 
 #: Bytes of a stored number.
 NUMBER = 8
@@ -20,9 +22,9 @@ def step_time(runs: DataFrame) -> DataFrame:
 
 
 def inference_time(runs: DataFrame, warm: int = 10) -> DataFrame:
-    """Mean of the repetitions after the first ``warm``."""
+    """Mean of the repetitions, numbered from 0, after the first ``warm``."""
     key = [c for c in ("workload", "system_id", "family", "parts", "layers", "width") if c in runs.columns]
-    return runs.filter(F.col("rep") > warm).groupBy(*key).agg(F.avg("wall_us").alias("wall_us"), F.max("atoms").alias("atoms"))
+    return runs.filter(F.col("rep") >= warm).groupBy(*key).agg(F.avg("wall_us").alias("wall_us"), F.max("atoms").alias("atoms"))
 
 
 def scaling(times: DataFrame, mode: str) -> DataFrame:
@@ -56,9 +58,14 @@ def partitioner_ratio(times: DataFrame) -> DataFrame:
     return times.withColumn("ratio", F.col("wall_us") / wall)
 
 
-def redundancy(computed: DataFrame, nodes: DataFrame, layers: int) -> DataFrame:
-    """computed, needed: node updates made (rows of all parts and layers) and N * layers; equal where nothing is redundant."""
-    return computed.agg(F.coalesce(F.sum("updates"), F.lit(0)).alias("computed")).crossJoin(nodes.agg((F.count(F.lit(1)) * layers).alias("needed")))
+def layer_updates(graph: PartitionedGraph) -> DataFrame:
+    """layer, computed, needed: node updates that each layer of the last run made, by its kept rows, and the atoms there are."""
+    atoms = graph.nodes.agg(F.count(F.lit(1)).alias("needed"))
+    out = None
+    for k, layer in enumerate(graph.trace):
+        row = layer.agg(F.count(F.lit(1)).alias("computed")).crossJoin(atoms).select(F.lit(k).cast("long").alias("layer"), "computed", "needed")  # one row each
+        out = row if out is None else out.union(row)
+    return out
 
 
 def transfer_volume(buckets: DataFrame, width: int = 1) -> DataFrame:
@@ -78,14 +85,41 @@ def partition_quality(edges: DataFrame, assign: DataFrame) -> DataFrame:
     return border.crossJoin(cut).crossJoin(peers).crossJoin(sizes)  # one row each
 
 
+def _bytes(spec: PotentialSpec) -> Column:
+    kept = (F.col("nodes") + F.col("halo")) * (spec.layers + 1) * spec.width + F.col("edges") * (6 + spec.width) + F.col("links") * 3
+    return kept * NUMBER
+
+
 def memory_model(graph: PartitionedGraph, spec: PotentialSpec) -> DataFrame:
     """part_id, nodes, halo, edges, links, bytes: what a part holds, by counts. Features of all layers are kept."""
     n = lambda df, name: df.groupBy("part_id").agg(F.count(F.lit(1)).alias(name))
     out = n(graph.nodes, "nodes").join(n(graph.halo, "halo"), "part_id", "left").join(n(graph.edges, "edges"), "part_id", "left")
-    out = out.join(n(graph.bond_edges, "links"), "part_id", "left") if graph.bond_edges is not None else out.withColumn("links", F.lit(0).cast("long"))
-    out = out.na.fill(0)
-    kept = (F.col("nodes") + F.col("halo")) * (spec.layers + 1) * spec.width + F.col("edges") * (6 + spec.width) + F.col("links") * 3
-    return out.withColumn("bytes", kept * NUMBER)
+    if graph.bonds is None:
+        out = out.withColumn("links", F.lit(0).cast("long"))
+    else:
+        parts = graph.nodes.select("lane", "part_id").distinct()
+        out = out.join(n(graph.bonds.links.select("lane").join(F.broadcast(parts), "lane"), "links"), "part_id", "left")  # a row for each part
+    return out.na.fill(0).withColumn("bytes", _bytes(spec))
+
+
+def memory_counts(system: System, spec: PotentialSpec, p: int) -> DataFrame:
+    """The same by wall for a system that is not run: only edges are counted, and links by the degrees of their bonds."""
+    assign = wall_partition(system.atoms, system.cell, p)
+    edges = owned_system_edges(system, system.atoms.join(assign, "atom_id"), spec)
+    n = F.count(F.lit(1))
+    at_node = edges.groupBy("part_id", "dst").agg(n.alias("edges"), F.count(F.when(F.col("d2") <= spec.bond_cutoff**2, 1)).alias("ends"))
+    per_part = at_node.groupBy("part_id").agg(F.sum("edges").alias("edges"))
+    if potential(spec).uses_bonds:
+        # as many bonds end at an atom as begin there; a link belongs to the part in which its second bond ends
+        begins = edges.filter(F.col("d2") <= spec.bond_cutoff**2).groupBy("part_id", "src").agg(n.alias("begin"))
+        into = at_node.groupBy(F.col("dst").alias("src")).agg(F.sum("ends").alias("ends"))
+        links = begins.join(into, "src").groupBy("part_id").agg(F.sum(F.col("begin") * (F.col("ends") - 1)).alias("links"))
+        per_part = per_part.join(links, "part_id", "left")
+    else:
+        per_part = per_part.withColumn("links", F.lit(0).cast("long"))
+    halo = edges.filter("p_src <> part_id").select("part_id", "src").distinct().groupBy("part_id").agg(n.alias("halo"))
+    nodes = assign.groupBy("part_id").agg(n.alias("nodes"))
+    return nodes.join(halo, "part_id", "left").join(per_part, "part_id", "left").na.fill(0).withColumn("bytes", _bytes(spec))
 
 
 def over_budget(memory: DataFrame, budget: int) -> DataFrame:
@@ -93,9 +127,16 @@ def over_budget(memory: DataFrame, budget: int) -> DataFrame:
     return memory.agg((F.max("bytes") > budget).alias("out_of_memory"), F.max("bytes").alias("most_bytes"))
 
 
-def max_capacity(build, budget: int, low: int = 1, high: int = 64) -> tuple[int, int]:
-    """(size, atoms) of the largest system whose every part fits, by bisection; build(size) gives (atoms, most bytes)."""
-    best = (0, 0)
+def max_capacity(build, budget: int, start: int = 1) -> tuple[int, int]:
+    """(size, atoms) of the largest system whose every part fits: sizes are doubled until one fails, then bisected.
+    build(size) gives (atoms, most bytes)."""
+    best, low, high = (0, 0), 1, start
+    while True:
+        atoms, most = build(high)
+        if most > budget:
+            break
+        best, low, high = (high, atoms), high + 1, 2 * high
+    high -= 1
     while low <= high:
         mid = (low + high) // 2
         atoms, most = build(mid)

@@ -30,19 +30,19 @@ def roundtrip(spark, sf_dir):
     return spark.read.parquet(f"{path}/parts").groupBy("part_id").agg(F.count(F.lit(1)).alias("edges"), F.sum("d2").alias("total"))
 
 
-@query("op_text_system", q.select(q.lattice(4), "SELECT atom_id, species, x, y, z FROM atoms"))
+@query("op_text_system", q.select(q.lattice(), "SELECT atom_id, species, x, y, z FROM atoms"))
 def text_system(spark, sf_dir):
     path = f"{Scratch(spark).root}/particles"
-    xyz.write(systems.lattice(spark, sf_dir, 4), path)
+    xyz.write(systems.lattice(spark, sf_dir), path)
     return xyz.read_rows(spark, path)
 
 
 _MI = lambda a: f"CASE WHEN 2 * ({a} - 5000) > l{a} THEN {a} - 5000 - l{a} WHEN 2 * ({a} - 5000) < -l{a} THEN {a} - 5000 + l{a} ELSE {a} - 5000 END"
 
 
-@query("op_filter_project", q.select(q.quartz((20, 2, 2)), f"SELECT atom_id, {_MI('x')} AS dx, {_MI('y')} AS dy FROM atoms, cell WHERE species = 14"))
+@query("op_filter_project", q.select(q.quartz(), f"SELECT atom_id, {_MI('x')} AS dx, {_MI('y')} AS dy FROM atoms, cell WHERE species = 14"))
 def filter_project(spark, sf_dir):
-    s = systems.quartz(spark, sf_dir, (20, 2, 2))
+    s = systems.quartz(spark, sf_dir)
     m = lambda a, k: relational.minimum_image(F.col(a) - 5000, s.cell.lengths[k])
     return s.atoms.where("species = 14").select("atom_id", m("x", 0).alias("dx"), m("y", 1).alias("dy"))
 
@@ -226,13 +226,13 @@ def sample(spark, sf_dir):
 
 @query("op_sample_degree")  # random: rows only
 def sample_degree(spark, sf_dir):
-    s = systems.quartz(spark, sf_dir, (20, 2, 2))
+    s = systems.quartz(spark, sf_dir)
     return neighbors.estimated_degree(s.atoms, s.cell, BOND)
 
 
-@query("op_udf", q.select(q.quartz((20, 2, 2)) + q.edges(BOND), f"SELECT src, dst, ix, iy, iz, CAST(round((1 - d2 / {BOND * BOND}.0) * (1 - d2 / {BOND * BOND}.0) * (1 + 2 * d2 / {BOND * BOND}.0) * 1000) AS BIGINT) AS e FROM edges"))
+@query("op_udf", q.select(q.quartz() + q.edges(BOND), f"SELECT src, dst, ix, iy, iz, CAST(round((1 - d2 / {BOND * BOND}.0) * (1 - d2 / {BOND * BOND}.0) * (1 + 2 * d2 / {BOND * BOND}.0) * 1000) AS BIGINT) AS e FROM edges"))
 def udf(spark, sf_dir):
-    s = systems.quartz(spark, sf_dir, (20, 2, 2))
+    s = systems.quartz(spark, sf_dir)
     e = neighbors.neighbor_list(s.atoms, s.cell, BOND)
     return e.select(*neighbors.EDGE_KEY, F.round(udx.envelope(F.col("d2").cast("double"), F.lit(float(BOND))) * 1000).cast("long").alias("e"))
 
@@ -257,10 +257,10 @@ def sql(spark, sf_dir):
     )
 
 
-@query("op_sql_function", q.select(q.quartz((20, 2, 2)), f"SELECT atom_id, {_MI('x')} AS dx FROM atoms, cell"))
+@query("op_sql_function", q.select(q.quartz(), f"SELECT atom_id, {_MI('x')} AS dx FROM atoms, cell"))
 def sql_function(spark, sf_dir):
     udx.register(spark)
-    s = systems.quartz(spark, sf_dir, (20, 2, 2))
+    s = systems.quartz(spark, sf_dir)
     return s.atoms.select("atom_id", F.expr(f"min_image(x - 5000, {s.cell.lengths[0]})").alias("dx"))
 
 
@@ -309,11 +309,39 @@ def trajectory_interval(spark, sf_dir):
     return streaming.run_available(streaming.within(one("view"), one("purchase"), 60).select("a_id", "b_id"), Scratch(spark).root)
 
 
-@query("trajectory_skin_tracker")  # stateful operator: rows only
+_TRACKED = """WITH RECURSIVE n AS (
+  SELECT user_id, abs(coalesce(value, 0)) AS v, row_number() OVER (PARTITION BY user_id ORDER BY event_id) AS i FROM events),
+walk AS (
+  SELECT user_id, i, CASE WHEN v > 100 THEN CAST(0 AS DOUBLE) ELSE v END AS total, CASE WHEN v > 100 THEN 1 ELSE 0 END AS rebuild FROM n WHERE i = 1
+  UNION ALL SELECT w.user_id, n.i, CASE WHEN total + v > 100 THEN CAST(0 AS DOUBLE) ELSE total + v END, CASE WHEN total + v > 100 THEN rebuild + 1 ELSE rebuild END
+  FROM walk w JOIN n ON n.user_id = w.user_id AND n.i = w.i + 1)
+SELECT user_id, CAST(r AS INT) AS rebuild FROM (SELECT user_id, max(rebuild) AS most FROM walk GROUP BY user_id), generate_series(1, 100000) g(r) WHERE r <= most"""
+
+
+@query("trajectory_skin_tracker", _TRACKED)
 def skin_tracker(spark, sf_dir):
     """Atoms whose summed displacement passes half the skin, one row for each rebuild."""
     stream = streaming.event_stream(spark, f"{sf_dir}/events.parquet")
-    return streaming.run_available(streaming.skin_rebuilds(stream), Scratch(spark).root)
+    with streaming.rocks_state(spark):
+        return streaming.run_available(streaming.skin_rebuilds(stream), Scratch(spark).root)
+
+
+_LATE = """WITH e AS (SELECT epoch_us(ts) AS us FROM events),
+half AS (SELECT (min(us) + max(us)) // 2 AS mid, max(us) - 3600000000 AS low FROM e),
+frames AS (SELECT us, (us // 3600000000 + 1) * 3600000000 AS stop, mid, low FROM e, half)
+SELECT CAST(stop // 1000000 - 3600 AS BIGINT) AS frame_start, count(*) AS events FROM frames WHERE (us >= mid OR stop > low) AND stop <= low GROUP BY 1"""
+
+
+@query("trajectory_late_rows", _LATE)
+def late_rows(spark, sf_dir):
+    """The later half of the events comes first, the earlier half then lies behind the watermark: in append mode the late
+    rows are dropped, and only frames that the watermark has passed come out."""
+    events = read(spark, sf_dir, "events").withColumn("at", F.unix_micros(F.col("ts").cast("timestamp")))
+    low, high = events.agg(F.min("at"), F.max("at")).first()
+    mid, folder = ((low or 0) + (high or 0)) // 2, Scratch(spark).path("arrivals")
+    events.filter(F.col("at") >= mid).drop("at").coalesce(1).write.parquet(f"{folder}/first")
+    events.filter(F.col("at") < mid).drop("at").coalesce(1).write.parquet(f"{folder}/second")
+    return streaming.run_in_turn(spark, [f"{folder}/first", f"{folder}/second"], streaming.plain_frames, Scratch(spark).root)
 
 
 @query("trajectory_batch_sessions", f"WITH c AS (SELECT *, CASE WHEN floor({EPOCH}) - lag(floor({EPOCH})) OVER w < 1800 THEN 0 ELSE 1 END AS cut FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), s AS (SELECT *, sum(cut) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS session FROM c) SELECT user_id, CAST(session AS BIGINT) AS session, count(*) AS events, CAST(min(floor({EPOCH})) AS BIGINT) AS first, CAST(max(floor({EPOCH})) AS BIGINT) AS last FROM s GROUP BY user_id, session")

@@ -49,28 +49,31 @@ def nl_cloud_open(spark, sf_dir):
 @query("nl_cloud_broadcast", q.select(q.cloud() + q.edges(100, False), f"SELECT {EDGE} FROM edges"))
 def nl_cloud_broadcast(spark, sf_dir):
     s = systems.cloud(spark, sf_dir)
-    return neighbors.neighbor_list(s.atoms.filter("atom_id < 2000"), s.cell, 100, method="broadcast")
+    return neighbors.neighbor_list(s.atoms, s.cell, 100, method="broadcast")
 
 
-@query("nl_liquid", q.select(q.liquid(20_000) + q.edges(2000, False), "SELECT dst, count(*) AS degree, CAST(sum(d2) AS BIGINT) AS total_d2 FROM edges GROUP BY dst"))
+@query("nl_liquid", q.select(q.liquid() + q.edges(2000, False), "SELECT dst, count(*) AS degree, CAST(sum(d2) AS BIGINT) AS total_d2 FROM edges GROUP BY dst"))
 def nl_liquid(spark, sf_dir):
-    s = systems.liquid(spark, sf_dir, most_x=20_000)
+    s = systems.liquid(spark, sf_dir)
     return neighbors.neighbor_list(s.atoms, s.cell, 2000).groupBy("dst").agg(F.count(F.lit(1)).alias("degree"), F.sum("d2").alias("total_d2"))
 
 
-@query("nl_lattice_smallcell", q.select(q.lattice(3) + q.images_edges(7000, 2), f"SELECT {EDGE} FROM edges"))
+@query("nl_lattice_smallcell", q.select(q.lattice(2) + q.rod_edges(5000, 2), f"SELECT {EDGE} FROM edges"))
 def nl_lattice_smallcell(spark, sf_dir):
-    s = systems.lattice(spark, sf_dir, 3)  # the box is 6000 wide, less than the cutoff
-    return neighbors.neighbor_list(s.atoms, s.cell, 7000)
+    s = systems.lattice(spark, sf_dir, 2)  # a rod of 4000 by 4000, less than the cutoff: several images of one atom
+    return neighbors.neighbor_list(s.atoms, s.cell, 5000)
 
 
-@query("nl_lattice_degrees", "SELECT * FROM (VALUES (2000, 6, 1), (2829, 18, 1), (3465, 26, 1)) AS t(cutoff, degree, distinct_degrees)")
+CUTS = (2000, 2829, 3465)
+
+
+@query("nl_lattice_degrees", q.select(q.lattice() + q.edges(CUTS[-1]), "SELECT cutoff, degree, count(*) AS atoms FROM (" + " UNION ALL ".join(f"SELECT {c} AS cutoff, dst, count(*) AS degree FROM edges WHERE d2 <= {c * c} GROUP BY dst" for c in CUTS) + ") GROUP BY cutoff, degree"))
 def nl_lattice_degrees(spark, sf_dir):
-    s = systems.lattice(spark, sf_dir)
-    out = None
-    for c in (2000, 2829, 3465):
-        d = neighbors.neighbor_list(s.atoms, s.cell, c).groupBy("dst").agg(F.count(F.lit(1)).cast("int").alias("degree"))
-        one = d.agg(F.max("degree").alias("degree"), F.countDistinct("degree").cast("int").alias("distinct_degrees")).select(F.lit(c).alias("cutoff"), "degree", "distinct_degrees")
+    """6, 18 and 26 neighbours inside the lattice, fewer beside the empty sites of its last layer."""
+    s, out = systems.lattice(spark, sf_dir), None
+    for c in CUTS:
+        d = neighbors.neighbor_list(s.atoms, s.cell, c).groupBy("dst").agg(F.count(F.lit(1)).alias("degree"))
+        one = d.groupBy("degree").agg(F.count(F.lit(1)).alias("atoms")).withColumn("cutoff", F.lit(c))
         out = one if out is None else out.union(one)
     return out
 
@@ -208,9 +211,9 @@ def edge_table(spark, sf_dir):
 LINE = "f_src, f_dst, f_ix, f_iy, f_iz, e_src, e_dst, e_ix, e_iy, e_iz, center, dot"
 
 
-@query("bond_graph_quartz", q.select(q.quartz((20, 2, 2)) + q.edges(BOND) + q.walls(P) + q.line(), f"SELECT a.part_id, {LINE} FROM line JOIN assign a ON a.atom_id = e_dst"))
+@query("bond_graph_quartz", q.select(q.quartz() + q.edges(BOND) + q.walls(P) + q.line(), f"SELECT a.part_id, {LINE} FROM line JOIN assign a ON a.atom_id = e_dst"))
 def bond_graph_quartz(spark, sf_dir):
-    s = systems.quartz(spark, sf_dir, (20, 2, 2))
+    s = systems.quartz(spark, sf_dir)
     e, a = neighbors.neighbor_list(s.atoms, s.cell, BOND), partition.wall_partition(s.atoms, s.cell, P)
     return bondgraph.bond_graph(e, a)
 
@@ -283,7 +286,10 @@ def part_rcb(spark, sf_dir):
 _BITS = " + ".join(f"(((({a} * 1024 // l{a}) >> {b}) & 1) << {3 * b + k})" for k, a in enumerate("xyz") for b in range(10))
 
 
-@query("part_morton", q.select(q.quartz() + [("coded", f"SELECT atom_id, {_BITS} AS code FROM atoms, cell")], "SELECT atom_id, CAST(ntile(8) OVER (ORDER BY code, atom_id) - 1 AS INT) AS part_id FROM coded"))
+MORTON = [("coded", f"SELECT atom_id, {_BITS} AS code FROM atoms, cell")]
+
+
+@query("part_morton", q.select(q.quartz() + MORTON, "SELECT atom_id, CAST(ntile(8) OVER (ORDER BY code, atom_id) - 1 AS INT) AS part_id FROM coded"))
 def part_morton(spark, sf_dir):
     s = systems.quartz(spark, sf_dir)
     return partition.morton_partition(s.atoms, s.cell, 8)

@@ -17,9 +17,9 @@ QUARTZ_SITES = (
     (12, 14, 1303, 2256, 0), (13, 14, 1303, 6253, 1802), (14, 14, 2308, 0, 3603), (15, 14, 3759, 1998, 1802), (16, 14, 3759, 6511, 0), (17, 14, 4764, 4255, 3603),
 )
 QUARTZ_CELL = (4913, 8510, 5405)
-#: Supercells for so many orders: least rows, cells along x, y, z.
-QUARTZ_SIZES = ((147_744, (57, 12, 12)), (14_850, (33, 5, 5)), (0, (20, 2, 2)))
 LATTICE_SPACING = 2000
+#: Sites of a supercell that is twice as many cells long as wide, for each width**3.
+QUARTZ_LONG = 2 * 18
 
 
 @dataclass(frozen=True)
@@ -45,17 +45,45 @@ class System:
     edges: DataFrame | None = field(default=None)
 
 
-def quartz(spark: SparkSession, sf_dir: str, cells: tuple[int, int, int] | None = None, copies: int = 1) -> System:
-    """S1: order keys counted into the sites of a quartz supercell; keys beyond it are left. ``copies`` repeats it along x."""
+def _root(n: int) -> int:
+    """Whole cube root."""
+    r = int(round(n ** (1 / 3)))
+    while r**3 > n:
+        r -= 1
+    while (r + 1) ** 3 <= n:
+        r += 1
+    return r
+
+
+def quartz_cells(n: int) -> tuple[int, int, int]:
+    """Cells along x, y, z of a long supercell with a site for each of n keys; the last cells may be partly empty."""
+    width = max(2, _root(n // QUARTZ_LONG))
+    return max(2, -(-n // (18 * width * width))), width, width
+
+
+def quartz(spark: SparkSession, sf_dir: str, copies: int = 1) -> System:
+    """S1: order keys counted into the sites of a quartz supercell, every key a site. ``copies`` repeats it along x."""
     orders = read(spark, sf_dir, "orders").select("o_orderkey")
-    if cells is None:
-        n = orders.count()
-        cells = next(c for least, c in QUARTZ_SIZES if n >= least)
+    most = orders.agg(F.max("o_orderkey")).first()[0]
+    return quartz_of(orders.select(F.col("o_orderkey").alias("k")), (most if most is not None else -1) + 1, copies)
+
+
+def quartz_of(keys: DataFrame, n: int, copies: int = 1) -> System:
+    """The supercell of keys k below n."""
+    return System("quartz", *_placed(keys, quartz_cells(n), copies))
+
+
+def rod(keys: DataFrame, n: int, width: int) -> tuple[DataFrame, Cell]:
+    """A supercell of keys k below n that is ``width`` cells wide, whatever its length."""
+    return _placed(keys, (-(-n // (18 * width * width)), width, width))
+
+
+def _placed(keys: DataFrame, cells: tuple[int, int, int], copies: int = 1) -> tuple[DataFrame, Cell]:
     nx, ny, nz = cells
-    k = F.col("o_orderkey")
+    k = F.col("k")
     c, site = whole(k, 18), k % 18
     basis = F.array(*[F.struct(*[F.lit(v).cast("long").alias(n) for n, v in zip(("site", "species", "x", "y", "z"), s)]) for s in QUARTZ_SITES])
-    placed = orders.filter(k < nx * ny * nz * 18).select(k.alias("atom_id"), c.alias("c"), F.element_at(basis, (site + 1).cast("int")).alias("s"))
+    placed = keys.select(k.alias("atom_id"), c.alias("c"), F.element_at(basis, (site + 1).cast("int")).alias("s"))
     across = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(copies - 1).cast("long"))) if copies > 1 else F.lit(0).cast("long")
     spread = placed.select("atom_id", "c", "s", across.alias("copy"))
     lx, ly, lz = QUARTZ_CELL
@@ -63,7 +91,7 @@ def quartz(spark: SparkSession, sf_dir: str, cells: tuple[int, int, int] | None
         (F.col("atom_id") + F.col("copy") * (nx * ny * nz * 18)).alias("atom_id"), F.col("s.species").cast("int").alias("species"),
         (whole(F.col("c"), ny * nz) * lx + F.col("s.x") + F.col("copy") * (nx * lx)).alias("x"), ((whole(F.col("c"), nz) % ny) * ly + F.col("s.y")).alias("y"), ((F.col("c") % nz) * lz + F.col("s.z")).alias("z"),
     )
-    return System("quartz", atoms, Cell((nx * lx * copies, ny * ly, nz * lz)))
+    return atoms, Cell((nx * lx * copies, ny * ly, nz * lz))
 
 
 def cloud(spark: SparkSession, sf_dir: str) -> System:
@@ -74,35 +102,33 @@ def cloud(spark: SparkSession, sf_dir: str) -> System:
     return System("cloud", atoms, Cell((2000, 2000, 2000), (False,) * 3, (-1000, -1000, -1000)))
 
 
-def liquid(spark: SparkSession, sf_dir: str, *, most_x: int | None = None) -> System:
-    """S3: order lines as a dense disordered box; ``most_x`` keeps the part below that x, as an open slab."""
+def liquid(spark: SparkSession, sf_dir: str) -> System:
+    """S3: order lines as a dense disordered box, open on all sides."""
     lines = read(spark, sf_dir, "lineitem")
-    n = lines.count()
+    day = F.datediff(F.col("l_shipdate").cast("date"), F.lit("1995-01-01").cast("date")).cast("long")
+    n, first, last = lines.agg(F.count(F.lit(1)), F.min(day), F.max(day)).first()
     scale = max(1, n // 600)
     order = Window.partitionBy("l_orderkey").orderBy(*lines.columns)
-    x = F.datediff(F.col("l_shipdate").cast("date"), F.lit("1995-01-01").cast("date")).cast("long")
     species = F.ascii("l_returnflag") * 2 + F.when(F.col("l_linestatus") == "O", 1).otherwise(0)
     atoms = lines.select(
         (F.col("l_orderkey") * 64 + F.row_number().over(order)).alias("atom_id"), species.cast("int").alias("species"),
-        (x * scale).alias("x"), F.floor(F.col("l_quantity") * 400).alias("y"), F.floor(F.col("l_extendedprice") / 5).alias("z"),
+        (day * scale).alias("x"), F.floor(F.col("l_quantity") * 400).alias("y"), F.floor(F.col("l_extendedprice") / 5).alias("z"),
     )
-    if most_x is not None:
-        atoms = atoms.filter(F.col("x").between(0, most_x - 1))
-    return System("liquid", atoms, Cell((2_600 * scale, 20_400, 21_000), (False,) * 3))
+    first, last = first or 0, last or 0
+    return System("liquid", atoms, Cell(((last - first + 1) * scale, 20_400, 21_000), (False,) * 3, (first * scale, 0, 0)))
 
 
-def lattice(spark: SparkSession, sf_dir: str, side: int | None = None) -> System:
-    """S10: part keys on a simple cubic lattice of two species that alternate; periodic, parts beyond the cube are left."""
+def lattice(spark: SparkSession, sf_dir: str, width: int | None = None) -> System:
+    """S10: part keys on a simple cubic lattice of two species that alternate; periodic, every part a site. The cross-section
+    is ``width`` sites wide, or as wide as a cube's; the last layer along x may be partly empty."""
     parts = read(spark, sf_dir, "part").select("p_partkey")
-    low, n = parts.agg(F.min("p_partkey"), F.count(F.lit(1))).first()
-    if side is None:
-        side = 1
-        while (side + 1) ** 3 <= n:
-            side += 1
+    low, high = parts.agg(F.min("p_partkey"), F.max("p_partkey")).first()
+    n = (high or 0) - (low or 0) + 1
+    side = width or max(1, _root(n))
     k = F.col("p_partkey") - F.lit(low or 0)
     i, j, m = whole(k, side * side), whole(k, side) % side, k % side
-    atoms = parts.filter(k < side**3).select(k.alias("atom_id"), ((i + j + m) % 2).cast("int").alias("species"), *[(c * LATTICE_SPACING).alias(a) for c, a in zip((i, j, m), "xyz")])
-    return System("lattice", atoms, Cell((side * LATTICE_SPACING,) * 3))
+    atoms = parts.select(k.alias("atom_id"), ((i + j + m) % 2).cast("int").alias("species"), *[(c * LATTICE_SPACING).alias(a) for c, a in zip((i, j, m), "xyz")])
+    return System("lattice", atoms, Cell((-(-n // side**2) * LATTICE_SPACING, side * LATTICE_SPACING, side * LATTICE_SPACING)))
 
 
 def successor(spark: SparkSession, sf_dir: str) -> System:

@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -79,6 +80,33 @@ def skin_rebuilds(stream: DataFrame) -> DataFrame:
     return stream.select("user_id", "event_id", "value").groupBy("user_id").transformWithStateInPandas(SkinTracker(), outputStructType="user_id long, rebuild int", outputMode="Append", timeMode="None")
 
 
+@contextmanager
+def rocks_state(spark: SparkSession):
+    """State stores that hold several columns of state, as stateful processors need, for streams started inside."""
+    name = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(name)
+    spark.conf.set(name, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
+def plain_frames(stream: DataFrame, width: str = "1 hour", late: str = "1 hour") -> DataFrame:
+    framed = stream.withWatermark("at", late).groupBy(F.window("at", width).alias("w")).agg(F.count(F.lit(1)).alias("events"))
+    return framed.select(F.unix_seconds("w.start").alias("frame_start"), "events")
+
+
+def run_in_turn(spark: SparkSession, folders: list[str], make: Callable[[DataFrame], DataFrame], path: str) -> DataFrame:
+    """Runs one stream over folders that arrive one after another, in append mode, and returns all that came out."""
+    df = None
+    for folder in folders:
+        spark.read.parquet(folder).write.mode("append").parquet(f"{path}/in")
+        df = make(spark.readStream.schema(_EVENTS).parquet(f"{path}/in").withColumn("at", F.col("ts").cast("timestamp")))
+        run_available(df, path)
+    return spark.read.schema(df.schema).parquet(f"{path}/out")
+
+
 def run_available(df: DataFrame, path: str, mode: str = "append") -> DataFrame:
     """Runs a stream over all that is there now, into Parquet under path, and returns the table."""
     query = df.writeStream.outputMode(mode).option("checkpointLocation", f"{path}/_state").trigger(availableNow=True).format("parquet").start(f"{path}/out")

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from halograph.functions.ring import PRIME
-from halograph.sources.systems import LATTICE_SPACING, QUARTZ_CELL, QUARTZ_SITES, QUARTZ_SIZES
+from halograph.sources.systems import LATTICE_SPACING, QUARTZ_CELL, QUARTZ_LONG, QUARTZ_SITES
 
 Ctes = list[tuple[str, str]]
 
@@ -16,22 +16,19 @@ def select(ctes: Ctes, body: str) -> str:
     return f"WITH {recursive}" + ",\n".join(f"{n} AS {once(n)}({b})" for n, b in seen.items()) + f"\n{body}"
 
 
-def quartz(cells: tuple[int, int, int] | None = None) -> Ctes:
+def quartz() -> Ctes:
     sites = ", ".join(str(s) for s in QUARTZ_SITES)
     lx, ly, lz = QUARTZ_CELL
-    if cells:
-        size = "SELECT {} AS nx, {} AS ny, {} AS nz".format(*cells)
-    else:
-        case = lambda k: "CASE " + " ".join(f"WHEN n >= {least} THEN {c[k]}" for least, c in QUARTZ_SIZES) + " END"
-        size = f"SELECT {case(0)} AS nx, {case(1)} AS ny, {case(2)} AS nz FROM (SELECT count(*) AS n FROM orders)"
     return [
-        ("size", size),
+        ("keys", "SELECT coalesce(max(o_orderkey), -1) + 1 AS n FROM orders"),
+        ("wide", f"SELECT n, greatest(2, (SELECT max(i) FROM range(2000) r(i) WHERE i * i * i <= n // {QUARTZ_LONG})) AS width FROM keys"),
+        ("size", "SELECT greatest(2, (n + 18 * width * width - 1) // (18 * width * width)) AS nx, width AS ny, width AS nz FROM wide"),
         ("cell", f"SELECT nx * {lx} AS lx, ny * {ly} AS ly, nz * {lz} AS lz FROM size"),
         ("basis", f"SELECT * FROM (VALUES {sites}) AS t(site, species, bx, b_y, bz)"),
         (
             "atoms",
             f"SELECT o_orderkey AS atom_id, species, (o_orderkey // 18 // (ny * nz)) * {lx} + bx AS x, (o_orderkey // 18 // nz % ny) * {ly} + b_y AS y, (o_orderkey // 18 % nz) * {lz} + bz AS z"
-            " FROM orders, size JOIN basis ON site = o_orderkey % 18 WHERE o_orderkey < nx * ny * nz * 18",
+            " FROM orders, size JOIN basis ON site = o_orderkey % 18",
         ),
     ]
 
@@ -41,25 +38,26 @@ def cloud() -> Ctes:
     return [("cell", "SELECT 2000 AS lx, 2000 AS ly, 2000 AS lz"), ("atoms", f"SELECT vec_id AS atom_id, label AS species, {at(1)} AS x, {at(2)} AS y, {at(3)} AS z FROM embeddings")]
 
 
-def liquid(most_x: int) -> Ctes:
+def liquid() -> Ctes:
     order = "l_orderkey, l_partkey, l_suppkey, l_linenumber, l_quantity, l_extendedprice, l_discount, l_tax, l_returnflag, l_linestatus, l_shipdate"
     return [
         ("cell", "SELECT 1 AS lx, 1 AS ly, 1 AS lz"),
         (
             "atoms",
-            f"SELECT * FROM (SELECT l_orderkey * 64 + row_number() OVER (PARTITION BY l_orderkey ORDER BY {order}) AS atom_id, ascii(l_returnflag) * 2 + (l_linestatus = 'O')::INT AS species,"
+            f"SELECT l_orderkey * 64 + row_number() OVER (PARTITION BY l_orderkey ORDER BY {order}) AS atom_id, ascii(l_returnflag) * 2 + (l_linestatus = 'O')::INT AS species,"
             " date_diff('day', DATE '1995-01-01', l_shipdate::DATE) * (SELECT greatest(1, count(*) // 600) FROM lineitem) AS x, CAST(floor(l_quantity * 400) AS BIGINT) AS y, CAST(floor(l_extendedprice / 5) AS BIGINT) AS z"
-            f" FROM lineitem) WHERE x BETWEEN 0 AND {most_x - 1}",
+            " FROM lineitem",
         ),
     ]
 
 
-def lattice(side: int | None = None) -> Ctes:
-    s = str(side) if side else "(SELECT CAST(floor(pow(count(*), 1.0 / 3) + 1e-9) AS BIGINT) FROM part)"
+def lattice(width: int | None = None) -> Ctes:
+    s = str(width) if width else "(SELECT greatest(1, max(i)) FROM range(2000) r(i) WHERE i * i * i <= n)"
     return [
-        ("side", f"SELECT {s} AS m, (SELECT min(p_partkey) FROM part) AS low"),
-        ("cell", f"SELECT m * {LATTICE_SPACING} AS lx, m * {LATTICE_SPACING} AS ly, m * {LATTICE_SPACING} AS lz FROM side"),
-        ("keys", "SELECT p_partkey - low AS k, m FROM part, side WHERE p_partkey - low < m * m * m"),
+        ("span", "SELECT min(p_partkey) AS low, max(p_partkey) - min(p_partkey) + 1 AS n FROM part"),
+        ("side", f"SELECT {s} AS m, low, n FROM span"),
+        ("cell", f"SELECT (n + m * m - 1) // (m * m) * {LATTICE_SPACING} AS lx, m * {LATTICE_SPACING} AS ly, m * {LATTICE_SPACING} AS lz FROM side"),
+        ("keys", "SELECT p_partkey - low AS k, m FROM part, side"),
         ("atoms", f"SELECT k AS atom_id, CAST((k // (m * m) + k // m % m + k % m) % 2 AS INT) AS species, (k // (m * m)) * {LATTICE_SPACING} AS x, (k // m % m) * {LATTICE_SPACING} AS y, (k % m) * {LATTICE_SPACING} AS z FROM keys"),
     ]
 
@@ -123,13 +121,16 @@ def edges(cutoff: int, periodic: bool = True, weight: str = "ring") -> Ctes:
     ]
 
 
-def images_edges(cutoff: int, reach: int) -> Ctes:
-    """Every pair and every image, for boxes of any size."""
+def rod_edges(cutoff: int, reach: int) -> Ctes:
+    """A box narrower than the cutoff along y and z, whose images are all listed there; along x slabs of the cutoff meet."""
     shifts = f"generate_series(-{reach}, {reach})"
     return [
-        ("images", f"SELECT a.i AS ix, b.i AS iy, c.i AS iz FROM {shifts} a(i), {shifts} b(i), {shifts} c(i)"),
-        ("moved", "SELECT s.atom_id AS src, t.atom_id AS dst, ix, iy, iz, s.x + ix * lx - t.x AS dx, s.y + iy * ly - t.y AS dy, s.z + iz * lz - t.z AS dz FROM atoms s, atoms t, images, cell"),
-        ("edges", f"SELECT *, dx * dx + dy * dy + dz * dz AS d2, {weight_of(cutoff, 'ring').replace('d2', '(dx * dx + dy * dy + dz * dz)')} AS w FROM moved WHERE dx * dx + dy * dy + dz * dz <= {cutoff * cutoff} AND (src <> dst OR ix <> 0 OR iy <> 0 OR iz <> 0)"),
+        ("images", f"SELECT b.i AS iy, c.i AS iz FROM {shifts} b(i), {shifts} c(i)"),
+        ("slabs", f"SELECT a.*, least(x * (lx // {cutoff}) // lx, lx // {cutoff} - 1) AS b FROM atoms a, cell"),
+        ("around", f"SELECT a.*, (b + k + lx // {cutoff}) % (lx // {cutoff}) AS c FROM slabs a, cell, (VALUES (-1), (0), (1)) t(k)"),
+        ("pairs", "SELECT s.atom_id AS src, t.atom_id AS dst, CASE WHEN 2 * (s.x - t.x) > lx THEN -1 WHEN 2 * (s.x - t.x) < -lx THEN 1 ELSE 0 END AS ix, s.x - t.x AS rx, s.y - t.y AS ry, s.z - t.z AS rz, lx, ly, lz FROM around s JOIN slabs t ON s.c = t.b, cell"),
+        ("moved", "SELECT src, dst, ix, iy, iz, rx + ix * lx AS dx, ry + iy * ly AS dy, rz + iz * lz AS dz FROM pairs, images"),
+        ("edges", f"SELECT *, dx * dx + dy * dy + dz * dz AS d2 FROM moved WHERE dx * dx + dy * dy + dz * dz <= {cutoff * cutoff} AND (src <> dst OR ix <> 0 OR iy <> 0 OR iz <> 0)"),
     ]
 
 
@@ -166,6 +167,12 @@ def buckets() -> Ctes:
     ]
 
 
+def part_counts() -> Ctes:
+    """part_id, n nodes, h border nodes, e edges of every part."""
+    n = lambda t: f"(SELECT part_id, count(*) AS c FROM {t} GROUP BY part_id)"
+    return [("counts", f"SELECT part_id, a.c AS n, coalesce(h.c, 0) AS h, coalesce(e.c, 0) AS e FROM {n('assign')} a LEFT JOIN {n('halo')} h USING (part_id) LEFT JOIN {n('owned')} e USING (part_id)")]
+
+
 def line(bond_cutoff: int | None = None) -> Ctes:
     where = f"WHERE d2 <= {bond_cutoff * bond_cutoff}" if bond_cutoff is not None else ""
     keys = ", ".join(f"{s}.{c} AS {s}_{c}" for s in "fe" for c in ("src", "dst", "ix", "iy", "iz"))
@@ -243,7 +250,59 @@ def ring_forces(layers: int, slope: str = "1") -> Ctes:
         out.append((f"o{k}", f"SELECT src, dst, ix, iy, iz, dx, dy, dz, w * t % {PRIME} AS back, h0 * t % {PRIME} AS q FROM edges JOIN t{k} ON t{k}.atom_id = dst JOIN s{k - 1} ON s{k - 1}.atom_id = src"))
         out.append((f"r{k - 1}", f"SELECT r.atom_id, CAST((g + coalesce(b, 0)) % {PRIME} AS BIGINT) AS g FROM r{k} r LEFT JOIN (SELECT src AS atom_id, sum(back) AS b FROM o{k} GROUP BY src) USING (atom_id)"))
     every = " UNION ALL ".join(f"SELECT src, dst, ix, iy, iz, dx, dy, dz, q FROM o{k}" for k in range(1, layers + 1))
-    out.append(("q", f"SELECT src, dst, dx, dy, dz, CAST(sum(q) % {PRIME} AS BIGINT) AS q FROM ({every}) GROUP BY src, dst, ix, iy, iz, dx, dy, dz"))
+    out.append(("q", f"SELECT src, dst, dx, dy, dz, CAST(sum(q) AS BIGINT) AS q FROM ({every}) GROUP BY src, dst, ix, iy, iz, dx, dy, dz"))
     out.append(("pulls", "SELECT src AS atom_id, q * dx AS fx, q * dy AS fy, q * dz AS fz FROM q UNION ALL SELECT dst, -q * dx, -q * dy, -q * dz FROM q"))
     out.append(("forces", "SELECT atom_id, CAST(coalesce(sum(fx), 0) AS BIGINT) AS fx, CAST(coalesce(sum(fy), 0) AS BIGINT) AS fy, CAST(coalesce(sum(fz), 0) AS BIGINT) AS fz FROM atoms LEFT JOIN pulls USING (atom_id) GROUP BY atom_id"))
     return out
+
+
+def _pm(x: str) -> str:
+    return f"((({x}) % {PRIME} + {PRIME}) % {PRIME})"
+
+
+KEY = "src, dst, ix, iy, iz"
+TOTALS = ("forces", "SELECT atom_id, CAST(coalesce(sum(fx), 0) AS BIGINT) AS fx, CAST(coalesce(sum(fy), 0) AS BIGINT) AS fy, CAST(coalesce(sum(fz), 0) AS BIGINT) AS fz FROM atoms LEFT JOIN pulls USING (atom_id) GROUP BY atom_id")
+
+
+def light_forces(layers: int, cutoff: int, smooth: bool = False) -> Ctes:
+    """Reverse pass over v0 ... and u1 ... of a model of one channel."""
+    out: Ctes = [(f"r{layers}", f"SELECT atom_id, 1 AS gh, 0 AS gx, 0 AS gy, 0 AS gz FROM v{layers}")]
+    for k in range(layers, 0, -1):
+        sides = ", ".join(_pm(f"g{a} + 2 * (v{a} * gh % {PRIME})") + f" AS s{a}" for a in "xyz")
+        out.append((f"t{k}", f"SELECT r.atom_id, gh AS sh, {sides} FROM r{k} r JOIN u{k} USING (atom_id)"))
+        turned = " + ".join(_pm(f"w * d{a}") + f" * s{a} % {PRIME}" for a in "xyz")
+        q = " + ".join(_pm(_pm(f"h0 * d{a}") + f" + v{a}") + f" * s{a} % {PRIME}" for a in "xyz")
+        moved = ", ".join(f"w * s{a} % {PRIME} AS back{a}, (w * h0 % {PRIME}) * s{a} % {PRIME} AS p{a}" for a in "xyz")
+        out.append((f"o{k}", f"SELECT {KEY}, dx, dy, dz, d2, (w * sh % {PRIME} + {turned}) % {PRIME} AS bh, (h0 * sh % {PRIME} + {q}) % {PRIME} AS q, {moved} FROM edges JOIN t{k} ON t{k}.atom_id = dst JOIN v{k - 1} ON v{k - 1}.atom_id = src"))
+        back = f"(SELECT src AS atom_id, sum(bh) AS bh, sum(backx) AS backx, sum(backy) AS backy, sum(backz) AS backz FROM o{k} GROUP BY src)"
+        news = f"CAST((t.sh + coalesce(bh, 0)) % {PRIME} AS BIGINT) AS gh, " + ", ".join(f"CAST((s{a} + coalesce(back{a}, 0)) % {PRIME} AS BIGINT) AS g{a}" for a in "xyz")
+        out.append((f"r{k - 1}", f"SELECT t.atom_id, {news} FROM t{k} t LEFT JOIN {back} USING (atom_id)"))
+    c = cutoff * cutoff
+    pull = lambda a: f"q * (({c} - d2) // 1000 % {PRIME}) % {PRIME} * d{a} - 250 * p{a}" if smooth else f"32 * q * d{a} - {c} * p{a}"
+    every = " UNION ALL ".join(f"SELECT src, dst, {', '.join(f'{pull(a)} AS f{a}' for a in 'xyz')} FROM o{k}" for k in range(1, layers + 1))
+    out.append(("pulled", every))
+    out.append(("pulls", "SELECT src AS atom_id, fx, fy, fz FROM pulled UNION ALL SELECT dst, -fx, -fy, -fz FROM pulled"))
+    return [*out, TOTALS]
+
+
+def bond_forces(layers: int, cutoff: int) -> Ctes:
+    """Reverse pass over s0 ..., b0 ... and line of the model with bonds."""
+    key = ("src", "dst", "ix", "iy", "iz")
+    on = lambda a, b, pre: " AND ".join(f"{a}.{c} = {b}.{pre}_{c}" for c in key)
+    named = lambda pre: ", ".join(f"{pre}_{c}" for c in key)
+    c2 = cutoff * cutoff
+    out: Ctes = [(f"r{layers}", f"SELECT atom_id, 1 AS g FROM s{layers}"), (f"e{layers}", f"SELECT {KEY}, 0 AS gb FROM bonds")]
+    pulls = []
+    for k in range(layers, 0, -1):
+        out.append((f"x{k}", f"SELECT {KEY}, CAST((gb + g) % {PRIME} AS BIGINT) AS gb FROM e{k} JOIN r{k} ON r{k}.atom_id = dst"))
+        out.append((f"y{k}", f"SELECT {named('f')}, {named('e')}, {_pm('dot')} * gb % {PRIME} AS back, b * gb % {PRIME} AS slope FROM line JOIN x{k} x ON {on('x', 'line', 'e')} JOIN b{k - 1} p ON {on('p', 'line', 'f')}"))
+        out.append((f"e{k - 1}", f"SELECT {', '.join(f'x.{c}' for c in key)}, CAST((gb + coalesce(t, 0)) % {PRIME} AS BIGINT) AS gb FROM x{k} x LEFT JOIN (SELECT {named('f')}, sum(back) AS t FROM y{k} GROUP BY ALL) y ON {on('x', 'y', 'f')}"))
+        out.append((f"o{k}", f"SELECT src, dst, dx, dy, dz, w * g % {PRIME} AS back, h0 * g % {PRIME} AS q FROM edges JOIN r{k} ON r{k}.atom_id = dst JOIN s{k - 1} ON s{k - 1}.atom_id = src"))
+        out.append((f"r{k - 1}", f"SELECT r.atom_id, CAST((g + coalesce(b, 0)) % {PRIME} AS BIGINT) AS g FROM r{k} r LEFT JOIN (SELECT src AS atom_id, sum(back) AS b FROM o{k} GROUP BY src) USING (atom_id)"))
+        turned = ", ".join(f"{c2} * {_pm(f'slope * e.d{a}')} AS u{a}, {c2} * {_pm(f'slope * f.d{a}')} AS w{a}" for a in "xyz")
+        out.append((f"z{k}", f"SELECT f.src AS a, f.dst AS b, e.dst AS c, {turned} FROM y{k} y JOIN bonds f ON {on('f', 'y', 'f')} JOIN bonds e ON {on('e', 'y', 'e')}"))
+        pulls.append(f"SELECT src AS atom_id, 32 * q * dx AS fx, 32 * q * dy AS fy, 32 * q * dz AS fz FROM o{k} UNION ALL SELECT dst, -32 * q * dx, -32 * q * dy, -32 * q * dz FROM o{k}")
+        pulls.append(f"SELECT a, -ux, -uy, -uz FROM z{k} UNION ALL SELECT b, ux - wx, uy - wy, uz - wz FROM z{k} UNION ALL SELECT c, wx, wy, wz FROM z{k}")
+    first = "SELECT src, dst, dx, dy, dz, gb FROM bonds JOIN e0 USING (src, dst, ix, iy, iz)"
+    pulls.append(f"SELECT src, 32 * gb * dx, 32 * gb * dy, 32 * gb * dz FROM ({first}) UNION ALL SELECT dst, -32 * gb * dx, -32 * gb * dy, -32 * gb * dz FROM ({first})")
+    return [*out, ("pulls", " UNION ALL ".join(pulls)), TOTALS]

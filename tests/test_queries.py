@@ -5,10 +5,12 @@ import pytest
 from halograph.catalog import ORACLE_SQL, QUERIES
 from oracle import check
 
-NAMES = """nl_quartz nl_cloud_open nl_lattice_smallcell nl_lattice_degrees walls_count border_nodes halo_two_hop border_edges_induced buckets bucket_duality
-layout_markers layout_dedup span_read bond_cover bond_graph_successor higher_order_chain chain_closed_form part_morton forward_ring_L3
-forward_more_parts_than_cells forward_hub forward_bonds_L2 forces_conservative forces_many_body forces_sum_to_zero plug_in_custom model_smooth md_two_steps
-spatial_block3d spatial_hops spatial_underpadded kernel_arrow_equals_columns redundancy memory_model trajectory_frames trajectory_interval_join op_cube op_join_asof""".split()
+NAMES = """nl_quartz nl_cloud_open nl_liquid nl_lattice_smallcell nl_lattice_degrees walls_count border_nodes halo_two_hop border_edges_induced buckets bucket_duality
+layout_markers layout_dedup span_read bond_cover bond_graph_successor higher_order_chain chain_closed_form part_morton part_rcb exchange_layer forward_ring_L3
+forward_more_parts_than_cells forward_hub forward_bonds_L2 bond_one_layer forces_conservative forces_many_body forces_light forces_smooth forces_invariant_bond forces_direct
+forces_sum_to_zero plug_in_custom model_smooth setup_single_vs_distributed md_two_steps md_periodic md_skin spatial_block3d spatial_hops spatial_underpadded kernel_arrow
+kernel_arrow_many_body redundancy transfer_constant_in_layers three_body_counts out_of_memory memory_model trajectory_frames trajectory_interval_join trajectory_skin_tracker
+trajectory_late_rows op_cube op_join_asof""".split()
 
 
 @pytest.mark.parametrize("name", NAMES)
