@@ -392,3 +392,20 @@ def near_dedup(docs: DataFrame, *, percent: int = 75, scratch: Scratch | None =
 
 def op2_near_dedup(spark, sf_dir: str) -> DataFrame:
     return near_dedup(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+
+
+OP2_SQL = r"""
+WITH RECURSIVE words AS (
+  SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w
+  FROM documents),
+sets AS (
+  SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 5 THEN [w] ELSE list_distinct(list_transform(range(1, len(w) - 3), lambda i: w[i:i + 4])) END AS s FROM words),
+sizes AS (SELECT doc_id, len(s) AS n FROM sets),
+flat AS (SELECT doc_id, unnest(s) AS g FROM sets),
+ids AS (SELECT doc_id, hash(g) AS h, g FROM flat),
+met AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS common FROM ids a JOIN ids b ON a.h = b.h AND a.g = b.g AND a.doc_id < b.doc_id GROUP BY 1, 2),
+links AS (SELECT a, b FROM met JOIN sizes x ON x.doc_id = a JOIN sizes y ON y.doc_id = b WHERE 100 * common >= 75 * (x.n + y.n - common)),
+ways AS (SELECT a, b FROM links UNION ALL SELECT b, a FROM links),
+reach AS (SELECT doc_id AS node, doc_id AS low FROM sizes UNION SELECT w.b, r.low FROM reach r JOIN ways w ON w.a = r.node AND r.low < w.b)
+SELECT doc_id, CAST(n AS BIGINT) AS n_shingles, min(low) AS component_id, min(low) = doc_id AS kept FROM sizes JOIN reach ON node = doc_id GROUP BY doc_id, n
+"""

@@ -14,4 +14,4 @@ QUERIES = {
     "op9_chat_format": chat.op9_chat_format,
     "op10_decontaminate": decontaminate.op10_decontaminate,
 }
-ORACLE_SQL = {"op7_exact_dedup": exact_dedup.OP7_SQL, "op8_warc": warc.OP8_SQL, "op9_chat_format": chat.OP9_SQL}
+ORACLE_SQL = {"op2_near_dedup": near_dedup.OP2_SQL, "op3_suffix_dedup": suffix_dedup.OP3_SQL, "op7_exact_dedup": exact_dedup.OP7_SQL, "op8_warc": warc.OP8_SQL, "op9_chat_format": chat.OP9_SQL}

@@ -478,3 +478,19 @@ def suffix_dedup(docs: DataFrame, *, texts: bool = True, heavy: int = HEAVY, in_
 def op3_suffix_dedup(spark, sf_dir: str) -> DataFrame:
     out = suffix_dedup(spark.read.parquet(f"{sf_dir}/documents.parquet"), texts=False)
     return out.select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
+
+
+OP3_SQL = """
+WITH bytes AS (SELECT doc_id, encode(coalesce(text, '')) AS b, strlen(coalesce(text, '')) AS n FROM documents),
+windows AS (SELECT doc_id, p, b[p:p + 49] AS w FROM (SELECT doc_id, b, unnest(range(1, n - 48)) AS p FROM bytes WHERE n >= 50)),
+firsts AS (SELECT w, min(doc_id) AS least FROM windows GROUP BY w),
+gone AS (SELECT doc_id, p, CASE WHEN p > lag(p) OVER (PARTITION BY doc_id ORDER BY p) + 50 OR lag(p) OVER (PARTITION BY doc_id ORDER BY p) IS NULL THEN 1 ELSE 0 END AS cut FROM windows JOIN firsts USING (w) WHERE least < doc_id),
+spans AS (SELECT doc_id, min(p) AS a, max(p) + 49 AS z FROM (SELECT *, sum(cut) OVER (PARTITION BY doc_id ORDER BY p) AS run FROM gone) GROUP BY doc_id, run),
+kept AS (
+  SELECT doc_id, a AS stop, coalesce(lag(z) OVER (PARTITION BY doc_id ORDER BY a), 0) + 1 AS start FROM spans
+  UNION ALL SELECT doc_id, n + 1, coalesce((SELECT max(z) FROM spans s WHERE s.doc_id = t.doc_id), 0) + 1 FROM bytes t),
+left_over AS (SELECT doc_id, from_hex(string_agg(hex(b[start:stop - 1]), '' ORDER BY start)) AS k FROM kept JOIN bytes USING (doc_id) WHERE stop > start GROUP BY doc_id)
+SELECT t.doc_id, CAST(n AS BIGINT) AS n_bytes, CAST(coalesce((SELECT sum(z - a + 1) FROM spans s WHERE s.doc_id = t.doc_id), 0) AS BIGINT) AS n_removed,
+  (SELECT count(*) FROM spans s WHERE s.doc_id = t.doc_id) AS n_spans, sha256(coalesce(k, ''::BLOB)) AS kept_sha256
+FROM bytes t LEFT JOIN left_over USING (doc_id)
+"""

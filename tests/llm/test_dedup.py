@@ -218,3 +218,36 @@ def test_slices_hold_every_window_once(monkeypatch):
     assert len(whole) == sum(max(0, len(t) - 49) for t in texts)
     monkeypatch.setattr(suffix_dedup, "SLICE_BYTES", 64)
     assert windows() == whole
+
+
+def test_long_texts(make_docs, spark):
+    """A text of some megabytes is compared, searched and cut whole, from end to end."""
+    from halograph.llm import chat, decontaminate
+
+    rng = random.Random(21)
+    long = " ".join(f"w{rng.randrange(10**7)}" for _ in range(300_000))
+    item = "the very last words of this text are those of a question"
+    got = {r.doc_id: r for r in near_dedup.near_dedup(make_docs([(1, long), (2, long + " " + item), (3, item)])).collect()}
+    assert (got[2].component_id, got[2].n_shingles, got[3].component_id) == (1, got[1].n_shingles + 12, 3)
+    bench = spark.createDataFrame([(5, item)], "item_id long, text string")
+    hit = decontaminate.contaminated(make_docs([(1, long), (2, long + " " + item)]), bench).collect()
+    assert [(r.doc_id, r.item_id, r.distance, r.stop) for r in hit] == [(2, 5, 0, len(long) + 1 + len(item))]
+    exact = exact_dedup.exact_dedup(make_docs([(1, long), (2, long.upper()), (3, long + "x")])).collect()
+    assert sorted((r.doc_id, r.keep_id) for r in exact) == [(1, 1), (2, 1), (3, 3)]
+    talk = chat.format_chat(spark.createDataFrame([(1, 0, "user", long, "x"), (1, 1, "user", "> " + long + "\nyes", "x")], "conv_id long, turn long, role string, text string, head string")).collect()
+    assert sorted((r.turn, r.quotes, len(r.content)) for r in talk) == [(0, False, len(long)), (1, True, 3)]
+
+
+def test_memtables_tiers_and_lookups(make_docs, spark):
+    """Runs of few rows and a fan-in of two give several tiers, with the same verdicts."""
+    from halograph.graph.scratch import Scratch
+
+    pairs = [(i, f"text {i % 37}") for i in range(400)]
+    got = exact_dedup.exact_dedup(make_docs(pairs), keep="largest", memtable_rows=16, fan_in=2)
+    assert sorted(str((r.doc_id, r.keep_id, r.group_size, r.kept)) for r in got.collect()) == exact_truth(pairs, "largest")
+    keyed, runs, level = exact_dedup.build_index(make_docs(pairs), Scratch(spark), memtable_rows=16, fan_in=2)
+    assert runs.groupBy("run", "digest").count().filter("count > 1").isEmpty() and runs.select("run").distinct().count() >= 25
+    digest = keyed.filter("doc_id = 5").first().digest
+    found = exact_dedup.seen(level, [digest, "absent"]).collect()
+    assert [(r.least, r.most, r.n) for r in found] == [(5, 375, 11)]
+    assert "PushedFilters: [In(digest" in exact_dedup.seen(level, [digest, "absent"])._jdf.queryExecution().executedPlan().toString()
