@@ -1,12 +1,8 @@
-"""Checks and choices on physical plans."""
+"""Checks on physical plans."""
 
 from __future__ import annotations
 
-from contextlib import contextmanager
-
-from pyspark.sql import DataFrame, SparkSession
-
-from halograph.graph.neighbors import SMALL
+from pyspark.sql import DataFrame
 
 
 def plan_text(df: DataFrame) -> str:
@@ -25,24 +21,3 @@ def assert_no_cartesian(df: DataFrame) -> None:
 
 def pushed_filters(df: DataFrame) -> list[str]:
     return [line.split("PushedFilters: ")[1].split("]")[0] + "]" for line in plan_text(df).splitlines() if "PushedFilters: [" in line]
-
-
-@contextmanager
-def aqe_off(spark: SparkSession):
-    """Layers over persisted parts keep their partitioning where the plan is not rewritten at run time."""
-    before = spark.conf.get("spark.sql.adaptive.enabled")
-    spark.conf.set("spark.sql.adaptive.enabled", "false")
-    try:
-        yield
-    finally:
-        spark.conf.set("spark.sql.adaptive.enabled", before)
-
-
-def neighbor_method(n_atoms: int) -> str:
-    """All pairs for very small systems, the grid join for all others."""
-    return "broadcast" if n_atoms <= SMALL // 4 else "cellgrid"
-
-
-def exchange_choice(halo_rows: int, edge_rows: int) -> str:
-    """``union`` moves border features only; where nearly every node is a border node, ``global`` joins cost no more."""
-    return "union" if halo_rows * 2 < edge_rows else "global"
