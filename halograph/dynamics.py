@@ -108,7 +108,7 @@ class _Run:
         def note(step: int, rows: DataFrame, total) -> None:
             if real:
                 kinetic = rows.agg(F.sum(sum((F.col(f"v{a}") * F.col(f"v{a}") for a in AXES), F.lit(0.0)))).first()[0] or 0.0
-                self.energies.append((step, total, kinetic * soft))
+                self.energies.append((step, total, kinetic * soft / 4))  # two half steps: a mass of soft / 2
 
         atoms, f, total = forces(atoms)
         note(0, atoms, total)

@@ -45,7 +45,7 @@ def _grid(cell: Cell, cutoff: int) -> list[tuple[int, int]]:
 
 
 def _bin(axis: str, k: int, cell: Cell, cutoff: int, bins: int) -> Column:
-    x = F.col(axis) - cell.origin[k]
+    x = F.floor(F.col(axis)).cast("long") - cell.origin[k]  # positions may be doubles
     if bins:
         return F.least(F.call_function("div", x * bins, F.lit(cell.lengths[k])), F.lit(bins - 1)).cast("long")
     return F.floor(x / cutoff).cast("long")

@@ -21,7 +21,7 @@ def wall_partition(atoms: DataFrame, cell: Cell | None, p: int, *, axis: str = "
     numbers (ties by atom_id) by rank in a global order; ``quantile`` does so nearly, by sketched walls, at any size.
     """
     a = _axis(cell, axis)
-    x = F.col(a)
+    x = F.floor(F.col(a)).cast("long")  # positions may be doubles
     if balance == "width":
         if a == "atom_id":
             low, high = atoms.agg(F.min(a), F.max(a)).first()
