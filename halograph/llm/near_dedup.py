@@ -326,15 +326,16 @@ class NearDuplicates:
         wanted = ids.join(self.models.select("id", F.col("doc_id").alias("_doc"), "digest"), "id")
         return self.source.join(wanted, self.source.doc_id == wanted["_doc"]).select("id", "text", "digest")
 
-    def second_look(self, members: DataFrame, links: DataFrame) -> DataFrame:
-        """Links between blocks of one lead, for classes that are not of the lead's component."""
+    def second_look(self, members: DataFrame, found: DataFrame) -> DataFrame | None:
+        """Links between blocks of one lead, for classes that are not of the lead's component; None where there are none."""
         keep, percent = self.scratch.keep, self.percent
-        found = keep(components(links, self.scratch), "components")
         named = lambda df, c: df.join(found.select(F.col("node").alias(c), F.col("component").alias(f"{c}_component")), c, "left").withColumn(f"{c}_component", F.coalesce(f"{c}_component", c))
         many = members.filter("blocks > 1")
         leads = named(many.select("lead").distinct(), "lead")
         placed = keep(named(_by_lead(many, leads), "id"), "placed")
         strays = placed.filter("id_component <> lead_component")
+        if strays.isEmpty():
+            return None
         parts = strays.groupBy("lead").agg(F.ceil(F.count(F.lit(1)) / BLOCK).alias("parts"))
         stray = _by_lead(strays, parts).select("lead", "blocks", F.pmod(F.xxhash64("id", F.lit(5)), F.col("parts")).alias("part"), "id", F.col("block").alias("home"), F.col("id_component").alias("component"))
         every = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), F.col(n) - 1))
@@ -344,6 +345,8 @@ class NearDuplicates:
         keys = ("lead", "block", "part")
         rows = rows.select(*keys, "id", "component", "pivot", "n", "sketch").repartition(*keys).sortWithinPartitions(*keys)
         pairs = keep(rows.mapInArrow(_guess(percent), "a long, b long").distinct(), "pairs")
+        if pairs.isEmpty():
+            return None
         ids = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct()
         texts = keep(self.texts(ids).mapInArrow(_matching, "id long, text string").dropDuplicates(["id"]), "pair texts")
         both = pairs.join(texts.select(F.col("id").alias("a"), F.col("text").alias("own")), "a").join(texts.select(F.col("id").alias("b"), F.col("text").alias("other")), "b")
@@ -355,13 +358,17 @@ class NearDuplicates:
         texts = keep(self.texts(star.select("id").union(star.select("lead")).distinct()), "texts")
         # Lead and members in blocks; the lead is in every block.
         blocks = star.groupBy("lead").agg(F.ceil(F.count(F.lit(1)) / BLOCK).alias("blocks"))
-        members = _by_lead(star, blocks.filter("blocks > 1"), "left").withColumn("blocks", F.coalesce("blocks", F.lit(1).cast("long"))).withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")))
+        blocks = keep(blocks, "blocks")
+        large = blocks.filter("blocks > 1")
+        several = not large.isEmpty()
+        members = _by_lead(star, large, "left") if several else star.withColumn("blocks", F.lit(1).cast("long"))
+        members = members.withColumn("blocks", F.coalesce("blocks", F.lit(1).cast("long"))).withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")))
         leads = blocks.select("lead", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("block"), F.col("lead").alias("id"))
         rows = members.select("lead", "block", "id").unionByName(leads).join(texts, "id").join(self.models.select("id", "sketch"), "id").select("lead", "block", "id", "text", "digest", "sketch")
         links = keep(rows.repartition("lead", "block").sortWithinPartitions("lead", "block").mapInArrow(_search(self.percent), "a long, b long"), "links")
-        if not blocks.filter("blocks > 1").isEmpty():
-            links = links.union(self.second_look(members, links))
-        final = components(links, self.scratch)
+        final = keep(components(links, self.scratch), "components")
+        if several and (late := self.second_look(members, final)) is not None:
+            final = components(links.union(late), self.scratch)
         part = self.classes.join(final, self.classes.id == final.node, "left").select("id", "digest", "least", F.coalesce("component", "id").alias("component"))
         named = part.groupBy("component").agg(F.min("least").alias("component_id"), F.count(F.lit(1)).alias("classes"))
         # A component of one class needs no look-up; the others are few, and their classes are dealt out.
