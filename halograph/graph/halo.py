@@ -108,8 +108,22 @@ def pack_layout(buckets: DataFrame, p: int, layout: str = "spans") -> DataFrame:
     full = spans.join(packed, "part_id", "left").select("part_id", F.coalesce(F.transform("rows", lambda r: r["atom_id"]), F.array().cast("array<bigint>")).alias("nodes"), "markers")
     if layout == "spans":
         return full
-    nodes = F.array_distinct("nodes")
-    return full.select("part_id", nodes.alias("nodes"), F.transform("nodes", lambda a: F.array_position(nodes, a) - 1).alias("index"), "markers")
+    return _deduplicated(buckets.select("part_id", kind.alias("slot"), "atom_id"), full.select("part_id", "markers"))
+
+
+def _deduplicated(rows: DataFrame, spans: DataFrame) -> DataFrame:
+    """part_id, nodes (each once, by first place), index (the place in nodes of every slot), markers. Places are counted in
+    the long form, so the cost does not grow with the square of a part."""
+    slots = Window.partitionBy("part_id").orderBy("slot", "atom_id")
+    placed = rows.withColumn("r", F.row_number().over(slots))
+    first = placed.withColumn("first", F.min("r").over(Window.partitionBy("part_id", "atom_id")))
+    at = first.withColumn("at", F.dense_rank().over(Window.partitionBy("part_id").orderBy("first")) - 1)
+    packed = at.groupBy("part_id").agg(
+        F.transform(F.array_sort(F.collect_set(F.struct("at", "atom_id"))), lambda x: x["atom_id"]).alias("nodes"),
+        F.transform(F.array_sort(F.collect_list(F.struct("r", "at"))), lambda x: x["at"].cast("long")).alias("index"),
+    )
+    none = F.array().cast("array<bigint>")
+    return spans.join(packed, "part_id", "left").select("part_id", F.coalesce("nodes", none).alias("nodes"), F.coalesce("index", none).alias("index"), "markers")
 
 
 def span(layout: DataFrame, kind: str, peer: int, p: int) -> DataFrame:

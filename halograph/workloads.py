@@ -133,11 +133,11 @@ def real(b: Bench, parts=(1, 4, 8)) -> DataFrame:
     return failed.join(measures.step_time(best.drop("family")), ["system_id", "parts"], "left").drop("workload")
 
 
-def spatial(b: Bench) -> DataFrame:
+def spatial(b: Bench, parts=(4, 8)) -> DataFrame:
     """Graph partitioning against padded boxes with one spec: time, both with the building of the graph, and modelled bytes."""
     for name, build, spec in (("quartz", systems.quartz, MODEL), ("liquid", systems.liquid, replace(MODEL, cutoff=1000))):
         s = build(b.spark, b.sf_dir)
-        for p in (4, 8):
+        for p in parts:
             for how in ("slab", "block3d"):
                 b.padded("spatial", name, s, spec, p, how)
             for rep in range(b.reps):

@@ -48,6 +48,18 @@ def test_worked_chain(chain):
     assert bondgraph.bond_graph(edges, assign).groupBy("part_id").count().count() == 2
 
 
+def test_deduplicated_layout_reads_as_the_spans(spark, sf_dir):
+    """Walls so thin that nodes have several peers: each node once, and the index gives every span again."""
+    s = systems.quartz(spark, sf_dir)
+    edges, assign = neighbors.neighbor_list(s.atoms, s.cell, 3000), partition.wall_partition(s.atoms, s.cell, 24)
+    b = Scratch(spark).keep(halo.assign_buckets(assign, halo.border_nodes(edges, assign)), "buckets")
+    spans = {r.part_id: r for r in halo.pack_layout(b, 24).collect()}
+    once = {r.part_id: r for r in halo.pack_layout(b, 24, "dedup").collect()}
+    assert any(len(once[k].nodes) < len(spans[k].nodes) for k in spans)
+    for k, r in once.items():
+        assert len(set(r.nodes)) == len(r.nodes) and [r.nodes[i] for i in r["index"]] == spans[k].nodes and r.markers == spans[k].markers
+
+
 @pytest.mark.parametrize("p", [1, 2, 3, 6, 9])
 def test_answer_does_not_depend_on_parts(chain, p):
     s, edges, _ = chain
