@@ -22,6 +22,8 @@ from halograph.llm.quality import Adam, _sigmoid
 
 #: Labelled documents of each class that the model is fitted on, at most.
 PER_CLASS = 4000
+#: Labelled texts beyond this size teach nothing, so that the driver holds at most 2 * PER_CLASS * TRAIN_BYTES.
+TRAIN_BYTES = 32 << 10
 GRADES = 4
 #: A word is weighed if so many of the documents hold it and its log odds are so many deviations from none.
 LEAST_DOCS, LEAST_Z = 3, 2.6
@@ -137,7 +139,8 @@ def _distinct_words(batches):
 
 
 def train(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> dict:
-    rows = sample(docs, labels, "toxic", per_class).mapInArrow(_distinct_words, "doc_id long, words binary, label int").collect()
+    short = docs.filter(F.coalesce(F.octet_length("text"), F.lit(0)) <= TRAIN_BYTES)
+    rows = sample(short, labels, "toxic", per_class).mapInArrow(_distinct_words, "doc_id long, words binary, label int").collect()
     rows = sorted(rows, key=lambda r: (r.doc_id, bytes(r.words)))
     return fit([(np.frombuffer(r.words, np.uint64), int(r.label)) for r in rows])
 
