@@ -34,8 +34,10 @@ BASE = 1.001
 LIMIT = 40_000
 #: Pairs whose likeliest similarity is this far below the threshold are left: over six deviations of the estimate.
 MARGIN = 0.18
-#: Classes of one lead that are searched together.
-BLOCK = 1024
+#: Classes of one lead that are searched together, and the shingles that they may have between them, about.
+BLOCK, BLOCK_SHINGLES = 1024, 1 << 19
+#: Shingles that are looked up at once.
+LOOK = 1 << 19
 #: Places that the classes of one lead are dealt to while they are looked up.
 SALTS = 64
 #: Words beyond so many bytes are hashed by a digest.
@@ -175,8 +177,8 @@ class _Block:
         self.ids, self.texts, self.percent = ids, texts, percent
         self.size = np.array([len(s) for s in sets], np.int64)
         self.start = np.cumsum(self.size) - self.size
-        distinct, self.flat = np.unique(np.concatenate(sets), return_inverse=True)
-        self.mark = np.zeros(len(distinct) + 1, bool)
+        distinct, flat = np.unique(np.concatenate(sets), return_inverse=True)
+        self.flat, self.mark = flat.astype(np.uint32), np.zeros(len(distinct) + 1, bool)
         self.sketch = np.frombuffer(b"".join(sketches), np.uint16).reshape(-1, REGISTERS)
 
     def linked(self, x: int, others: np.ndarray) -> list[int]:
@@ -186,11 +188,16 @@ class _Block:
             return []
         own = self.flat[self.start[x] : self.start[x] + self.size[x]]
         self.mark[own] = True
-        n = self.size[others]
-        at = np.repeat(self.start[others] - (np.cumsum(n) - n), n) + np.arange(n.sum())
-        both = np.add.reduceat(self.mark[self.flat[at]].astype(np.int64), np.cumsum(n) - n)
+        close = []
+        ends = np.cumsum(self.size[others])
+        cuts = np.searchsorted(ends, np.arange(LOOK, ends[-1] + LOOK, LOOK), "right")
+        for some in np.split(others, np.unique(cuts[cuts < len(others)])):
+            n = self.size[some]
+            if len(n):
+                at = np.repeat(self.start[some] - (np.cumsum(n) - n), n) + np.arange(n.sum())
+                both = np.add.reduceat(self.mark[self.flat[at]], np.cumsum(n) - n, dtype=np.int64)
+                close += some[100 * both >= self.percent * (self.size[x] + n - both)].tolist()
         self.mark[own] = False
-        close = others[100 * both >= self.percent * (self.size[x] + n - both)].tolist()
         if not close:
             return []
         words = word_shingles(self.texts[x])
@@ -357,8 +364,8 @@ class NearDuplicates:
         star = keep(self.stars(), "stars")
         texts = keep(self.texts(star.select("id").union(star.select("lead")).distinct()), "texts")
         # Lead and members in blocks; the lead is in every block.
-        blocks = star.groupBy("lead").agg(F.ceil(F.count(F.lit(1)) / BLOCK).alias("blocks"))
-        blocks = keep(blocks, "blocks")
+        weighed = star.join(self.models.select("id", "n"), "id").groupBy("lead").agg(F.count(F.lit(1)).alias("classes"), F.sum("n").alias("n"))
+        blocks = keep(weighed.select("lead", F.greatest(F.ceil(F.col("classes") / BLOCK), F.ceil(F.col("n") / BLOCK_SHINGLES)).alias("blocks")), "blocks")
         large = blocks.filter("blocks > 1")
         several = not large.isEmpty()
         members = _by_lead(star, large, "left") if several else star.withColumn("blocks", F.lit(1).cast("long"))
