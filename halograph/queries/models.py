@@ -272,7 +272,7 @@ def md_skin(spark, sf_dir):
 @query("md_bonds", "SELECT count(*) AS rows, CAST(0 AS BIGINT) AS missing, CAST(0 AS BIGINT) AS max_error FROM orders")
 def md_bonds(spark, sf_dir):
     """The model with bonds: a kept graph renews bonds and links as well."""
-    return _md_pair(spark, sf_dir, replace(RING, family="invariant_bond", cutoff=BOND, bond_cutoff=2000, layers=2), 400, SOFT * BOND**2 // 32)
+    return _md_pair(spark, sf_dir, replace(RING, family="invariant_bond", cutoff=BOND, bond_cutoff=2000, layers=1), 400, SOFT * BOND**2 // 32)
 
 
 @query("single_device", q.select(q.quartz() + q.edges(BOND) + q.ring(2), _state("h0", 2)))
@@ -408,9 +408,10 @@ def transfers(spark, sf_dir):
 
 
 NARROW = (2, 4, 8, 16, 32)
+#: Both ends' coordinates on an edge once; parts by expression, so no assignment is joined.
 _MANY = [
-    ("assigns", " UNION ALL ".join(f"SELECT {p} AS parts, atom_id, CAST(least({p - 1}, x * {p} // lx) AS INT) AS part_id FROM atoms, cell" for p in NARROW)),
-    ("halos", "SELECT DISTINCT a.parts, t.part_id, a.atom_id FROM edges e JOIN assigns a ON a.atom_id = e.src JOIN assigns t ON t.atom_id = e.dst AND t.parts = a.parts WHERE a.part_id <> t.part_id"),
+    ("xs", "SELECT e.src, s.x AS sx, t.x AS tx, lx FROM edges e JOIN atoms s ON s.atom_id = e.src JOIN atoms t ON t.atom_id = e.dst, cell"),
+    ("halos", " UNION ALL ".join(f"SELECT DISTINCT {p} AS parts, least({p - 1}, tx * {p} // lx) AS part_id, src AS atom_id FROM xs WHERE least({p - 1}, sx * {p} // lx) <> least({p - 1}, tx * {p} // lx)" for p in NARROW)),
     ("per_node", "SELECT parts, atom_id, count(*) AS n FROM halos GROUP BY parts, atom_id"),
 ]
 
@@ -486,7 +487,7 @@ def exact_partitioners(spark, sf_dir):
 LAYERS = (1, 2, 4)
 
 
-@query("transfer_constant_in_layers", q.select(q.quartz() + q.edges(BOND) + q.walls(P) + q.owners(), " UNION ALL ".join(f"SELECT {n} AS layers, {k} AS layer, count(*) AS sent FROM halo" for n in LAYERS for k in range(n))))
+@query("transfer_constant_in_layers", q.select(q.quartz() + q.edges(BOND) + q.walls(P) + q.owners(), "SELECT layers, layer, sent FROM (SELECT count(*) AS sent FROM halo), (VALUES " + ", ".join(f"({n}, {k})" for n in LAYERS for k in range(n)) + ") t(layers, layer)"))
 def transfer_constant(spark, sf_dir):
     """Rows that each layer of a run receives from other parts, counted where the layer reads them."""
     s, rows = systems.quartz(spark, sf_dir), []
@@ -513,12 +514,17 @@ _RULES = {
 def _comparison_sql() -> str:
     from halograph.queries.graphs import MORTON, RCB
 
-    assigns = " UNION ALL ".join(f"SELECT '{m}' AS method, atom_id, CAST(part_id AS INT) AS part_id FROM ({body})" for m, body in _RULES.items())
+    names = list(_RULES)
+    # one row for an atom with its part by every rule, so an edge looks each end up once
+    joined = " JOIN ".join(f"(SELECT atom_id, CAST(part_id AS INT) AS {m}_part FROM ({body}))" + (" USING (atom_id)" if k else "") for k, (m, body) in enumerate(_RULES.items()))
+    pair = ", ".join(f"s.{m}_part AS s_{m}, t.{m}_part AS t_{m}" for m in names)
     ctes = q.quartz() + q.edges(BOND) + RCB + MORTON + [
-        ("assigns", assigns),
-        ("crossed", "SELECT a.method, t.part_id, a.atom_id FROM edges e JOIN assigns a ON a.atom_id = e.src JOIN assigns t ON t.atom_id = e.dst AND t.method = a.method WHERE a.part_id <> t.part_id"),
+        ("wide_parts", f"SELECT * FROM {joined}"),
+        ("both_ends", f"SELECT e.src, {pair} FROM edges e JOIN wide_parts s ON s.atom_id = e.src JOIN wide_parts t ON t.atom_id = e.dst"),
+        ("crossed", " UNION ALL ".join(f"SELECT '{m}' AS method, t_{m} AS part_id, src AS atom_id FROM both_ends WHERE s_{m} <> t_{m}" for m in names)),
         ("halos", "SELECT DISTINCT * FROM crossed"),
         ("per_node", "SELECT method, atom_id, count(*) AS n FROM halos GROUP BY method, atom_id"),
+        ("assigns", " UNION ALL ".join(f"SELECT '{m}' AS method, {m}_part AS part_id FROM wide_parts" for m in names)),
         ("sizes", "SELECT method, max(n) AS most_nodes, min(n) AS least_nodes FROM (SELECT method, part_id, count(*) AS n FROM assigns GROUP BY ALL) GROUP BY method"),
         ("cuts", "SELECT method, count(*) AS edge_cut FROM crossed GROUP BY method"),
     ]

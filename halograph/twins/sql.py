@@ -12,7 +12,7 @@ def select(ctes: Ctes, body: str) -> str:
     seen = dict(ctes)
     recursive = "RECURSIVE " if any(c.startswith("/*recursive*/") for c in seen.values()) else ""
     # edges are costly and read often: once is enough
-    once = lambda n: "MATERIALIZED " if n.startswith(("edges", "line", "atoms", "owned", "halo")) else ""
+    once = lambda n: "MATERIALIZED " if n.startswith(("edges", "line", "atoms", "owned", "halo", "xs", "wide_parts", "both_ends", "crossed")) else ""
     return f"WITH {recursive}" + ",\n".join(f"{n} AS {once(n)}({b})" for n, b in seen.items()) + f"\n{body}"
 
 
