@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from halograph.graph.bondgraph import BondTables, build_bonds
 from halograph.graph.halo import assign_buckets
 from halograph.graph.lanes import Lanes, within_lanes
-from halograph.graph.neighbors import EDGE_KEY, explicit_graph, neighbor_list
+from halograph.graph.neighbors import explicit_graph, neighbor_list
 from halograph.graph.partition import partition
 from halograph.graph.scratch import Scratch
 from halograph.potentials import Potential, PotentialSpec, check_adjoints, potential
@@ -309,6 +309,3 @@ def infer(system: System, spec: PotentialSpec, p: int, *, method: str = "wall",
     graph = build_partitioned_graph(system, spec, p, method=method, scratch=scratch)
     return graph, forward(graph, spec, setup=setup)
 
-
-def edge_columns() -> list[str]:
-    return [*EDGE_KEY, "dx", "dy", "dz", "d2"]

@@ -7,10 +7,10 @@ from pyspark.sql import functions as F
 
 from halograph import streaming
 from halograph.catalog import query
-from halograph.graph import halo, neighbors, partition
+from halograph.graph import halo, neighbors
 from halograph.graph.scratch import Scratch
 from halograph.operators import relational, udx
-from halograph.queries.graphs import BASE, BOND, P, PARTED, buckets, quartz_bonds
+from halograph.queries.graphs import BASE, BOND, PARTED, buckets, quartz_bonds
 from halograph.sources import sinks, systems, tables, xyz
 from halograph.twins import sql as q
 

@@ -9,7 +9,7 @@ from halograph.baselines.single import run_single
 from halograph.baselines.spatial import boxes, run_spatial
 from halograph.graph import bondgraph, halo, neighbors, partition
 from halograph.graph.lanes import bucket_hash, lane_keys, within_lanes
-from halograph.graph.runtime import backward, build_partitioned_graph, conv_layer, energy, exchange, forward, infer, initial_state
+from halograph.graph.runtime import backward, build_partitioned_graph, conv_layer, energy, exchange, forward, infer
 from halograph.graph.scratch import Scratch
 from halograph.measures import exactness, max_capacity, ns_days, scaling, transfer_volume
 from halograph.plans import assert_no_cartesian, count_exchanges, pushed_filters
