@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from halograph.llm.column_bwt import MEMORY_ROWS, SHIFT, build
-from halograph.llm.common import Scratch, mix, power_table, slices, span_hashes, text_bytes
+from halograph.llm.common import Scratch, mix, power_table, span_hashes
 
 LENGTH, GRAM = 50, 28
 REACH = LENGTH - GRAM + 1  # windows that can share an anchor in a row

@@ -1,7 +1,6 @@
 import zlib
 
 import numpy as np
-import pytest
 
 from halograph.llm import decontaminate, quality, toxicity
 from halograph.llm.common import text_bytes
