@@ -8,7 +8,7 @@ from pyspark.sql.readwriter import DataFrameWriter
 from halograph.catalog import QUERIES
 from halograph.plans import plan_text
 
-NAMES = """nl_quartz nl_quartz_degree""".split()
+NAMES = """nl_quartz nl_quartz_degree bonds_two_cutoffs""".split()
 #: Keys of tables with a row for each part, span or range of rows.
 OF_PARTS = {"part_id", "slot", "to", "_p"}
 
