@@ -8,7 +8,8 @@ from pyspark.sql.readwriter import DataFrameWriter
 from halograph.catalog import QUERIES
 from halograph.plans import plan_text
 
-NAMES = """nl_quartz nl_quartz_degree bonds_two_cutoffs op_lateral_topk op_sample_degree op_udf border_nodes border_edges_unowned border_edges_induced buckets""".split()
+NAMES = """nl_quartz nl_quartz_degree bonds_two_cutoffs op_lateral_topk op_sample_degree op_udf border_nodes border_edges_unowned border_edges_induced buckets
+bucket_duality""".split()
 #: Keys of tables with a row for each part, span or range of rows.
 OF_PARTS = {"part_id", "slot", "to", "_p"}
 
