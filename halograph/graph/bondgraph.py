@@ -26,7 +26,7 @@ def _backtracks() -> Column:
 
 
 def _linked(first: DataFrame, second: DataFrame, on: list[str], backtrack: bool) -> DataFrame:
-    pairs = first.withColumn("center", F.col("f_dst")).join(second.withColumn("center", F.col("e_src")), [*on, "center"])
+    pairs = first.withColumn("center", F.col("f_dst")).join(second.withColumn("center", F.col("e_src")).hint("merge"), [*on, "center"])
     if not backtrack:
         pairs = pairs.filter(~_backtracks())
     dot = F.col("f_dx") * F.col("e_dx") + F.col("f_dy") * F.col("e_dy") + F.col("f_dz") * F.col("e_dz")
@@ -60,11 +60,11 @@ def higher_order_graph(bonds: DataFrame, assign: DataFrame | None = None, order:
         back = F.col(f"n{k + 1}") == F.col(f"n{k - 1}")
         for i in ("ix", "iy", "iz"):
             back = back & (F.col(i) == -F.col(f"l{i}"))
-        walks = walks.join(nxt, f"n{k}").filter(~back).select(*[f"n{j}" for j in range(k + 2)], *[F.col(i).alias(f"l{i}") for i in ("ix", "iy", "iz")])
+        walks = walks.join(nxt.hint("merge"), f"n{k}").filter(~back).select(*[f"n{j}" for j in range(k + 2)], *[F.col(i).alias(f"l{i}") for i in ("ix", "iy", "iz")])
     nodes = [f"n{j}" for j in range(order + 1)]
     if assign is None:
         return walks.select(nodes)
-    return walks.join(assign.select(F.col("atom_id").alias(f"n{order}"), "part_id"), f"n{order}").select("part_id", *nodes)
+    return walks.join(assign.select(F.col("atom_id").alias(f"n{order}"), "part_id").hint("merge"), f"n{order}").select("part_id", *nodes)
 
 
 def check_bond_cover(bonds: DataFrame, assign: DataFrame) -> DataFrame:
