@@ -9,7 +9,7 @@ from halograph.catalog import QUERIES
 from halograph.plans import plan_text
 
 NAMES = """nl_quartz nl_quartz_degree bonds_two_cutoffs op_lateral_topk op_sample_degree op_udf border_nodes border_edges_unowned border_edges_induced buckets
-bucket_duality bond_buckets bond_cover bond_graph_quartz halo_two_hop layout_dedup""".split()
+bucket_duality bond_buckets bond_cover bond_graph_quartz halo_two_hop layout_dedup layout_markers""".split()
 #: Keys of tables with a row for each part, span or range of rows.
 OF_PARTS = {"part_id", "slot", "to", "_p"}
 
