@@ -251,3 +251,10 @@ def test_memtables_tiers_and_lookups(make_docs, spark):
     found = exact_dedup.seen(level, [digest, "absent"]).collect()
     assert [(r.least, r.most, r.n) for r in found] == [(5, 375, 11)]
     assert "PushedFilters: [In(digest" in exact_dedup.seen(level, [digest, "absent"])._jdf.queryExecution().executedPlan().toString()
+
+
+def test_texts_that_no_class_asks_for_are_not_moved(spark):
+    docs = spark.range(3000).selectExpr("CASE WHEN id = 7 THEN NULL ELSE id END AS doc_id", "concat('text ', id) AS text")
+    search = near_dedup.NearDuplicates(docs, 75, near_dedup.Scratch(spark))
+    found = search.among(spark.range(20, 30).withColumnRenamed("id", "doc_id")).collect()
+    assert {(i, f"text {i}") for i in range(20, 30)} <= {(r.doc_id, r.text) for r in found} and len(found) < 30
