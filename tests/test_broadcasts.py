@@ -9,7 +9,8 @@ from halograph.catalog import QUERIES
 from halograph.plans import plan_text
 
 NAMES = """nl_quartz nl_quartz_degree bonds_two_cutoffs op_lateral_topk op_sample_degree op_udf nl_lattice_degrees border_nodes border_edges_unowned border_edges_induced buckets
-bucket_duality bond_buckets bond_cover bond_graph_quartz halo_two_hop layout_dedup layout_markers op_cube op_pivot op_roundtrip partition_quality partitioner_comparison""".split()
+bucket_duality bond_buckets bond_cover bond_graph_quartz halo_two_hop layout_dedup layout_markers op_cube op_pivot op_roundtrip partition_quality partitioner_comparison
+partitioner_graph_methods""".split()
 #: Keys of tables with a row for each part, span or range of rows.
 OF_PARTS = {"part_id", "slot", "to", "_p"}
 
