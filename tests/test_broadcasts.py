@@ -27,3 +27,34 @@ def test_nodes_and_edges_are_not_broadcast(spark, sf_dir, monkeypatch, name):
     plans.append(plan_text(QUERIES[name](spark, sf_dir)))
     keys = {k for p in plans for found in re.findall(r"BroadcastHashJoin \[([^\]]*)\]", p) for k in re.findall(r"(\w+)#", found)}
     assert keys <= OF_PARTS
+
+
+def test_growth_writes_every_node_once(spark, monkeypatch):
+    """A round of breadth-first growth writes the nodes it found, not all that are known; parts are those of a plain search."""
+    from halograph.graph.partition import growth_partition
+    from halograph.graph.scratch import Scratch
+
+    near = {i: set() for i in range(31)}  # a path of 20 nodes, a ring of 7 from its node 12 on, a pair apart, two nodes alone
+    for a, b in [*((i, i + 1) for i in range(19)), (12, 20), *((i, i + 1) for i in range(20, 26)), (26, 12), (27, 28)]:
+        near[a].add(b), near[b].add(a)
+    want = {i: j for j, i in reversed(list(enumerate((0, 15))))}
+    ring = dict(want)
+    while ring:
+        found = {}
+        for a, j in ring.items():
+            for b in near[a] - want.keys():
+                found[b] = min(j, found.get(b, j))
+        want |= (ring := found)
+
+    written, write = {}, DataFrameWriter.parquet
+
+    def parquet(self, path, *args, **kwargs):
+        write(self, path, *args, **kwargs)
+        written[path] = self._df.columns, self._spark.read.parquet(path).count()
+
+    monkeypatch.setattr(DataFrameWriter, "parquet", parquet)
+    atoms = spark.createDataFrame([(i,) for i in near], "atom_id long")
+    edges = spark.createDataFrame([(a, b) for a in near for b in near[a] if a < b], "src long, dst long")
+    got = {r.atom_id: r.part_id for r in growth_partition(atoms, edges, 2, Scratch(spark)).collect()}
+    assert got == {i: want.get(i, i % 2) for i in near}
+    assert sum(n for columns, n in written.values() if columns == ["atom_id", "part_id"]) == len(want)
